@@ -38,7 +38,7 @@ _domain, _card, _phone = map(re.compile, (DOMAIN, CARD, PHONE))
 _dotted, _spaced, _digits = re.compile(r"[0-9.]+"), re.compile(r"[0-9\x20-]+"), re.compile(r"[0-9]+")
 _scheme = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+.-")
 _rest_of_url = re.compile(r"[A-Za-z0-9\[][^\s<>\"'`{}|\\^]*")
-_identifier = re.compile(r"(?:[\x20\x09]*(?:number|no\.?|nr\.?|#|:|=|is))*[\x20\x09]*([A-Za-z0-9]+(?:[\x20-]?[A-Z0-9]*[0-9][A-Z0-9]*)*)", re.I)
+_identifier = re.compile(r"(?i:[\x20\x09]*(?:number|no\.?|nr\.?|#|:|=|is))*[\x20\x09]*([A-Z0-9]+(?:[\x20-]?[A-Z0-9]+)*)")
 
 
 def luhn(digits: str) -> bool:
