@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 import tempfile
 
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -34,3 +35,18 @@ def bounded_sample(rows: DataFrame, by: str, most: int, order: str = "doc_id") -
     """
     ranked = rows.withColumn("_at", F.row_number().over(Window.partitionBy(by).orderBy(F.xxhash64(order), order)))
     return ranked.where(F.col("_at") <= most).drop("_at")
+
+
+def training_rows(docs: DataFrame, labels: DataFrame, label: str, most: int, where) -> tuple[DataFrame, float]:
+    """(doc_id, text, label) of at most ``most`` rows of each class, and the log-odds of class 1.
+
+    ``where`` says which ids of ``labels`` may be learned from; labels other than 0
+    and 1 are passed over, and an id with several labels counts once, with the
+    largest. The log-odds are those of all labels learned from, not of the sample.
+    The sample's ids are bounded, so they are broadcast to the documents.
+    """
+    ids = labels.where(F.col(label).isin(0, 1) & where).groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.max(label).cast("int").alias(label))
+    n = dict(ids.groupBy(label).count().collect())
+    sample = bounded_sample(ids, label, most)
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    return texts.join(F.broadcast(sample), "doc_id"), math.log((n.get(1, 0) + 1) / (n.get(0, 0) + 1))
