@@ -35,3 +35,25 @@ log-odds. Without both classes: slope 0 and the class's smoothed log-odds.
         if size < 1e-8:
             break
     return float(beta[0] / spread), float(beta[1] - beta[0] * middle / spread) + (0.0 if odds is None else odds - base)
+
+
+def logistic_plane(x: np.ndarray, y: np.ndarray, odds: float | None = None) -> np.ndarray:
+    """Weights and a constant of P(y = 1) = sigmoid(x @ weights + constant), lightly shrunk."""
+    n1, n0 = float((y == 1).sum()), float((y == 0).sum())
+    base = float(np.log((n1 + 1) / (n0 + 1)))
+    if not n1 or not n0:
+        return np.append(np.zeros(x.shape[1]), base if odds is None else odds)
+    middle, spread = x.mean(0), np.maximum(x.std(0), 1e-9)
+    z = np.column_stack([(x - middle) / spread, np.ones(len(x))])
+    shrink = np.append(np.full(x.shape[1], 0.1), 1e-6)
+    beta = np.append(np.zeros(x.shape[1]), base)
+    for _ in range(100):
+        p = sigmoid(z @ beta)
+        w = np.maximum(p * (1 - p), 1e-9)
+        step = np.linalg.solve((z * w[:, None]).T @ z + np.diag(shrink), z.T @ (y - p) - shrink * beta)
+        size = float(np.abs(step).max())
+        beta = beta + step * min(1.0, 2.0 / max(size, 1e-12))
+        if size < 1e-8:
+            break
+    weights = beta[:-1] / spread
+    return np.append(weights, beta[-1] - float(weights @ middle) + (0.0 if odds is None else odds - base))

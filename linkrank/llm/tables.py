@@ -27,13 +27,20 @@ def remainder(column, modulus: int):
     return F.crc32(F.col(column).cast("string").cast("binary")) % modulus
 
 
-def bounded_sample(rows: DataFrame, by: str, most: int, order: str = "doc_id") -> DataFrame:
-    """At most ``most`` rows of each value of ``by``, the same on each run.
+def bounded_sample(rows: DataFrame, by: str, most: int, counts: dict, order: str = "doc_id") -> DataFrame:
+    """At most ``most`` rows of each value of ``by`` that ``counts`` lists, the same on each run.
 
-    The order is that of a hash of ``order``; tasks keep ``most`` rows of a value
-    before anything is shuffled, so one large class costs no more than others.
+    Taken are the rows with the smallest hashes of ``order``. The number of rows of a
+    value says below which hash they lie all but surely, so only about twice ``most``
+    rows of each value are sorted, however many it has.
     """
-    ranked = rows.withColumn("_at", F.row_number().over(Window.partitionBy(by).orderBy(F.xxhash64(order), order)))
+    if not counts:
+        return rows.limit(0)
+    parts = 1 << 30
+    place = F.pmod(F.xxhash64(F.col(order), F.lit(1)), F.lit(parts))
+    below = F.create_map(*(F.lit(x) for value, n in counts.items() for x in (value, math.ceil(parts * min(1.0, (2 * most + 100) / max(n, 1))))))
+    near = rows.where(F.col(by).isin(list(counts)) & (place < below[F.col(by)]))
+    ranked = near.withColumn("_at", F.row_number().over(Window.partitionBy(by).orderBy(place, order)))
     return ranked.where(F.col("_at") <= most).drop("_at")
 
 
@@ -47,6 +54,6 @@ def training_rows(docs: DataFrame, labels: DataFrame, label: str, most: int, whe
     """
     ids = labels.where(F.col(label).isin(0, 1) & where).groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.max(label).cast("int").alias(label))
     n = dict(ids.groupBy(label).count().collect())
-    sample = bounded_sample(ids, label, most)
+    sample = bounded_sample(ids, label, most, n)
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     return texts.join(F.broadcast(sample), "doc_id"), math.log((n.get(1, 0) + 1) / (n.get(0, 0) + 1))
