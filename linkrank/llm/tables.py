@@ -22,6 +22,14 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint()
 
 
+def if_small(df: DataFrame, rows: int = 200_000) -> DataFrame:
+    """``df`` with a broadcast hint if it has at most ``rows`` rows (narrow ones); else as it is.
+
+    Counts ``df``, so it should be cheap to compute: a table or what cut() gave.
+    """
+    return F.broadcast(df) if df.limit(rows + 1).count() <= rows else df
+
+
 def remainder(column, modulus: int):
     """crc32 of the id's text, modulo ``modulus``; null for a null id."""
     return F.crc32(F.col(column).cast("string").cast("binary")) % modulus
