@@ -5,7 +5,7 @@ from __future__ import annotations
 from importlib import import_module
 
 #: Modules with QUERY (name), query (function) and, where SQL can express it, ORACLE.
-MODULES = ("language", "lines", "quality", "mixing", "pii", "toxicity")
+MODULES = ("decontaminate", "language", "lines", "quality", "mixing", "pii", "toxicity")
 
 
 def queries() -> dict:
