@@ -5,7 +5,7 @@ from __future__ import annotations
 from importlib import import_module
 
 #: Modules with QUERY (name), query (function) and, where SQL can express it, ORACLE.
-MODULES = ("decontaminate", "jaccard", "language", "lines", "quality", "mixing", "pii", "toxicity", "vectors")
+MODULES = ("decontaminate", "jaccard", "language", "lines", "quality", "mixing", "pii", "repeats", "toxicity", "vectors")
 
 
 def queries() -> dict:
