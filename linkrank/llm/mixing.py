@@ -23,7 +23,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from linkrank.llm.tables import cut, table
+from linkrank.llm.tables import cut, if_small, table
 
 QUERY = "op8_mixing"
 
@@ -103,6 +103,25 @@ def mix(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, share: float = SH
     return taken.withColumn("taken", F.col("passes") * F.col("size"))
 
 
+def mixed(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, share: float = SHARE, most: float = MOST, weight: Column | None = None, salt: str = "mix") -> DataFrame:
+    """The documents that the mix takes, with all their columns, and how often (passes) and how many words (taken).
+
+    A source takes a prefix of its documents in key order, so one row per source, with
+    the last key taken, decides about every document where it stands.
+    """
+    own = [c for c in docs.columns if c not in ("passes", "taken")]
+    plan = mix(docs, weights, share, most, weight, salt)
+    place = F.struct("_key", "doc_id", "_tie")
+    ends = plan.withColumn("_full", F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(0))
+    ends = cut(ends.groupBy(F.col("source").alias("_source")).agg(F.max("_full").alias("_full"), F.max(F.when(F.col("passes") > F.col("_full"), place)).alias("_end")))
+    key = -F.log(uniform(F.col("doc_id"), salt)) / (weight if weight is not None else quality_weight(F.col("text")))
+    here = F.struct(key.alias("_key"), F.col("doc_id").cast("long").alias("doc_id"), F.md5(F.coalesce(F.col("text"), F.lit(""))).alias("_tie"))
+    marked = docs.withColumns({"_size": words(F.col("text")), "_here": here})
+    joined = marked.join(if_small(ends), marked["source"].cast("string").eqNullSafe(F.col("_source")))
+    passes = (F.col("_full") + F.when((F.col("_size") > 0) & (F.col("_here") <= F.col("_end")), 1).otherwise(0)).cast("long")
+    return joined.withColumn("passes", passes).where("passes > 0").withColumn("taken", F.col("passes") * F.col("_size")).select(*own, "passes", "taken")
+
+
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mix(table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
 

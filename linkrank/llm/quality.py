@@ -18,6 +18,7 @@ from __future__ import annotations
 from dataclasses import dataclass
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 import zstandard
 from pyspark.sql import DataFrame, SparkSession
@@ -128,6 +129,18 @@ def score_quality(docs: DataFrame, model: Model) -> DataFrame:
     return rows.mapInArrow(_scorer(model), "doc_id long, score double, difference double")
 
 
+def keep_good(docs: DataFrame, model: Model, least: float = 0.5) -> DataFrame:
+    """The documents whose score is at least ``least``, with all their columns."""
+
+    @F.pandas_udf("double")
+    def score(texts: pd.Series) -> pd.Series:
+        coders = model.coders()
+        x = np.array([features(t, coders) for t in texts], float).reshape(-1, 3)
+        return pd.Series(sigmoid(_table(x) @ np.array(model.weights[:-1]) + model.weights[-1]))
+
+    return docs.where(score(F.col("text").cast("string")) >= least)
+
+
 def train(docs: DataFrame, labels: DataFrame) -> Model:
     return fit(*training_rows(docs, labels, "quality", TRAIN_ROWS, remainder("doc_id", 3) != 1))
 
