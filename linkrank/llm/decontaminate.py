@@ -12,7 +12,7 @@ longest mask spans are also looked up by the hash of all their words; items of f
 words are too short to tell and match nothing, as do null and empty texts. Repeated
 rows are one leak; a null id is an id of its own.
 
-Before the join a bitmap of fixed size, made of all the benchmark's seeds, drops
+Before the join two bitmaps of fixed size, made of all the benchmark's seeds, drop
 document seeds that cannot meet any.
 """
 
@@ -76,21 +76,26 @@ def _item_seeds(batches):
         yield pa.record_batch([pa.array(ids, pa.int64()), join(place), join(hashes)], names=["item_id", "place", "seed"])
 
 
-def _bitmap(found: DataFrame) -> np.ndarray:
-    """One byte for each 8 places: the places of all seeds; 2**BITS bits, whatever the benchmark's size."""
-    place = F.col("seed").bitwiseAND((1 << BITS) - 1)
-    bit = F.expr("shiftleft(1L, int(seed & 63))")
-    words = found.groupBy(F.shiftright(place, 6).alias("at")).agg(F.bit_or(bit).alias("bits")).collect()
-    out = np.zeros(1 << (BITS - 6), np.uint64)
-    out[[r.at for r in words]] = np.array([r.bits for r in words], np.int64).view(np.uint64)
+def _bitmaps(found: DataFrame) -> list[np.ndarray]:
+    """Two bitmaps of 2**BITS places each, by the seeds' low and high bits, whatever the benchmark's size."""
+    out = []
+    for place in (F.col("seed").bitwiseAND((1 << BITS) - 1), F.shiftrightunsigned("seed", 64 - BITS)):
+        bit = F.expr("shiftleft(1L, int(place & 63))")
+        words = found.select(place.alias("place")).groupBy(F.shiftright("place", 6).alias("at")).agg(F.bit_or(bit).alias("bits")).collect()
+        out.append(np.zeros(1 << (BITS - 6), np.uint64))
+        out[-1][[r.at for r in words]] = np.array([r.bits for r in words], np.int64).view(np.uint64)
     return out
 
 
+def _set(bitmap: np.ndarray, places: np.ndarray) -> np.ndarray:
+    return (bitmap[places >> np.uint64(6)] >> (places & np.uint64(63))) & np.uint64(1) > 0
+
+
 def _stretches(shared, short: tuple[int, ...]):
     """Document stretches around seeds that may meet the benchmark's."""
 
     def find(batches):
-        bitmap = shared.value
+        low, high = shared.value
         for batch in batches:
             data, offsets = utf8(batch.column(1))
             ids = batch.column(0).to_pylist()
@@ -99,7 +104,8 @@ def _stretches(shared, short: tuple[int, ...]):
                 words, bounds = _folded(data, offsets, lo, hi)
                 at, hashes = [], []
                 for place, h in seeds(words, short):
-                    hit = np.flatnonzero((bitmap[(h & np.uint64((1 << BITS) - 1)) >> np.uint64(6)] >> (h & np.uint64(63))) & np.uint64(1))
+                    hit = np.flatnonzero(_set(low, h & np.uint64((1 << BITS) - 1)))
+                    hit = hit[_set(high, h[hit] >> np.uint64(64 - BITS))]
                     at.append(place[hit])
                     hashes.append(h[hit])
                 at, hashes = (np.concatenate(x) if x else np.zeros(0, np.int64) for x in (at, hashes))
@@ -163,7 +169,7 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     items = cut(benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.col("text").cast("string").alias("text")).where("text IS NOT NULL").mapInArrow(_item_words, "item_id long, n_words long, words binary").where(f"n_words >= {SHORTEST}"))
     known = cut(items.select("item_id", "words").mapInArrow(_item_seeds, "item_id long, place long, seed long"))
     short = tuple(sorted(r[0] for r in items.where(f"n_words < {SPAN}").select("n_words").distinct().collect()))
-    shared = spark.sparkContext.broadcast(_bitmap(known))
+    shared = spark.sparkContext.broadcast(_bitmaps(known))
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     found = cut(texts.mapInArrow(_stretches(shared, short), "doc_id long, own long, start long, words binary, place array<long>, seed array<long>"))
     hits = found.select("doc_id", "own", "start", F.explode(F.arrays_zip("place", "seed")).alias("h")).select("doc_id", "own", "start", F.col("h.place").alias("at"), F.col("h.seed").alias("seed"))
