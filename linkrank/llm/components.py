@@ -12,7 +12,7 @@ from linkrank.llm.tables import cut
 BATCH_LINKS = 1 << 20
 
 
-def _roots(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+def roots(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """(node, smallest node of its component) of the links' nodes, by repeated hooking and jumping."""
     nodes, at = np.unique(np.concatenate([a, b]), return_inverse=True)
     x, y = at[: len(a)], at[len(a) :]
@@ -35,7 +35,7 @@ def _contract(batches):
     def stars(run):
         a = np.concatenate([r.column(0).to_numpy() for r in run])
         b = np.concatenate([r.column(1).to_numpy() for r in run])
-        node, root = _roots(a, b)
+        node, root = roots(a, b)
         keep = node != root
         return pa.record_batch([node[keep], root[keep]], names=["a", "b"])
 

@@ -5,16 +5,19 @@ documents link if their rows' product is at least 0.8 of their union. The produc
 never taken in full:
 
 * Documents of equal sets are one vertex, known by the set's hash.
-* Shingles have one order for all: those that a fixed-size count of the corpus found
-  common come last. By the sizes' bounds, two linked sets have at least min(l_a, l_b)
+* Shingles have one order for all: those that counters of a fixed number found
+  common in the corpus come last. By the sizes' bounds, two linked sets have at least min(l_a, l_b)
   of the first n - ceil(0.8 n) + l shingles in that order in common, with l about
   ``EXTRA`` of n, so only these entries of the matrix are moved.
 * They are cut into blocks of columns. A column of up to ``SHORT`` vertices yields all
   their pairs, a longer one its pairs with one pivot. Pairs of fitting sizes are
-  verified on the whole sets.
-* A pair not seen so far has only long columns in common. Columns whose vertices lie in
-  one component by now are done; of the others the pairs across components are counted
-  block by block, and those that reach min(l_a, l_b) are verified.
+  counted over all blocks; those that reach min(l_a, l_b) are verified on the whole
+  sets.
+* A linked pair not found so far has long columns in common. Columns whose vertices lie
+  in one component by now are done. Of the others, vertices with too few long columns
+  to reach the bound are left out, the rest is cut into clusters that share columns,
+  and of each two chunks of a cluster the whole rows are multiplied in one task, which
+  gives back only links.
 
 So no link between components is missed, and no column yields all its pairs unless
 they lie in different components. Words are `[^\\x20\\x09-\\x0D]+` with A-Z in lower
@@ -26,13 +29,15 @@ component of its copies, and is smallest nowhere.
 from __future__ import annotations
 
 import math
+import zlib
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from linkrank.llm.components import components
+from linkrank.llm.components import components, roots
 from linkrank.llm.tables import cut, if_small, table
 from linkrank.llm.text import LOWER, mix, shingles, slices, utf8, word_hashes
 
@@ -41,10 +46,14 @@ QUERY = "op5_jaccard"
 WORDS = 5
 PART, WHOLE = 80, 100  # links: WHOLE * intersection >= PART * union
 EXTRA = 0.05
-SHORT = 16
-COUNTERS = 1 << 20
-BLOCK_ENTRIES = 300_000
-FLUSH = 1 << 19
+SHORT = 48
+COUNTERS = 1 << 22
+SLICES = 32
+RUN = 1 << 19  # shingles that are counted at a time
+FAN = 64  # tasks whose counters are added up at a time
+BLOCK_ENTRIES = 200_000
+FLUSH = 1 << 18
+CHUNK = 256
 
 _ENTRY = np.dtype([("column", "<u4"), ("node", "<i8"), ("size", "<u4")])
 
@@ -63,7 +72,7 @@ def sets(column, keep=None):
 
 
 def set_hash(found: np.ndarray) -> int:
-    return int(mix(mix(found).sum(keepdims=True) + np.uint64(len(found))).view(np.int64)[0])
+    return int(mix(found.sum(keepdims=True) + np.uint64(len(found))).view(np.int64)[0])
 
 
 def extra(size):
@@ -74,11 +83,15 @@ def prefix_size(size: int) -> int:
     return min(size, size - -(-PART * size // WHOLE) + int(extra(size)))
 
 
+def _count(counts: np.ndarray, pending: list[np.ndarray]) -> None:
+    at, n = np.unique(np.concatenate(pending) & np.uint64(COUNTERS - 1), return_counts=True)
+    counts[at] += n.astype(np.uint32)
+
+
 def _summaries(batches):
-    """A row for each document; at the end the counters of shingles that the task met far more often than the mean."""
-    counts, total = np.zeros(COUNTERS, np.int64), 0
-    kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int32()]
-    names = ["doc_id", "n_shingles", "node", "counter"]
+    """A row for each document; at the end the task's counters of shingles, in slices (n_shingles: task, node: slice)."""
+    counts = np.zeros(COUNTERS, np.uint32)
+    names = ["doc_id", "n_shingles", "node", "counts"]
     for batch in batches:
         n, node = np.zeros(len(batch), np.int64), np.zeros(len(batch), np.int64)
         pending, held = [], 0
@@ -86,16 +99,29 @@ def _summaries(batches):
             n[k], node[k] = len(found), set_hash(found)
             pending.append(found)
             held += len(found)
-            if held > COUNTERS:
-                counts += np.bincount((np.concatenate(pending) & np.uint64(COUNTERS - 1)).astype(np.int64), minlength=COUNTERS)
-                total, pending, held = total + held, [], 0
+            if held > RUN:
+                _count(counts, pending)
+                pending, held = [], 0
         if pending:
-            counts += np.bincount((np.concatenate(pending) & np.uint64(COUNTERS - 1)).astype(np.int64), minlength=COUNTERS)
-            total += held
-        yield pa.record_batch([batch.column(0), n, node, pa.nulls(len(batch), pa.int32())], names=names)
-    hot = np.flatnonzero(counts >= 6 + 3 * total / COUNTERS).astype(np.int32)
-    if len(hot):
-        yield pa.record_batch([pa.nulls(len(hot), kinds[0]), counts[hot], np.zeros(len(hot), np.int64), hot], names=names)
+            _count(counts, pending)
+        yield pa.record_batch([batch.column(0), n, node, pa.nulls(len(batch), pa.binary())], names=names)
+    parts = [zlib.compress(x.astype(np.int64).tobytes(), 1) if x.any() else None for x in np.split(counts, SLICES)]
+    some = [k for k, x in enumerate(parts) if x]
+    task = TaskContext.get().partitionId() if TaskContext.get() else 0
+    yield pa.record_batch([pa.nulls(len(some), pa.int64()), np.full(len(some), task), np.array(some, np.int64), pa.array([parts[k] for k in some], pa.binary())], names=names)
+
+
+def _merge(group: pa.Table) -> pa.Table:
+    total = np.zeros(COUNTERS // SLICES, np.int64)
+    for raw in group.column("counts"):
+        total += np.frombuffer(zlib.decompress(raw.as_py()), np.int64)
+    return pa.table({"task": [group.column("task")[0].as_py() // FAN], "slice": [group.column("slice")[0].as_py()], "counts": pa.array([zlib.compress(total.tobytes(), 1)], pa.binary())})
+
+
+def common(counts: np.ndarray) -> np.ndarray:
+    """How far each counter lies above what the number of different shingles explains; 0 for most."""
+    mean = counts.mean()
+    return np.clip(counts - np.int64(2 + mean + 6 * np.sqrt(mean)), 0, (1 << 32) - 1).astype(np.uint32)
 
 
 def _entries(shared, blocks: int):
@@ -125,9 +151,9 @@ def _entries(shared, blocks: int):
                 if len(seen) >= 1 << 20:
                     seen.clear()
                 seen.add(node)
-                common = hot[found & np.uint64(COUNTERS - 1)]
-                if common.any():
-                    found = found[np.argsort(common, kind="stable")]
+                above = hot[found & np.uint64(COUNTERS - 1)]
+                if above.any():
+                    found = found[np.argsort(above, kind="stable")]
                 columns = mix(found[: prefix_size(len(found))] + np.uint64(0x51ED270B))
                 rows = np.empty(len(columns), kind)
                 rows["block"] = (columns >> np.uint64(32)) % np.uint64(blocks)
@@ -182,12 +208,22 @@ def _candidates(group: pa.Table) -> pa.Table:
         node.append(rows["node"][own])
         size.append(rows["size"][own])
     join = lambda x: np.concatenate(x) if x else np.zeros(0, np.int64)
+    pivots = np.concatenate([np.zeros(sum(map(len, left[: len(left) - len(longer)])), np.int64), np.ones(sum(map(len, left[len(left) - len(longer) :])), np.int64)])
     left, right = join(left), join(right)
     ok = (rows["node"][left] != rows["node"][right]) & fits(rows["size"][left], rows["size"][right])
-    a, b = rows["node"][left[ok]], rows["node"][right[ok]]
-    pairs = np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)]), axis=1) if len(a) else np.zeros((2, 0), np.int64)
-    column, node, size = join(column), join(node), join(size)
-    return pa.table({"a": np.concatenate([pairs[0], node]), "b": np.concatenate([pairs[1], np.zeros(len(node), np.int64)]), "size": np.concatenate([np.zeros(len(pairs[0]), np.int64), size]).astype(np.int64), "column": pa.array(np.concatenate([np.zeros(len(pairs[0]), np.int64), column]), mask=np.arange(len(pairs[0]) + len(node)) < len(pairs[0]))})
+    left, right, pivots = left[ok], right[ok], pivots[ok]
+    a, b = rows["node"][left], rows["node"][right]
+    need = np.minimum(extra(rows["size"][left]), extra(rows["size"][right]))
+    ends = np.empty(len(a), [("a", "<i8"), ("b", "<i8")])
+    ends["a"], ends["b"] = np.minimum(a, b), np.maximum(a, b)
+    _, first, where = np.unique(ends, return_index=True, return_inverse=True)
+    pairs, need = ends[first], need[first]
+    by_pivot = np.bincount(where, pivots, len(first)).astype(np.int64)
+    short = np.bincount(where, minlength=len(first)).astype(np.int64) - by_pivot
+    column, node, size = join(column), join(node), join(size).astype(np.int64)
+    none, zero = np.zeros(len(pairs), np.int64), np.zeros(len(node), np.int64)
+    both = lambda x, y: np.concatenate([x, y])
+    return pa.table({"a": both(pairs["a"], node), "b": both(pairs["b"], zero), "size": both(none, size), "column": pa.array(both(none, column), mask=np.arange(len(pairs) + len(node)) < len(pairs)), "short": both(short, zero), "pivot": both(by_pivot, zero), "need": both(need, zero)})
 
 
 def _pick(shared):
@@ -241,11 +277,17 @@ class Join:
     def __init__(self, docs: DataFrame):
         self.spark = docs.sparkSession
         self.docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-        seen = cut(self.docs.mapInArrow(_summaries, "doc_id long, n_shingles long, node long, counter int"))
-        self.rows = seen.where("counter IS NULL").select("doc_id", "n_shingles", "node")
-        hot = seen.where("counter IS NOT NULL").groupBy("counter").agg(F.sum("n_shingles").alias("n")).collect()  # at most COUNTERS rows
-        self.hot = np.zeros(COUNTERS, np.uint32)
-        self.hot[[r.counter for r in hot]] = [min(r.n, (1 << 32) - 1) for r in hot]
+        seen = cut(self.docs.mapInArrow(_summaries, "doc_id long, n_shingles long, node long, counts binary"))
+        self.rows = seen.where("counts IS NULL").select("doc_id", "n_shingles", "node")
+        parts = seen.where("counts IS NOT NULL").select(F.col("n_shingles").alias("task"), F.col("node").alias("slice"), "counts")
+        tasks = seen.rdd.getNumPartitions()
+        while tasks:
+            tasks //= FAN
+            parts = parts.groupBy("slice", F.expr(f"task div {FAN}")).applyInArrow(_merge, "task long, slice long, counts binary")
+        counts = np.zeros((SLICES, COUNTERS // SLICES), np.int64)
+        for r in parts.collect():  # SLICES rows: COUNTERS numbers, whatever the corpus
+            counts[r.slice] = np.frombuffer(zlib.decompress(r.counts), np.int64)
+        self.hot = common(counts.ravel())
 
     def entries(self) -> DataFrame:
         total = self.rows.agg(F.sum("n_shingles")).first()[0] or 0
@@ -264,26 +306,42 @@ class Join:
 
     def links(self) -> DataFrame:
         """Verified links (a, b) between nodes; all that components need."""
-        found = cut(self.entries().groupBy("block").applyInArrow(_candidates, "a long, b long, size long, column long"))
-        pairs = cut(found.where("column IS NULL").select("a", "b").distinct())
-        columns = found.where("column IS NOT NULL").select(F.col("a").alias("node"), "size", "column")
-        nodes = cut(pairs.select(F.col("a").alias("node")).unionByName(pairs.select(F.col("b").alias("node"))).unionByName(columns.select("node")).distinct())
-        self.sets = self.wanted(nodes)
-        links = cut(self.verified(pairs))
-        across = self.across(columns, links)
-        return links if across is None else links.unionByName(self.verified(across))
-
-    def across(self, columns: DataFrame, links: DataFrame) -> DataFrame | None:
-        """Pairs in different components that share enough long columns."""
-        if columns.limit(1).count() == 0:
+        found = cut(self.entries().groupBy("block").applyInArrow(_candidates, "a long, b long, size long, column long, short long, pivot long, need long"))
+        counted = found.where("column IS NULL").groupBy("a", "b").agg(F.sum("short").alias("short"), F.sum("pivot").alias("pivot"), F.max("need").alias("need"))
+        pairs = cut(counted)
+        strong = pairs.where("short + pivot >= need").select("a", "b")
+        dense = cut(self.dense(found.where("column IS NOT NULL").select(F.col("a").alias("node"), "size", "column"), pairs))
+        nodes = strong.select(F.explode(F.array("a", "b")).alias("node")).unionByName(dense.select("node")).distinct()
+        self.sets = self.wanted(cut(nodes))
+        links = cut(self.verified(strong))
+        across = self.across(dense, links)
+        return links if across is None else links.unionByName(across)
+
+    def dense(self, columns: DataFrame, pairs: DataFrame) -> DataFrame:
+        """(node, column) of the long columns, of vertices that can reach the bound with them.
+
+        A partner has at least PART / WHOLE of the vertex's size, which bounds what is
+        needed; of a vertex's short columns at most those shared with one partner count.
+        """
+        own = columns.groupBy("node").agg(F.count(F.lit(1)).alias("n"), F.max("size").alias("size"))
+        ends = pairs.where("short > 0").select(F.explode(F.array("a", "b")).alias("_node"), "short").groupBy("_node").agg(F.max("short").alias("most"))
+        least = F.greatest(F.lit(1), F.floor(F.ceil(F.col("size") * PART / WHOLE) * EXTRA))
+        able = own.join(ends, F.col("node") == F.col("_node"), "left").where(F.col("n") + F.coalesce("most", F.lit(0)) >= least).select("node")
+        return columns.select("node", "column").join(cut(able), "node", "left_semi")
+
+    def across(self, dense: DataFrame, links: DataFrame) -> DataFrame | None:
+        """Links between different components that have long columns in common."""
+        if dense.limit(1).count() == 0:
             return None
         known = cut(components(links).withColumnRenamed("node", "_node"))
-        placed = cut(columns.join(known, F.col("node") == F.col("_node"), "left").select("column", "node", "size", F.coalesce("component", "node").alias("component")))
+        placed = cut(dense.join(known, F.col("node") == F.col("_node"), "left").select("column", "node", F.coalesce("component", "node").alias("component")))
         mixed = placed.groupBy("column").agg((F.min("component") != F.max("component")).alias("mixed")).where("mixed").select("column")
-        open_ = cut(placed.join(if_small(cut(mixed)), "column", "left_semi"))
-        if open_.limit(1).count() == 0:
+        apart = cut(placed.join(if_small(cut(mixed)), "column", "left_semi"))
+        if apart.limit(1).count() == 0:
             return None
-        return cut(_pairs_across(open_))
+        clusters = components(apart.select(F.col("node").alias("a"), F.col("column").alias("b"))).withColumnRenamed("component", "cluster").withColumnRenamed("node", "_node")
+        members = apart.select("node", "component").distinct().join(cut(clusters), F.col("node") == F.col("_node")).select("cluster", "node", "component")
+        return cut(_multiplied(cut(members), self.sets))
 
     def verified(self, pairs: DataFrame) -> DataFrame:
         with_b = pairs.join(self.sets.select(F.col("node").alias("b"), F.col("found").alias("y")), "b")
@@ -291,32 +349,49 @@ class Join:
         return both.select("a", "b", "x", "y").mapInArrow(_verify, "a long, b long")
 
 
-def _pairs_across(entries: DataFrame) -> DataFrame:
-    """(a, b) in different components that share at least min(l_a, l_b) of the columns (column, node, size, component).
-
-    A column's vertices are cut into chunks; a task holds two chunks of one column at a
-    time, so no task's pairs follow a column's length squared.
+def overlaps(x: list[np.ndarray], y: list[np.ndarray]) -> np.ndarray:
+    """Sizes of the intersections of two lists of sets: the product of their incidence matrices."""
+    columns = np.intersect1d(np.unique(np.concatenate(x)), np.unique(np.concatenate(y)))
+    out = np.zeros((len(x), len(y)), np.float32)
+    for at in range(0, len(columns), 4096):
+        own = columns[at : at + 4096]
+        dense = []
+        for side in (x, y):
+            m = np.zeros((len(side), len(own)), np.float32)
+            for k, s in enumerate(side):
+                place = np.minimum(np.searchsorted(own, s), len(own) - 1)
+                m[k, place[own[place] == s]] = 1
+            dense.append(m)
+        out += dense[0] @ dense[1].T
+    return out.astype(np.int64)
+
+
+def _multiplied(members: DataFrame, found: DataFrame) -> DataFrame:
+    """(a, b): links between members (cluster, node, component) of one cluster and different components.
+
+    Clusters are cut into chunks, and a task multiplies two chunks, so what it holds does
+    not follow the cluster's size.
     """
-    chunk = 512
-    sizes = entries.groupBy("column").agg(F.ceil(F.count(F.lit(1)) / chunk).alias("chunks"))
-    spread = entries.join(cut(sizes), "column").withColumn("i", F.pmod(F.xxhash64("node"), F.col("chunks"))).withColumn("j", F.explode(F.sequence(F.lit(0).cast("long"), F.col("chunks") - 1)))
-    keyed = spread.select(F.concat_ws(":", "column", F.least("i", "j"), F.greatest("i", "j")).alias("g"), (F.col("i") > F.col("j")).cast("int").alias("side"), "node", "size", "component")
-
-    def meet(group: pa.Table) -> pa.Table:
-        side, node, size, comp = (group.column(k).to_numpy() for k in ("side", "node", "size", "component"))
+    sizes = members.groupBy("cluster").agg(F.ceil(F.count(F.lit(1)) / CHUNK).alias("chunks"))
+    spread = members.join(cut(sizes), "cluster").withColumn("i", F.pmod(F.xxhash64("node"), F.col("chunks"))).withColumn("j", F.explode(F.sequence(F.lit(0).cast("long"), F.col("chunks") - 1)))
+    keyed = spread.join(found.withColumnRenamed("node", "_node"), F.col("node") == F.col("_node"))
+    keyed = keyed.select(F.concat_ws(":", "cluster", F.least("i", "j"), F.greatest("i", "j")).alias("g"), (F.col("i") > F.col("j")).cast("int").alias("side"), "node", "component", "found")
+
+    def multiply(group: pa.Table) -> pa.Table:
+        side, node, comp = (group.column(k).to_numpy() for k in ("side", "node", "component"))
+        sets_ = [np.frombuffer(v.as_buffer(), np.uint64) for v in group.column("found")]
         x, y = np.flatnonzero(side == 0), np.flatnonzero(side == 1)
-        one = not len(y)
-        y = x if one else y
-        ok = (comp[x][:, None] != comp[y][None, :]) & fits(size[x][:, None], size[y][None, :])
-        if one:
-            ok = np.triu(ok, 1)
-        p, q = np.nonzero(ok)
-        a, b = node[x[p]], node[y[q]]
-        need = np.minimum(extra(size[x[p]]), extra(size[y[q]]))
-        return pa.table({"a": np.minimum(a, b), "b": np.maximum(a, b), "need": need})
-
-    met = keyed.groupBy("g").applyInArrow(meet, "a long, b long, need long")
-    return met.groupBy("a", "b").agg(F.count(F.lit(1)).alias("n"), F.min("need").alias("need")).where("n >= need").select("a", "b")
+        y = y if len(y) else x
+        a, b = np.zeros(0, np.int64), np.zeros(0, np.int64)
+        if len(x) and len(np.unique(comp)) > 1:
+            size = np.array([len(v) for v in sets_])
+            both = overlaps([sets_[k] for k in x], [sets_[k] for k in y])
+            near = (WHOLE * both >= PART * (size[x][:, None] + size[y][None, :] - both)) & (comp[x][:, None] != comp[y][None, :])
+            p, q = np.nonzero(near)
+            a, b = roots(node[x[p]], node[y[q]])
+        return pa.table({"a": a[a != b], "b": b[a != b]})
+
+    return keyed.groupBy("g").applyInArrow(multiply, "a long, b long")
 
 
 def jaccard_classes(docs: DataFrame) -> DataFrame:

@@ -50,7 +50,7 @@ def made(seed, n=260):
     return [(k, " ".join(w.upper() if rng.random() < 0.01 else w for w in t)) for k, t in enumerate(texts[:n])]
 
 
-@pytest.mark.parametrize("seed,short,counters", [(1, 16, 1 << 20), (2, 2, 1 << 20), (3, 2, 256)])
+@pytest.mark.parametrize("seed,short,counters", [(1, 16, 1 << 22), (2, 2, 1 << 22), (3, 2, 256)])
 def test_equals_brute_force(spark, monkeypatch, seed, short, counters):
     monkeypatch.setattr(jac, "SHORT", short)
     monkeypatch.setattr(jac, "COUNTERS", counters)
