@@ -26,15 +26,16 @@ def rmat_edges(spark: SparkSession, edges: int, scale: int | None = None, seed:
     state = (F.col("id") * 2 + 1 + seed * 7919) % PRIME
     for _ in range(3):
         state = state * FACTOR % PRIME
-    src, dst = F.lit(0).cast("long"), F.lit(0).cast("long")
-    frame = spark.range(edges, numPartitions=partitions).select(state.alias("s"), src.alias("src"), dst.alias("dst"))
-    for level in range(scale):
-        # the state is mixed with its own high half, so that nearby rows part
-        mixed = ((F.col("s") * FACTOR) % PRIME).bitwiseXOR(F.shiftright("s", 13)) % PRIME
-        frame = frame.select(mixed.alias("s"), "src", "dst")
-        low, high = F.col("s") >= limits[1], (F.col("s") >= limits[2]) | ((F.col("s") >= limits[0]) & (F.col("s") < limits[1]))
-        frame = frame.select("s", (F.col("src") * 2 + low.cast("long")).alias("src"), (F.col("dst") * 2 + high.cast("long")).alias("dst"))
-    return frame.select("src", "dst")
+
+    def descend(at, _):
+        # the state is mixed with its own high part, so that nearby rows differ
+        s = (at["s"] * FACTOR % PRIME).bitwiseXOR(F.shiftright(at["s"], 13)) % PRIME
+        low, high = s >= limits[1], (s >= limits[2]) | ((s >= limits[0]) & (s < limits[1]))
+        return F.struct(s.alias("s"), (at["src"] * 2 + low.cast("long")).alias("src"), (at["dst"] * 2 + high.cast("long")).alias("dst"))
+
+    start = F.struct(state.alias("s"), F.lit(0).cast("long").alias("src"), F.lit(0).cast("long").alias("dst"))
+    walked = spark.range(edges, numPartitions=partitions).select(F.aggregate(F.sequence(F.lit(1), F.lit(scale)), start, descend).alias("e"))
+    return walked.select("e.src", "e.dst")
 
 
 def rmat_sql(edges: int, scale: int | None = None, seed: int = 1, shares: tuple[float, ...] = SHARES) -> str:
