@@ -28,7 +28,7 @@ from linkrank.sources.rmat import rmat_edges, rmat_sql
 
 STEPS = 20
 FIXED = RankConfig(max_iter=STEPS, tol=0.0, check_every=5)
-SETTLED = RankConfig(tol=1e-12, blocks=4, check_every=10)
+SETTLED = RankConfig(tol=1e-15, blocks=4, check_every=10, max_iter=400)
 
 
 def scaled(ranks: DataFrame) -> DataFrame:
@@ -180,7 +180,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "rank_sync_edge_stored_user": _ranked("user_succession", lambda g: sync_edge(g, replace(FIXED, fused=False, max_iter=5, check_every=1))),
         "rank_ordered_sums_user": _ranked("user_succession", lambda g: sync_pull(g, replace(FIXED, sum_mode="ordered", max_iter=6))),
         "rank_decimal_sums_user": _ranked("user_succession", lambda g: sync_pull(g, replace(FIXED, sum_mode="decimal", max_iter=6))),
-        "rank_sequential_part": _ranked("part_succession", lambda g: sequential(g, replace(FIXED, max_iter=40))),
+        "rank_sequential_part": _ranked("part_succession", lambda g: sequential(g, replace(FIXED, max_iter=80))),
         "rank_async_pull_part": _ranked("part_succession", lambda g: async_pull(g, SETTLED, "sweep")),
         "rank_async_rounds_user": _ranked("user_succession", lambda g: async_pull(g, replace(SETTLED, tol=1e-7, inner_sweeps=4))),
         "rank_async_delayed_user": _ranked("user_succession", lambda g: async_pull(g, replace(SETTLED, staleness=2, schedule_seed=3), "adversarial")),
@@ -212,7 +212,7 @@ def oracle_sql() -> dict[str, str]:
     found = {f"edges_{name}": _edges_sql(name) for name in workloads.BUILDERS}
     found |= {f"graph_stats_{name}": f"WITH {_graph_ctes(_edges_sql(name), name in workloads.WEIGHTED)}{_STATS_SQL}" for name in STATS}
     part, user = rank_sql("part_succession"), rank_sql("user_succession")
-    settled_part, settled_user = rank_sql("part_succession", 40), rank_sql("user_succession", 40)
+    settled_part, settled_user = rank_sql("part_succession", 80), rank_sql("user_succession", 80)
     generated_graph = _graph_ctes(f"SELECT DISTINCT src, dst FROM ({rmat_sql(10_000)}) WHERE src <> dst")
     found |= {
         "rank_sync_pull_part": part, "rank_sync_edge_part": part, "rank_sync_pull_trade": rank_sql("trade_mutual"), "rank_sync_pull_user": user,
