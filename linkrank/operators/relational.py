@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from linkrank.config import RankConfig
 from linkrank.operators.synchronous import sync_pull
+from linkrank.plans.lineage import cut
 from linkrank.sources import workloads
 from linkrank.sources.workloads import table
 
@@ -38,6 +39,28 @@ def within(left: DataFrame, right: DataFrame, key: str, at: str, seconds: int) -
     return l.join(r, (F.col(f"l.{key}") == F.col(f"r.{key}")) & (l["_bin"] == r["_bin"])).where((gap > 0) & (gap <= seconds * 1_000_000)).select("l", "r")
 
 
+def row_numbers(df: DataFrame, *order: str, name: str = "row") -> DataFrame:
+    """Rows with their number from 0 in the given order, which should leave no ties.
+
+    Rows are sorted in ranges and numbered within them; the ranges' offsets, one row each,
+    are added. No task sees all rows.
+    """
+    parts = cut(df.repartitionByRange(*order).withColumn("_part", F.spark_partition_id()))
+    sizes = parts.groupBy("_part").agg(F.count(F.lit(1)).alias("_n"))
+    offsets = sizes.select("_part", (F.sum("_n").over(Window.orderBy("_part")) - F.col("_n")).alias("_from"))
+    own = F.row_number().over(Window.partitionBy("_part").orderBy(*order)) - 1
+    return parts.withColumn("_own", own).join(F.broadcast(offsets), "_part").withColumn(name, F.col("_from") + F.col("_own")).drop("_part", "_own", "_from")
+
+
+def tiles(df: DataFrame, k: int, *order: str, name: str = "tile") -> DataFrame:
+    """Rows with their tile from 1 to k of about equal numbers of rows; the first tiles take what is over."""
+    n = df.count()
+    size, over = divmod(n, k)
+    at = F.col("_row")
+    tile = F.when(at < over * (size + 1), F.floor(at / (size + 1))).otherwise(over + F.floor((at - over * (size + 1)) / max(size, 1)))
+    return row_numbers(df, *order, name="_row").withColumn(name, (tile + 1).cast("int")).drop("_row")
+
+
 def rank_bands(ranks: DataFrame, bands: int = 10) -> DataFrame:
     """(id, rank, band): 0 for the highest; bands of equal width between the extremes."""
     ends = ranks.agg(F.min("rank").alias("_lo"), F.max("rank").alias("_hi"))
@@ -129,7 +152,7 @@ def hub_overlap(spark, sf_dir, k: int = 100):
 
 def degree_quantiles(spark, sf_dir):
     ins = workloads.load(spark, sf_dir, "part_succession").in_degrees()
-    return ins.select("in_degree", F.ntile(4).over(Window.orderBy("in_degree", "id")).alias("quarter")).groupBy("quarter").agg(F.min("in_degree").alias("least"), F.max("in_degree").alias("most"), F.count(F.lit(1)).alias("parts"))
+    return tiles(ins, 4, "in_degree", "id", name="quarter").groupBy("quarter").agg(F.min("in_degree").alias("least"), F.max("in_degree").alias("most"), F.count(F.lit(1)).alias("parts"))
 
 
 def quality_of_linked(spark, sf_dir):
