@@ -1,10 +1,11 @@
 """Toxic passages by maximum-scoring segments.
 
-Each word gets the log-odds of the toxic class against the other, smoothed by a
-Dirichlet prior whose mean is the rate in both classes together. Its beginnings of
-``STEMS`` bytes have log-odds too, so that unseen inflections of a word count; of a
-word's forms the most significant one decides. Words without a significant form
-cost a small drift instead, so scores fall outside toxic passages. One linear scan per text finds all maximal-scoring
+Each word gets the log-odds of the toxic class against the other, of the documents
+that hold it, smoothed by a Dirichlet prior whose mean is the rate in both classes
+together. Its beginnings of ``STEMS`` bytes have log-odds too, so that unseen
+inflections of a word count; of a word's known forms the longest decides. Words whose
+log-odds are not significant cost a small drift instead, so scores fall outside toxic
+passages. One linear scan per text finds all maximal-scoring
 segments. A segment's score becomes an expected count by the extreme-value law of
 such scores under the clean word distribution, and a text's score is a logistic
 function, fitted on training rows, of how rare its best segments are together.
@@ -34,14 +35,15 @@ QUERY = "op10_toxicity"
 
 TRAIN_ROWS = 4_000
 MIN_COUNT = 3
+KNOWN = 20  # documents from which on a form without significance counts as known
 VOCABULARY = 200_000
 PRIOR = 0.1  # weight of the prior, as a share of the training words
-SIGNIFICANT = 4.0
+SIGNIFICANT = 5.0
 SHRINK = 2.0
-LEAST = 1.0
+LEAST = 1.5
 DRIFT = 0.1
 FLOOR = -0.5
-STEMS = (2, 3, 4, 5, 6, 7, 8)
+STEMS = (8, 7, 6, 5, 4, 3, 2)
 REPORTED = 0.01
 
 
@@ -49,7 +51,6 @@ REPORTED = 0.01
 class Model:
     words: np.ndarray  # sorted hashes of the scored words and stems
     scores: np.ndarray
-    weight: np.ndarray  # how significant each is
     decay: float
     space: float
     slope: float
@@ -82,7 +83,7 @@ def maximal_segments(scores: np.ndarray) -> list[tuple[int, int, float]]:
 
 
 def _forms(data: np.ndarray, own: np.ndarray):
-    """The rows' word ranges, and hashes of the words' forms: (form, which words have it)."""
+    """The rows' word ranges, and hashes of the words' forms, longest first: (form, which words have it)."""
     data = fold(data)
     starts, ends, bounds = tokens(data, own, NOT_WORD)
     sums = prefix_sums(data)
@@ -98,24 +99,29 @@ def _forms(data: np.ndarray, own: np.ndarray):
 
 
 def _word_counts(batches):
-    """Rows of (word, class, count), summed within a slice."""
+    """Rows of (word, class, documents), summed within a slice."""
     for batch in batches:
         data, offsets = utf8(batch.column(0))
         toxic = batch.column(1).to_numpy(zero_copy_only=False).astype(np.int64)
         for lo, hi in slices(offsets):
             bounds, forms = _forms(data[offsets[lo] : offsets[hi]], offsets[lo : hi + 1] - offsets[lo])
-            label = np.repeat(toxic[lo:hi], np.diff(bounds))
+            row = np.repeat(np.arange(hi - lo), np.diff(bounds))
             for words, which in forms:
+                order = np.lexsort((words, row[which]))
+                words, own = words[order], row[which][order]
+                once = np.ones(len(words), bool)
+                once[1:] = (words[1:] != words[:-1]) | (own[1:] != own[:-1])
+                words, label = words[once], toxic[lo:hi][own[once]]
                 for c in (0, 1):
-                    seen, n = np.unique(words[label[which] == c], return_counts=True)
-                    yield pa.record_batch([seen.view(np.int64), np.full(len(seen), c), n, np.full(len(seen), len(which) == len(label))], names=["word", "toxic", "n", "whole"])
+                    seen, n = np.unique(words[label == c], return_counts=True)
+                    yield pa.record_batch([seen.view(np.int64), np.full(len(seen), c), n, np.full(len(seen), len(which) == len(row))], names=["word", "toxic", "n", "whole"])
 
 
 def word_scores(texts: DataFrame):
-    """Hashes, log-odds, significance and clean counts of the scored forms, and the clean words.
+    """Hashes and scores of the known forms, 0 for those that tell nothing.
 
-    ``texts`` has text and toxic (0 or 1). Only sums and the bounded list of
-    significant forms reach the driver.
+    ``texts`` has text and toxic (0 or 1). Only sums and the bounded list of forms reach
+    the driver.
     """
     count = lambda c: F.sum(F.when(F.col("toxic") == c, F.col("n")).otherwise(0)).alias(f"y{c}")
     counted = texts.mapInArrow(_word_counts, "word long, toxic long, n long, whole boolean").groupBy("word").agg(count(1), count(0), F.max("whole").alias("whole")).persist()
@@ -124,14 +130,15 @@ def word_scores(texts: DataFrame):
     if n1 and n0:
         prior = (F.col("y1") + F.col("y0")) * PRIOR
         odds = lambda y, n: F.log((F.col(y) + prior) / F.greatest(n + PRIOR * (n1 + n0) - F.col(y) - prior, F.lit(0.5)))
-        scored = counted.where(F.col("y1") + F.col("y0") >= MIN_COUNT).select("word", "y0", (odds("y1", n1) - odds("y0", n0)).alias("s"), F.sqrt(1 / (F.col("y1") + prior) + 1 / (F.col("y0") + prior)).alias("sd"))
-        scored = scored.withColumn("z", F.col("s") / F.col("sd"))
-        rows = scored.where((F.abs("z") >= SIGNIFICANT) & (F.abs("s") >= LEAST)).orderBy(F.desc(F.abs("z")), "word").limit(VOCABULARY).collect()
+        scored = counted.where(F.col("y1") + F.col("y0") >= MIN_COUNT).select("word", (F.col("y1") + F.col("y0")).alias("n"), (odds("y1", n1) - odds("y0", n0)).alias("s"), F.sqrt(1 / (F.col("y1") + prior) + 1 / (F.col("y0") + prior)).alias("sd"))
+        scored = scored.withColumn("z", F.col("s") / F.col("sd")).withColumn("tells", (F.abs("z") >= SIGNIFICANT) & (F.abs("s") >= LEAST))
+        score = F.when(F.col("tells"), F.greatest(F.lit(FLOOR), F.col("s") * (1 - SHRINK / F.abs("z")))).otherwise(0.0)  # towards 0 by SHRINK standard deviations
+        known = scored.where(F.col("tells") | (F.col("n") >= KNOWN)).select("word", score.alias("score"), "tells", "n", F.abs("z").alias("z"))
+        rows = known.orderBy(F.desc("tells"), F.desc("z"), F.desc("n"), "word").limit(VOCABULARY).select("word", "score").collect()
     counted.unpersist()
-    words, scores, weight = (np.array([r[k] for r in rows], kind) for k, kind in (("word", np.int64), ("s", float), ("z", float)))
+    words, scores = np.array([r.word for r in rows], np.int64), np.array([r.score for r in rows], float)
     at = np.argsort(words.view(np.uint64))
-    scores = scores * (1 - SHRINK / np.abs(weight))  # towards 0 by SHRINK standard deviations
-    return words.view(np.uint64)[at], np.maximum(scores[at], FLOOR), np.abs(weight[at])
+    return words.view(np.uint64)[at], scores[at]
 
 
 def _decay(rates: np.ndarray, values: np.ndarray) -> float:
@@ -151,19 +158,18 @@ def _decay(rates: np.ndarray, values: np.ndarray) -> float:
 def _scored(column, model: Model):
     """For each slice: its rows' word ranges, and a score for each word."""
     data, offsets = utf8(column)
-    coarse = np.zeros(1 << 18, bool)
+    coarse = np.zeros(1 << 20, bool)
     coarse[model.words & np.uint64(len(coarse) - 1)] = True
     for lo, hi in slices(offsets):
         bounds, forms = _forms(data[offsets[lo] : offsets[hi]], offsets[lo : hi + 1] - offsets[lo])
-        scores, weight = np.full(bounds[-1], -DRIFT), np.zeros(bounds[-1])
+        scores, decided = np.full(bounds[-1], -DRIFT), np.zeros(bounds[-1], bool)
         for words, which in forms if len(model.words) else ():
-            maybe = np.flatnonzero(coarse[words & np.uint64(len(coarse) - 1)])
+            maybe = np.flatnonzero(coarse[words & np.uint64(len(coarse) - 1)] & ~decided[which])
             at = np.minimum(np.searchsorted(model.words, words[maybe]), len(model.words) - 1)
             known = model.words[at] == words[maybe]
             at, which = at[known], which[maybe[known]]
-            better = model.weight[at] > weight[which]
-            at, which = at[better], which[better]
-            scores[which], weight[which] = model.scores[at] - DRIFT, model.weight[at]
+            scores[which] += model.scores[at]
+            decided[which] = True
         yield bounds, scores
 
 
@@ -219,8 +225,8 @@ def fit(labelled: DataFrame, odds: float | None = None) -> Model:
     rows have another share of it.
     """
     texts = labelled.select("text", F.col("toxic").cast("int").alias("toxic")).persist()
-    words, scores, weight = word_scores(texts)
-    raw = Model(words, scores, weight, 1.0, 1.0, 1.0, 0.0)
+    words, scores = word_scores(texts)
+    raw = Model(words, scores, 1.0, 1.0, 1.0, 0.0)
 
     def clean_scores(batches):
         for batch in batches:
@@ -233,7 +239,7 @@ def fit(labelled: DataFrame, odds: float | None = None) -> Model:
     rates /= max(rates.sum(), 1)
     decay = _decay(rates, values)
     space = max(1e-4, decay * float((rates * np.abs(values) * np.exp(np.minimum(50, decay * values))).sum()))
-    raw = Model(words, scores, weight, decay, space, 1.0, 0.0)
+    raw = Model(words, scores, decay, space, 1.0, 0.0)
 
     def features(batches):
         for batch in batches:
@@ -243,7 +249,7 @@ def fit(labelled: DataFrame, odds: float | None = None) -> Model:
     rows = texts.mapInArrow(features, "x double, y long").collect()
     texts.unpersist()
     slope, shift = logistic(np.array([r.x for r in rows], float), np.array([r.y for r in rows], float), odds)
-    return Model(words, scores, weight, decay, space, slope, shift)
+    return Model(words, scores, decay, space, slope, shift)
 
 
 def score_toxicity(docs: DataFrame, model: Model) -> DataFrame:
