@@ -7,8 +7,9 @@ one anchor are pieces; they tile a document.
 
 * Of each anchor and piece the smallest document is found, first within tasks, then in
   blocks of anchors. Pieces that an earlier document holds as a whole are settled.
-* Pieces of an anchor that differ are looked at byte by byte: they are gathered in
-  shards, a shard's suffix array is induced, and its common prefixes tell which windows
+* Two pieces of an anchor share a window only if they agree on the ``SIDE`` bytes before
+  the anchor or on those after it. Those that agree with another document's on a side,
+  by a short hash, are looked at byte by byte: they are gathered in shards, a shard's suffix array is induced, and its common prefixes tell which windows
   occur in an earlier document. Where an anchor has more than ``WIDE`` such pieces, its
   windows are spread over shards by their own hash instead.
 * Each document then drops the bytes under all windows found.
@@ -35,26 +36,27 @@ from linkrank.llm.text import mix, prefix_sums, slices, span_hashes, utf8
 QUERY = "op7_repeats"
 
 LENGTH = 50
-GRAM = 18
+GRAM = 14
 REACH = LENGTH - GRAM + 1  # grams of a window
+SIDE = (LENGTH - GRAM) // 2  # of the bytes around its anchor a window holds as many on one side
 SEGMENT = 1 << 22  # bytes of one document that are handled at a time
 FLUSH = 1 << 19
 BLOCK_PIECES = 400_000
-SHARD_BYTES = 1 << 20
+SHARD_BYTES = 3 << 19
 PART_BYTES = 6 << 20
-WIDE = 256
+WIDE = 1 << 14
 BITS = 25
 SEEN = 200_000
 
 _PIECE = np.dtype([("doc", "<i8"), ("start", "<u4"), ("count", "<u1")])
-_ENTRY = np.dtype([("anchor", "<u4"), ("low", "<u4"), ("high", "<u2"), *_PIECE.descr])
+_ENTRY = np.dtype([("anchor", "<u4"), ("low", "<u4"), ("high", "<u2"), ("left", "<u2"), ("right", "<u2"), *_PIECE.descr])
 
 
 def pieces(data: np.ndarray, offsets: np.ndarray):
-    """(row, start in data, windows, anchor hash, text hash) of the pieces of rows laid end to end."""
+    """(row, start in data, windows, anchor hash, text hash, hashes of the anchor's sides) of the pieces of rows laid end to end."""
     n = len(data)
     if n < LENGTH:
-        return (np.zeros(0, np.int64),) * 3 + (np.zeros(0, np.uint64),) * 2
+        return (np.zeros(0, np.int64),) * 3 + (np.zeros(0, np.uint64),) * 4
     sums = prefix_sums(data)
     at = np.arange(n - GRAM + 1)
     grams = span_hashes(sums, at, at + GRAM)
@@ -75,21 +77,24 @@ def pieces(data: np.ndarray, offsets: np.ndarray):
     new[1:] &= (anchor[1:] != anchor[:-1]) | ~valid[:-1]
     start = np.flatnonzero(new)
     end = np.flatnonzero(valid & ~np.append(valid[1:] & ~new[1:], False)) + 1
-    return np.searchsorted(offsets, start, "right") - 1, start, end - start, grams[anchor[start]], span_hashes(sums, start, end + LENGTH - 1)
+    row, at = np.searchsorted(offsets, start, "right") - 1, anchor[start]
+    left = span_hashes(sums, np.maximum(offsets[row], at - SIDE), at)
+    right = span_hashes(sums, at + GRAM, np.minimum(offsets[row + 1], at + GRAM + SIDE))
+    return row, start, end - start, grams[at], span_hashes(sums, start, end + LENGTH - 1), left, right
 
 
 def _all_pieces(batch):
-    """Arrays of a batch's pieces by runs of rows: (rows, starts in the row, windows, anchors, texts, absolute starts, bytes)."""
+    """Arrays of a batch's pieces by runs of rows: (rows, starts in the row, windows, anchors, other hashes, absolute starts, bytes)."""
     data, offsets = utf8(batch.column(1))
     known = batch.column(0).is_valid().to_numpy(zero_copy_only=False)
     for lo, hi in slices(offsets):
         for a in range(offsets[lo], max(offsets[hi] - LENGTH + 1, offsets[lo] + 1), SEGMENT):
             b = min(offsets[hi], a + SEGMENT + LENGTH - 1) if hi == lo + 1 else offsets[hi]
             own = np.clip(offsets[lo : hi + 1], a, b) - a
-            row, start, count, anchor, text = pieces(data[a:b], own)
+            row, start, count, anchor, *hashes = pieces(data[a:b], own)
             ok = known[lo + row]
-            row, start, count, anchor, text = (x[ok] for x in (row, start, count, anchor, text))
-            yield lo + row, start + a - offsets[lo + row], count, anchor, text, start + a, data
+            row, start, count, anchor, *hashes = (x[ok] for x in (row, start, count, anchor, *hashes))
+            yield lo + row, start + a - offsets[lo + row], count, anchor, hashes, start + a, data
             if hi > lo + 1:
                 break
 
@@ -137,11 +142,11 @@ def _entries(blocks: int, parts: int):
 
     def pack(held):
         rows = np.concatenate(held)
-        rows = rows[np.lexsort((rows["start"], rows["doc"], rows["low"], rows["high"], rows["anchor"], rows["block"]))]
-        same = np.ones(len(rows), bool)
-        same[0] = False
-        for name in ("block", "anchor", "low", "high"):
-            same[1:] &= rows[name][1:] == rows[name][:-1]
+        anchor, text = rows["block"].astype(np.uint64) << np.uint64(32) | rows["anchor"], rows["high"].astype(np.uint64) << np.uint64(32) | rows["low"]
+        order = np.lexsort((rows["doc"], text, anchor))
+        rows, anchor, text = rows[order], anchor[order], text[order]
+        same = np.zeros(len(rows), bool)
+        same[1:] = (anchor[1:] == anchor[:-1]) & (text[1:] == text[:-1])
         group = np.flatnonzero(~same)
         first = np.repeat(group, np.diff(np.append(group, len(rows))))
         later = rows["doc"] > rows["doc"][first]
@@ -161,11 +166,12 @@ def _entries(blocks: int, parts: int):
         held, size = [], 0
         for batch in batches:
             ids = batch.column(0).fill_null(0).to_numpy()
-            for row, start, count, anchor, text, _, _ in _all_pieces(batch):
+            for row, start, count, anchor, (text, left, right), _, _ in _all_pieces(batch):
                 rows = np.empty(len(row), kind)
                 rows["block"] = (anchor >> np.uint64(32)) % np.uint64(blocks)
                 rows["anchor"] = anchor & np.uint64(0xFFFFFFFF)
                 rows["low"], rows["high"] = text & np.uint64(0xFFFFFFFF), text >> np.uint64(48)
+                rows["left"], rows["right"] = left & np.uint64(0xFFFF), right & np.uint64(0xFFFF)
                 rows["doc"], rows["start"], rows["count"] = ids[row], start, count
                 held.append(rows)
                 size += len(rows)
@@ -186,11 +192,11 @@ def _settle(blocks: int, parts: int):
         if key >= blocks:
             return group.set_column(1, "key", pa.array(np.full(group.num_rows, key - blocks)))
         rows = _unpack(group.column("payload").to_pylist(), _ENTRY)
-        rows = rows[np.lexsort((rows["start"], rows["doc"], rows["low"], rows["high"], rows["anchor"]))]
-        fresh = np.ones(len(rows), bool)
-        fresh[1:] = rows["anchor"][1:] != rows["anchor"][:-1]
-        text = fresh.copy()
-        text[1:] |= (rows["low"][1:] != rows["low"][:-1]) | (rows["high"][1:] != rows["high"][:-1])
+        whole = rows["high"].astype(np.uint64) << np.uint64(32) | rows["low"]
+        order = np.lexsort((rows["doc"], whole, rows["anchor"]))
+        rows, whole = rows[order], whole[order]
+        text = np.ones(len(rows), bool)
+        text[1:] = (rows["anchor"][1:] != rows["anchor"][:-1]) | (whole[1:] != whole[:-1])
         heads = np.flatnonzero(text)
         first = np.repeat(rows["doc"][heads], np.diff(np.append(heads, len(rows))))
         later = rows["doc"] > first
@@ -198,12 +204,19 @@ def _settle(blocks: int, parts: int):
         for name in _PIECE.names:
             gone[name] = rows[name][later]
         own = rows[~later]
-        begin = np.flatnonzero(np.concatenate(([True], own["anchor"][1:] != own["anchor"][:-1])))
-        size = np.diff(np.append(begin, len(own)))
-        least = np.repeat(np.minimum.reduceat(own["doc"], begin), size)
-        most = np.repeat(np.maximum.reduceat(own["doc"], begin), size)
-        open_ = (np.repeat(size, size) > 1) & (most > least)
-        wide = np.repeat(size, size) > WIDE
+        open_ = np.zeros(len(own), bool)
+        for side in ("left", "right"):
+            key = own["anchor"].astype(np.uint64) << np.uint64(16) | own[side]
+            order = np.lexsort((own["doc"], key))
+            key, doc = key[order], own["doc"][order]
+            begin = np.flatnonzero(np.concatenate(([True], key[1:] != key[:-1])))
+            size = np.diff(np.append(begin, len(own)))
+            open_[order] |= np.repeat(doc[begin + size - 1] > doc[begin], size)
+        asked = np.flatnonzero(open_)
+        begin = np.flatnonzero(np.concatenate(([True], own["anchor"][asked][1:] != own["anchor"][asked][:-1])))[: len(asked)]
+        size = np.diff(np.append(begin, len(asked)))
+        wide = np.zeros(len(own), bool)
+        wide[asked] = np.repeat(size, size) > WIDE
         out = [_packed([gone], parts)] if len(gone) else []
         for kind, which in ((2, open_ & ~wide), (3, open_ & wide)):
             if which.any():
@@ -251,67 +264,83 @@ def _texts(shared, shards: int, parts: int):
         for batch in batches:
             ids = batch.column(0).fill_null(0).to_numpy()
             for row, start, count, anchor, _, at, data in _all_pieces(batch):
-                low, high = _spots(ids[row], start)
-                out = ([], [], [], [])
-                for k in np.flatnonzero(_has(bits[0], low) & _has(bits[1], high)):
-                    out[0].append(int(anchor[k] % np.uint64(shards)))
-                    out[1].append(int(ids[row[k]]))
-                    out[2].append(int(start[k]))
-                    out[3].append(data[at[k] : at[k] + count[k] + LENGTH - 1].tobytes())
-                for k in np.flatnonzero(_has(bits[2], low) & _has(bits[3], high)):
-                    doc = int(ids[row[k]])
-                    for w in range(int(count[k])):
-                        text = data[at[k] + w : at[k] + w + LENGTH].tobytes()
-                        met = seen.get(text)
-                        if met is None or doc < met:
-                            if len(seen) >= SEEN:
-                                seen.clear()
-                            seen[text] = doc
-                        settled = met is not None and met < doc
-                        out[0].append(shards + int(place(doc, parts)) if settled else int.from_bytes(hashlib.blake2b(text, digest_size=7).digest(), "big") % shards)
-                        out[1].append(doc)
-                        out[2].append(int(start[k]) + w)
-                        out[3].append(None if settled else text)
-                yield pa.record_batch([pa.array(out[0], pa.int64()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.int64()), pa.array(out[3], pa.binary())], names=["shard", "doc", "start", "text"])
+                doc = ids[row]
+                low, high = _spots(doc, start)
+                pick = np.flatnonzero(_has(bits[0], low) & _has(bits[1], high))
+                yield _text_rows((anchor[pick] % np.uint64(shards)).astype(np.int64), doc[pick], start[pick], data, at[pick], count[pick] + LENGTH - 1)
+                pick = np.flatnonzero(_has(bits[2], low) & _has(bits[3], high))
+                if not len(pick):
+                    continue
+                # windows of wide anchors, one by one
+                which, place_ = np.repeat(pick, count[pick]), _ranges(count[pick])
+                doc, start, at = doc[which], start[which] + place_, at[which] + place_
+                sums = prefix_sums(data[at.min() : at.max() + LENGTH])
+                hashes = span_hashes(sums, at - at.min(), at - at.min() + LENGTH)
+                shard, settled = (hashes % np.uint64(shards)).astype(np.int64), np.zeros(len(at), bool)
+                for k, (h, d) in enumerate(zip(hashes.tolist(), doc.tolist())):
+                    met = seen.get(h)
+                    settled[k] = met is not None and met < d
+                    if met is None or d < met:
+                        if len(seen) >= SEEN:
+                            seen.clear()
+                        seen[h] = d
+                shard[settled] = shards + place(doc[settled], parts)
+                yield _text_rows(shard, doc, start, data, at, np.full(len(at), LENGTH), settled)
 
     return emit
 
 
-def earlier_windows(texts: list[bytes], docs: np.ndarray) -> list[np.ndarray]:
-    """For each text, which of its windows start in a text of a smaller document: by the texts' suffix array."""
-    size = np.array([len(t) for t in texts])
-    ends = np.cumsum(size + 1)
-    s = np.zeros(int(ends[-1]), np.int64)
-    inside = np.ones(len(s), bool)
-    inside[ends - 1] = False
-    s[inside] = np.frombuffer(b"".join(texts), np.uint8).astype(np.int64) + 1
+def _ranges(sizes: np.ndarray) -> np.ndarray:
+    """0 .. n - 1 for each size n, one after the other."""
+    return np.arange(int(sizes.sum())) - np.repeat(np.cumsum(sizes) - sizes, sizes)
+
+
+def _text_rows(shard, doc, start, data, at, size, without=None):
+    """Rows (shard, doc, start, text): the bytes data[at : at + size], or none."""
+    if without is not None:
+        size = np.where(without, 0, size)
+    raw = data[np.repeat(at, size) + _ranges(size)]
+    offsets = np.concatenate(([0], np.cumsum(size))).astype(np.int32)
+    missing = None if without is None else pa.array(~without).buffers()[1]
+    text = pa.Array.from_buffers(pa.binary(), len(size), [missing, pa.py_buffer(offsets), pa.py_buffer(np.ascontiguousarray(raw))])
+    return pa.record_batch([pa.array(shard, pa.int64()), pa.array(doc, pa.int64()), pa.array(start.astype(np.int64)), text], names=["shard", "doc", "start", "text"])
+
+
+def earlier_windows(data: np.ndarray, offsets: np.ndarray, docs: np.ndarray):
+    """(text, start, windows): runs of windows that start in a text of a smaller document, by the texts' suffix array."""
+    n, size = len(docs), np.diff(offsets)
+    owner = np.repeat(np.arange(n), size + 1)
+    inside = np.ones(len(owner), bool)
+    inside[offsets[1:] + np.arange(n)] = False
+    s = np.zeros(len(owner), np.uint16)
+    s[inside] = data.astype(np.uint16) + 1
     order = suffix_array(s, 257)
     shared = common_prefixes(s, order)
     new = shared[order] < LENGTH
     new[0] = True
-    owner = np.repeat(np.arange(len(texts)), size + 1)
     doc = docs[owner[order]]
     begin = np.flatnonzero(new)
     least = np.repeat(np.minimum.reduceat(doc, begin), np.diff(np.append(begin, len(order))))
     hit = np.zeros(len(s), bool)
     hit[order] = doc > least
-    starts = ends - size - 1
-    return [hit[a : a + n - LENGTH + 1] for a, n in zip(starts, size)]
+    place_ = _ranges(size + 1)
+    hit &= place_ <= size[owner] - LENGTH
+    edge = np.diff(np.concatenate(([0], hit.astype(np.int8), [0])))
+    first, last = np.flatnonzero(edge == 1), np.flatnonzero(edge == -1)
+    return owner[first], place_[first], last - first
 
 
 def _compare(parts: int):
     def compare(group: pa.Table) -> pa.Table:
         doc, start = group.column("doc").to_numpy(), group.column("start").to_numpy()
-        found = []
         if group.column("text").null_count:
             rows = np.ones(len(doc), _PIECE)
             rows["doc"], rows["start"] = doc, start
-            return pa.Table.from_batches([_packed([rows], parts)])
-        for k, hit in enumerate(earlier_windows(group.column("text").to_pylist(), doc)):
-            edge = np.diff(np.concatenate(([0], hit.astype(np.int8), [0])))
-            for a, b in zip(np.flatnonzero(edge == 1), np.flatnonzero(edge == -1)):
-                found.append((doc[k], start[k] + a, b - a))
-        rows = np.array(found, _PIECE) if found else np.zeros(0, _PIECE)
+        else:
+            data, offsets = utf8(group.column("text"))
+            which, place_, count = earlier_windows(data[offsets[0] : offsets[-1]], offsets - offsets[0], doc)
+            rows = np.empty(len(which), _PIECE)
+            rows["doc"], rows["start"], rows["count"] = doc[which], start[which] + place_, count
         return pa.Table.from_batches([_packed([rows], parts)])
 
     return compare

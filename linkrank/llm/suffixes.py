@@ -13,7 +13,7 @@ _WIDE = 2_048
 
 def _types(s: np.ndarray) -> np.ndarray:
     """Whether each suffix is smaller than the next (the end is smaller than anything)."""
-    step = np.append(np.sign(np.diff(s)), -1)
+    step = np.append(np.where(s[1:] > s[:-1], 1, np.where(s[1:] < s[:-1], -1, 0)), -1)
     where = np.where(step != 0, np.arange(len(s)), len(s))
     following = np.minimum.accumulate(where[::-1])[::-1]
     return step[following] > 0
@@ -116,7 +116,7 @@ def suffix_array(s: np.ndarray, sigma: int) -> np.ndarray:
     """
     if len(s) < 2:
         return np.arange(len(s))
-    s = s.astype(np.int64)
+    s = s.astype(np.uint16 if sigma <= 1 << 16 else np.int64)  # narrow symbols are sorted by radix
     small = _types(s)
     seeds = np.flatnonzero(small & np.concatenate(([False], ~small[:-1])))
     if len(seeds) > 1:

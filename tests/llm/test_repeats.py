@@ -63,13 +63,14 @@ def test_equals_brute_force(spark, monkeypatch, seed, wide, flush, segment):
 
 def test_windows_of_a_shard():
     texts = [b"a" * 60, b"b" + b"a" * 55 + b"c", b"a" * 49 + b"d"]
-    hit = rep.earlier_windows(texts, np.array([3, 1, 2]))
-    assert hit[0].all() and not hit[1].any() and not hit[2].any()
+    offsets = np.cumsum([0, *map(len, texts)])
+    found = rep.earlier_windows(np.frombuffer(b"".join(texts), np.uint8), offsets, np.array([3, 1, 2]))
+    assert [tuple(map(int, x)) for x in zip(*found)] == [(0, 0, 11)]
 
 
 def test_pieces_tile_the_windows():
     raw = np.frombuffer("".join(t for _, t in made(9, 8)).encode(), np.uint8)
-    row, start, count, _, _ = rep.pieces(raw, np.array([0, 30, 300, len(raw)]))
+    row, start, count, *_ = rep.pieces(raw, np.array([0, 30, 300, len(raw)]))
     covered = sorted(k for s, c in zip(start, count) for k in range(s, s + c))
     assert covered == list(range(30, 251)) + list(range(300, len(raw) - L + 1)) and count.max() <= rep.REACH
 
