@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from linkrank.llm.tables import cut
 
 BATCH_LINKS = 1 << 20
+FEW_LINKS = 1 << 19  # up to which links are joined up in one task
 
 
 def roots(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -58,10 +59,14 @@ def components(links: DataFrame) -> DataFrame:
     Each round contracts links within tasks, then hangs the larger of a node's
     neighbours, and the node, on the smallest of them. A node's smallest neighbour is
     an aggregate and its neighbours are streamed in a join, so a node with any number
-    of links is never gathered. It ends when no link joins two non-roots.
+    of links is never gathered. It ends when no link joins two non-roots, or when at
+    most FEW_LINKS are left, which one task joins up.
     """
     edges = cut(links.select(F.col("a").cast("long").alias("a"), F.col("b").cast("long").alias("b")).where("a <> b").mapInArrow(_contract, "a long, b long"))
     while True:
+        if edges.limit(FEW_LINKS + 1).count() <= FEW_LINKS:
+            edges = cut(edges.coalesce(1).mapInArrow(_contract, "a long, b long"))
+            break
         # every link is (node, smaller node): nodes with several smaller neighbours hook them together
         least = cut(edges.groupBy("a").agg(F.min("b").alias("m"), F.count(F.lit(1)).alias("n")))
         roots = least.select("a", "m")

@@ -29,15 +29,19 @@ SHAPES = {
 }
 
 
+@pytest.mark.parametrize("few", [0, 1 << 19])
 @pytest.mark.parametrize("shape", SHAPES)
-def test_components(spark, shape):
+def test_components(spark, monkeypatch, shape, few):
+    monkeypatch.setattr(cc, "FEW_LINKS", few)
     links = SHAPES[shape](random.Random(1))
     got = [tuple(r) for r in cc.components(spark.createDataFrame(links, "a long, b long").repartition(5)).collect()]
     want = {k: v for k, v in brute(links).items() if sum(w == v for w in brute(links).values()) > 1}
     assert len(got) == len(dict(got)) and dict(got) == want
 
 
-def test_no_links(spark):
+def test_no_links(spark, monkeypatch):
+    assert cc.components(spark.createDataFrame([], "a long, b long")).count() == 0
+    monkeypatch.setattr(cc, "FEW_LINKS", -1)
     assert cc.components(spark.createDataFrame([], "a long, b long")).count() == 0
 
 
