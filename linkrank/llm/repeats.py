@@ -31,7 +31,7 @@ from pyspark.sql import functions as F
 
 from linkrank.llm.suffixes import common_prefixes, suffix_array
 from linkrank.llm.tables import cut, table
-from linkrank.llm.text import mix, prefix_sums, slices, span_hashes, utf8
+from linkrank.llm.text import mix, prefix_sums, slices, span_hashes, utf8, window_hashes
 
 QUERY = "op7_repeats"
 
@@ -58,9 +58,8 @@ def pieces(data: np.ndarray, offsets: np.ndarray):
     if n < LENGTH:
         return (np.zeros(0, np.int64),) * 3 + (np.zeros(0, np.uint64),) * 4
     sums = prefix_sums(data)
-    at = np.arange(n - GRAM + 1)
-    grams = span_hashes(sums, at, at + GRAM)
-    low = (grams & ~np.uint64((1 << 24) - 1)) | at.astype(np.uint64)
+    grams = window_hashes(sums, GRAM)
+    low = (grams & ~np.uint64((1 << 24) - 1)) | np.arange(len(grams), dtype=np.uint64)
     best, width = low, 1
     while width * 2 <= REACH:
         best = np.minimum(best[: len(best) - width], best[width:])

@@ -129,6 +129,13 @@ def span_hashes(sums: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.nd
     return mix((sums[ends] - sums[starts]) * down[starts] + (ends - starts).astype(np.uint64))
 
 
+def window_hashes(sums: np.ndarray, size: int) -> np.ndarray:
+    """Hashes of the ``size`` bytes at each place: those of span_hashes."""
+    last = len(sums) - size
+    _, down = Powers.upto(len(sums))
+    return mix((sums[size:] - sums[:last]) * down[:last] + np.uint64(size))
+
+
 def word_hashes(data: np.ndarray, offsets: np.ndarray, gap: np.ndarray = BLANK):
     """Hash of each word, and for each row the range of its words."""
     starts, ends, bounds = tokens(data, offsets, gap)
