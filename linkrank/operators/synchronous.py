@@ -53,20 +53,21 @@ def _total(cfg: RankConfig, value, order) -> F.Column:
 
 
 BROADCAST_ROWS = 500_000
+CHAIN = 5  # steps in one plan
 
 
 class _Loop:
-    """A graph laid out for steps: edges by source, state by id."""
+    """A graph laid out for steps: edges by source, state by id, both sorted once, so that a step sorts only its sums."""
 
     def __init__(self, graph: Graph, cfg: RankConfig, method: str):
         self.cfg, self.method, self.graph = cfg, method, graph
         self.n = graph.count()
         self.frozen = 0
         self.parts = cfg.partitions or max(1, int(graph.spark.conf.get("spark.sql.shuffle.partitions")))
-        self.edges = cut(graph.edges.select("src", "dst", "coef", F.col("mult").cast("double").alias("mult")).repartition(self.parts, "src"))
+        self.edges = cut(graph.edges.select("src", "dst", "coef", F.col("mult").cast("double").alias("mult")).repartition(self.parts, "src").sortWithinPartitions("src"))
         base = initial_ranks(graph, cfg, self.n)
         ins = graph.in_degrees()
-        self.fixed = cut(base.join(ins, "id").repartition(self.parts, "id").select("id", F.col("out_degree").cast("double").alias("out_degree"), "in_degree", "rank"))
+        self.fixed = cut(base.join(ins, "id").repartition(self.parts, "id").sortWithinPartitions("id").select("id", F.col("out_degree").cast("double").alias("out_degree"), "in_degree", "rank"))
         self.size = self.fixed.count()
         self.start = self.fixed.select("id", "out_degree", "in_degree", "rank", F.lit(False).alias("frozen"), F.lit(False).alias("quiet"))
 
@@ -91,6 +92,13 @@ class _Loop:
             aggregates.append(F.max("moved").alias("stirred"))
         return slots.groupBy("dst").agg(*aggregates)
 
+    def blind_step(self, state: DataFrame, lost: float = 0.0) -> DataFrame:
+        """The next state without a look at the change: it reads the state once, so such steps can be chained in a plan."""
+        cfg = self.cfg
+        base = (1 - cfg.damping) / max(self.n, 1) + cfg.damping * lost / max(self.n, 1)
+        joined = self.fixed.drop("rank").join(self.sums(state), F.col("id") == F.col("dst"), "left")
+        return joined.select("id", "out_degree", "in_degree", (F.lit(base) + F.lit(cfg.damping) * F.coalesce("total", F.lit(0.0))).alias("rank"), F.lit(False).alias("frozen"), F.lit(False).alias("quiet"))
+
     def step(self, state: DataFrame, lost: float = 0.0) -> DataFrame:
         """The next state with delta, the absolute change."""
         cfg = self.cfg
@@ -140,8 +148,11 @@ def _run(graph: Graph, cfg: RankConfig, method: str) -> RankResult:
                 if cfg.dangling == "redistribute":
                     state = cut(state) if k else state
                     lost = state.where("out_degree = 0").agg(F.sum("rank")).first()[0] or 0.0
-                state = loop.step(state, lost)
-                if k < run - 1 and (cfg.freeze or k % 4 == 3):
+                last = k == run - 1
+                if last and k and not cfg.freeze:
+                    state = cut(state)  # a step that looks at the change reads it twice
+                state = loop.step(state, lost) if last or cfg.freeze else loop.blind_step(state, lost)
+                if not last and (cfg.freeze or k % CHAIN == CHAIN - 1):
                     state = cut(state)
             seen = Observation()
             worked = F.col("worked")
