@@ -128,6 +128,14 @@ def _stretches(shared, short: tuple[int, ...]):
     return find
 
 
+def _equal(words: np.ndarray, start: int, item: np.ndarray, shift: int) -> np.ndarray:
+    at = np.arange(len(item)) + (shift - start)
+    inside = (at >= 0) & (at < len(words))
+    equal = np.zeros(len(item), bool)
+    equal[inside] = words[at[inside]] == item[inside]
+    return equal
+
+
 def compare(words: np.ndarray, start: int, item: np.ndarray, shift: int) -> tuple[int, int, int]:
     """(first word, words, equal words) of the best stretch of an item laid over words at ``shift``.
 
@@ -135,10 +143,7 @@ def compare(words: np.ndarray, start: int, item: np.ndarray, shift: int) -> tupl
     Equal words score 1, others so much less that at least IDENTITY of a stretch with a
     positive score is equal.
     """
-    at = np.arange(len(item)) + (shift - start)
-    inside = (at >= 0) & (at < len(words))
-    equal = np.zeros(len(item), bool)
-    equal[inside] = words[at[inside]] == item[inside]
+    equal = _equal(words, start, item, shift)
     total = np.concatenate(([0.0], np.cumsum(np.where(equal, 1.0, -IDENTITY / (1 - IDENTITY)))))
     low = np.minimum.accumulate(total)
     end = int((total - low).argmax())
@@ -150,14 +155,31 @@ def compare(words: np.ndarray, start: int, item: np.ndarray, shift: int) -> tupl
     return shift + first, end - first, int(equal[first:end].sum())
 
 
+def longest(words: np.ndarray, start: int, item: np.ndarray, shift: int) -> tuple[int, int, int]:
+    """As ``compare``, for the stretch with the most equal words of those with at least IDENTITY of their words equal.
+
+    Each end takes the first place from which IDENTITY holds; that stretch has all equal words of the shorter ones.
+    """
+    equal = _equal(words, start, item, shift)
+    total = np.round(np.concatenate(([0.0], np.cumsum(equal - IDENTITY))), 6)  # exact IDENTITY counts
+    first = np.searchsorted(-np.minimum.accumulate(total), -total)
+    count = np.concatenate(([0], np.cumsum(equal)))
+    end = int((count - count[first]).argmax())
+    hit = np.flatnonzero(equal[first[end] : end]) + first[end]
+    return (shift + int(hit[0]), int(hit[-1] - hit[0] + 1), len(hit)) if len(hit) else (shift, 0, 0)
+
+
 def _verify(batches):
     names = ["doc_id", "item_id", "start", "n_words", "n_equal"]
     for batch in batches:
         out = []
         for doc, start, words, item_id, item, shift in zip(*(c.to_pylist() for c in batch.columns)):
-            item = np.frombuffer(item, np.uint64)
-            first, n, equal = compare(np.frombuffer(words, np.uint64), start, item, shift)
-            if equal >= min(LEAST, np.ceil(IDENTITY * len(item))):
+            words, item = np.frombuffer(words, np.uint64), np.frombuffer(item, np.uint64)
+            least = min(LEAST, np.ceil(IDENTITY * len(item)))
+            first, n, equal = compare(words, start, item, shift)
+            if equal < least:
+                first, n, equal = longest(words, start, item, shift)
+            if equal >= least:
                 out.append((doc, item_id, first, n, equal))
         columns = list(zip(*out)) or [()] * 5
         yield pa.record_batch([pa.array(c, pa.int64()) for c in columns], names=names)

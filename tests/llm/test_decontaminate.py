@@ -83,3 +83,29 @@ def test_compare():
     item[[3, 9]] = 0
     assert dec.compare(words, 0, item, 40) == (40, 20, 18)
     assert dec.compare(words[45:], 45, item, 40) == (50, 10, 10)
+
+
+def stated(equal):
+    """Whether a stretch of the flags has LEAST equal words or more, and IDENTITY of its words equal."""
+    return any(sum(equal[a:b]) >= dec.LEAST and 5 * sum(equal[a:b]) >= 4 * (b - a) for a in range(len(equal)) for b in range(a + 1, len(equal) + 1))
+
+
+def test_longest_equals_stated_rule():
+    rng = np.random.default_rng(5)
+    both = set()
+    for _ in range(400):
+        item = np.arange(1, 1 + int(rng.integers(15, 50)), dtype=np.uint64)
+        words = np.where(rng.random(len(item)) < rng.choice([0.1, 0.2, 0.3]), 0, item).astype(np.uint64)
+        first, n, equal = dec.longest(words, 0, item, 0)
+        assert equal == (words[first : first + n] == item[first : first + n]).sum() >= dec.IDENTITY * n - 1e-9
+        assert (equal >= dec.LEAST) == stated((words == item).tolist())
+        both.add(equal >= dec.LEAST)
+    assert both == {True, False}
+
+
+def test_stretches_with_changed_words(spark):
+    item = [f"i{k}" for k in range(40)]
+    changed = {1: (16, {10}), 2: (13, {6}), 3: (24, {3, 8, 13, 18, 23}), 4: (13, {3, 6}), 5: (24, {2, 5, 8, 11, 14, 17, 20})}
+    docs = [(k, " ".join([f"a{j}" for j in range(30)] + ["changed" if j in out else item[j] for j in range(n)] + [f"b{j}" for j in range(30)])) for k, (n, out) in changed.items()]
+    got = dec.find_leaks(spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame([(7, " ".join(item))], "item_id long, text string")).collect()
+    assert {(r.doc_id, r.start, r.n_words, r.n_equal) for r in got} == {(1, 30, 16, 15), (2, 30, 13, 12), (3, 30, 23, 19)}
