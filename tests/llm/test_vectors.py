@@ -62,3 +62,27 @@ def test_edges(spark):
 
 def test_equals_sql(spark):
     same(spark, vec.query, vec.ORACLE, "/root/testdata/sf0.01")
+
+
+def dense(n, background, pairs, seed=3):
+    """Vectors of one label with a cosine of about ``background`` to each other, and near copies of the first ones."""
+    rng = np.random.default_rng(seed)
+    x = np.sqrt(background) * np.eye(1, 64) + np.sqrt((1 - background) / 64) * rng.standard_normal((n, 64))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    aside = rng.standard_normal((pairs, 64))
+    aside -= (aside * x[:pairs]).sum(1, keepdims=True) * x[:pairs]
+    y = 0.982 * x[:pairs] + np.sqrt(1 - 0.982**2) * aside / np.linalg.norm(aside, axis=1, keepdims=True)
+    return np.concatenate([x, y]).astype(np.float32)
+
+
+@pytest.mark.parametrize("worth, least", [(1000, 1.0), (10, 0.985)])
+def test_dense_label(spark, monkeypatch, worth, least):
+    """Near copies in a crowded label are found: by all pairs, and, where those would cost more, by more passes."""
+    monkeypatch.setattr(vec, "WORTH", worth)
+    x = dense(8000, 0.93, 300)
+    got = {r.vec_id: r.n_links for r in vec.near_copies(spark.createDataFrame([(k, v, 1) for k, v in enumerate(x.tolist())], "vec_id long, embedding array<float>, label int")).collect()}
+    unit = x.astype(float) / np.linalg.norm(x.astype(float), axis=1, keepdims=True)
+    want = (unit @ unit.T >= vec.COSINE).sum(1) - 1
+    near = np.flatnonzero(want)
+    assert len(near) >= 600 and len(got) == 8300 and all(got[k] <= want[k] for k in got)
+    assert sum(got[k] == want[k] for k in near) >= least * len(near)
