@@ -394,27 +394,49 @@ def _multiplied(members: DataFrame, found: DataFrame) -> DataFrame:
     return keyed.groupBy("g").applyInArrow(multiply, "a long, b long")
 
 
-def jaccard_classes(docs: DataFrame) -> DataFrame:
-    """(doc_id, n_shingles, component_id): a row for each document."""
+def _rooted(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(doc_id, n_shingles, node, root) of the rows with shingles, and the others' (doc_id, n_shingles)."""
     join = Join(docs)
     known = cut(components(join.links()).withColumnRenamed("node", "_node"))
-    some = join.rows.where("n_shingles > 0").join(known, F.col("node") == F.col("_node"), "left").select("doc_id", "n_shingles", F.coalesce("component", "node").alias("root"))
-    some = cut(some)
+    some = join.rows.where("n_shingles > 0").join(known, F.col("node") == F.col("_node"), "left").select("doc_id", "n_shingles", "node", F.coalesce("component", "node").alias("root"))
+    return cut(some), join.rows.where("n_shingles = 0").select("doc_id", "n_shingles")
+
+
+def jaccard_classes(docs: DataFrame) -> DataFrame:
+    """(doc_id, n_shingles, component_id): a row for each document."""
+    some, none = _rooted(docs)
     least = cut(some.groupBy("root").agg(F.min("doc_id").alias("component_id")))
-    none = join.rows.where("n_shingles = 0").select("doc_id", "n_shingles", F.col("doc_id").alias("component_id"))
-    return some.join(least, "root").select("doc_id", "n_shingles", "component_id").unionByName(none)
+    return some.join(least, "root").select("doc_id", "n_shingles", "component_id").unionByName(none.withColumn("component_id", F.col("doc_id")))
+
+
+def _nodes(column):
+    """The hash of each row's set; null without shingles."""
+    out = [None] * len(column)
+    for k, found in sets(column):
+        out[k] = set_hash(found)
+    return pa.array(out, pa.int64())
 
 
 def first_of_each(docs: DataFrame) -> DataFrame:
-    """The documents without near copies of a smaller id, with all their columns; of rows with one id, one stays."""
-    classes = cut(jaccard_classes(docs))
-    later = cut(classes.where("doc_id <> component_id").select(F.col("doc_id").alias("_later")).distinct())
-    kept = docs.join(if_small(later), docs["doc_id"].cast("long") == F.col("_later"), "left_anti")
-    repeated = cut(classes.where("doc_id = component_id AND n_shingles > 0").groupBy("doc_id").count().where("count > 1").select(F.col("doc_id").alias("_twice")))
-    if repeated.limit(1).count() == 0:
+    """One document of each group of near copies, with all its columns: that with the smallest id.
+
+    Rows of one id count as documents of their own, told apart by their sets; rows without
+    shingles and those of null id stay.
+    """
+    some, none = _rooted(docs)
+    some = some.where("doc_id IS NOT NULL")
+    first = cut(some.groupBy("root").agg(F.min(F.struct("doc_id", "node")).alias("k")).select("root", F.col("k.doc_id").alias("_first"), F.col("k.node").alias("_set")))
+    twice = cut(some.select("doc_id").unionByName(none.select("doc_id").where("doc_id IS NOT NULL")).groupBy("doc_id").count().where("count > 1").select(F.col("doc_id").alias("_twice")))
+    later = some.join(first, "root").where("doc_id <> _first").select(F.col("doc_id").alias("_later")).distinct()
+    later = cut(later.join(if_small(twice), F.col("_later") == F.col("_twice"), "left_anti"))
+    own = docs["doc_id"].cast("long")
+    kept = docs.join(if_small(later), own == F.col("_later"), "left_anti")
+    if twice.limit(1).count() == 0:
         return kept
-    same = docs["doc_id"].cast("long") == F.col("_twice")
-    return kept.join(if_small(repeated), same, "left_anti").unionByName(kept.join(if_small(repeated), same, "left_semi").dropDuplicates(["doc_id"]))
+    shared = kept.join(if_small(twice), own == F.col("_twice"), "left_semi")
+    shared = shared.withColumn("_id", F.col("doc_id").cast("long")).withColumn("_node", F.arrow_udf(_nodes, "long")(F.col("text").cast("string")))
+    some = shared.where("_node IS NOT NULL").dropDuplicates(["_id", "_node"]).join(if_small(first.select("_first", "_set")), (F.col("_id") == F.col("_first")) & (F.col("_node") == F.col("_set")), "left_semi")
+    return kept.join(if_small(twice), own == F.col("_twice"), "left_anti").unionByName(some.unionByName(shared.where("_node IS NULL")).drop("_id", "_node"))
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -75,3 +75,12 @@ def test_edges(spark):
     kept = sorted(((r.doc_id, r.n_shingles) for r in jac.first_of_each(docs).collect()), key=str)
     assert kept == sorted([(1, 10), (2, 9), (3, 3), (4, 2), (5, 1), (6, 8), (8, 5), (None, 6)], key=str)
     assert jac.first_of_each(docs.limit(0)).count() == 0
+
+
+def test_repeated_ids_of_different_texts(spark):
+    a, b, c = (" ".join(f"{k}{j}" for j in range(60)) for k in "abc")
+    rows = [(1, a, 1), (1, b, 2), (2, a.upper(), 3), (2, c, 4), (3, b, 5), (4, c + " end", 6), (1, a + " end", 7), (5, "", 8), (5, None, 9), (5, "five words of a text", 10), (2, c, 4)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, row int")
+    kept = sorted((r.doc_id, r.row) for r in jac.first_of_each(docs).collect())
+    assert kept in ([(1, 1), (1, 2), (2, 4), (5, 8), (5, 9), (5, 10)], [(1, 2), (1, 7), (2, 4), (5, 8), (5, 9), (5, 10)])
+    assert jac.first_of_each(docs).columns == docs.columns
