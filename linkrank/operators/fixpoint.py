@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from itertools import count
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -11,11 +12,12 @@ from linkrank.graph import Graph
 from linkrank.plans.lineage import cut, loop_settings
 
 
-def fixpoint(graph: Graph, start: DataFrame, gather: Callable[[Column, Column], Column], combine: Callable[[Column], Column], apply: Callable[[Column, Column], Column], max_iter: int = 250, both_ways: bool = False) -> tuple[DataFrame, int]:
+def fixpoint(graph: Graph, start: DataFrame, gather: Callable[[Column, Column], Column], combine: Callable[[Column], Column], apply: Callable[[Column, Column], Column], max_iter: int | None = None, both_ways: bool = False) -> tuple[DataFrame, int]:
     """(id, value) after steps that change nothing more, and their number.
 
     A step sends gather(value, coef) along each edge, combines what arrives at a vertex
-    with an aggregate, and applies (value, combined) -> value.
+    with an aggregate, and applies (value, combined) -> value. Without ``max_iter`` it runs
+    until nothing changes; values that still change after ``max_iter`` steps are an error.
     """
     with loop_settings(graph.spark):
         edges = graph.edges.select("src", "dst", "coef")
@@ -24,15 +26,16 @@ def fixpoint(graph: Graph, start: DataFrame, gather: Callable[[Column, Column],
         parts = int(graph.spark.conf.get("spark.sql.shuffle.partitions"))
         edges = cut(edges.repartition(parts, "src"))
         state = cut(start.select("id", "value").repartition(parts, "id"))
-        for k in range(1, max_iter + 1):
+        for k in count(1):
             sent = edges.join(state, F.col("src") == F.col("id")).select("dst", gather(F.col("value"), F.col("coef")).alias("m")).groupBy("dst").agg(combine(F.col("m")).alias("m"))
             joined = state.join(sent, F.col("id") == F.col("dst"), "left")
             fresh = cut(joined.select("id", apply(F.col("value"), F.col("m")).alias("value"), (~apply(F.col("value"), F.col("m")).eqNullSafe(F.col("value"))).alias("changed")))
             moved = fresh.where("changed").limit(1).count()
             state = fresh.select("id", "value")
             if not moved:
-                break
-        return state, k
+                return state, k
+            if k == max_iter:
+                raise RuntimeError(f"values still change after {max_iter} steps")
 
 
 def weak_components(graph: Graph) -> DataFrame:

@@ -1,3 +1,4 @@
+import inspect
 import random
 from dataclasses import replace
 
@@ -147,3 +148,14 @@ def test_relational(spark):
 def test_tolerance_modes():
     cfg = RankConfig(tol=1e-6)
     assert cfg.bound(100) == 1e-6 and replace(cfg, tol_mode="uniform_relative").bound(100) == 1e-8
+
+
+def test_fixpoint_never_stops_unfinished(spark):
+    g = graph(spark, [(1, 2), (2, 3), (3, 4), (4, 5)])
+    start = g.vertices.select("id", F.when(F.col("id") == 1, F.lit(0).cast("long")).alias("value"))
+    step = (g, start, lambda v, c: v + 1, F.min, lambda v, m: F.least(v, m))
+    with pytest.raises(RuntimeError, match="after 3 steps"):
+        fixpoint.fixpoint(*step, max_iter=3)
+    state, steps = fixpoint.fixpoint(*step, max_iter=5)
+    assert steps == 5 and {r.id: r.value for r in state.collect()} == {1: 0, 2: 1, 3: 2, 4: 3, 5: 4}
+    assert inspect.signature(fixpoint.fixpoint).parameters["max_iter"].default is None
