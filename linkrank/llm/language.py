@@ -6,8 +6,7 @@ phrase ends: a text parses into few, long phrases over its own language and into
 many short ones over others. The language with the smallest cost wins; the cost of a
 language is its number of phrases times the bits of a position in its training text.
 
-Training takes up to ``TRAIN_BYTES`` of each of the ``LANGUAGES`` most frequent
-languages, from at most ``TRAIN_ROWS`` rows of each, chosen by a hash of the id. Texts
+Training takes up to ``TRAIN_BYTES`` of every labelled language, from at most ``TRAIN_ROWS`` rows of each, chosen by a hash of the id. Texts
 are parsed whole, in lanes of ``LANE`` letters that a kernel advances side by side.
 Text that is null or has no letter is ``und`` with score 0, as is all text if no
 language was learned. Equal costs go to the first code. Rows come back one for one,
@@ -30,7 +29,7 @@ QUERY = "op4_language"
 
 TRAIN_BYTES = 16_384
 TRAIN_ROWS = 48
-LANGUAGES = 100
+GROUP = 100  # languages parsed at a time
 LANE = 512
 UNDETERMINED = "und"
 _NONE = 0xFFFF
@@ -146,6 +145,14 @@ def phrases(data: np.ndarray, offsets: np.ndarray, model: Model) -> np.ndarray:
     return out
 
 
+def groups(model: Model):
+    """Models of GROUP of the languages each, views of the whole one's tables."""
+    ends = np.append(model.bases, len(model.moves))
+    for a in range(0, len(model.languages), GROUP):
+        b = min(a + GROUP, len(model.languages))
+        yield Model(model.languages[a:b], model.codes, model.moves[ends[a] : ends[b]], model.bases[a:b] - ends[a], model.bits[a:b])
+
+
 def _predictor(shared):
     def predict(batches):
         model = shared.value
@@ -165,7 +172,7 @@ def _predictor(shared):
                     score += [0.0] * (hi - lo)
                     cost += [0.0] * (hi - lo)
                     continue
-                bits = phrases(part, bounds, model) * model.bits
+                bits = np.concatenate([phrases(part, bounds, some_of) for some_of in groups(model)], axis=1) * model.bits
                 win = bits.argmin(axis=1)
                 low = bits.min(axis=1)
                 p = 1 / np.exp2(-(bits - low[:, None]) / 8).sum(axis=1)
@@ -195,7 +202,7 @@ def training_text(rows: list[tuple[str, str]]) -> dict[str, bytes]:
 def train(docs: DataFrame, where) -> Model:
     """A model from the rows of ``docs`` (doc_id, text, lang) that ``where`` allows."""
     ids = docs.where(F.col("lang").isNotNull() & where).select(F.col("doc_id").cast("long").alias("doc_id"), F.col("lang").cast("string").alias("lang"))
-    common = dict(ids.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(LANGUAGES).collect())
+    common = dict(ids.groupBy("lang").count().collect())
     sample = bounded_sample(ids, "lang", TRAIN_ROWS, common)
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     rows = texts.join(F.broadcast(sample), "doc_id").orderBy("lang", F.xxhash64("doc_id"), "doc_id").select("lang", "text").collect()

@@ -55,3 +55,15 @@ def test_held_out_accuracy(spark):
     got = lang.query(spark, sf).join(spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "lang"), "doc_id").where("held_out").collect()
     assert np.mean([r.lang_pred == r.lang for r in got]) > 0.97
     assert all(0 <= r.score <= 1 for r in got)
+
+
+def test_learns_every_language(spark):
+    rng = random.Random(4)
+    rows, tried = [], []
+    for k in range(103):
+        own = ["".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(6)) for _ in range(12)]
+        rows += [(100 * k + j, " ".join(rng.choice(own) for _ in range(25)), f"l{k:03d}") for j in range(2 if k < 100 else 1)]
+        tried.append((k, " ".join(rng.choice(own) for _ in range(15))))
+    model = lang.train(spark.createDataFrame(rows, "doc_id long, text string, lang string"), lang.F.lit(True))
+    got = {r.doc_id: r.lang_pred for r in lang.predict_language(spark.createDataFrame(tried, "doc_id long, text string"), model).collect()}
+    assert len(model.languages) == 103 and got == {k: f"l{k:03d}" for k, _ in tried}
