@@ -39,7 +39,7 @@ from pyspark.sql import functions as F
 
 from linkrank.llm.components import components, roots
 from linkrank.llm.tables import cut, if_small, table
-from linkrank.llm.text import LOWER, mix, shingles, slices, utf8, word_hashes
+from linkrank.llm.text import LOWER, SLICE, mix, shingles, slices, utf8, word_hashes
 
 QUERY = "op5_jaccard"
 
@@ -49,11 +49,15 @@ EXTRA = 0.05
 SHORT = 48
 COUNTERS = 1 << 22
 SLICES = 32
-RUN = 1 << 19  # shingles that are counted at a time
+RUN = 1 << 18  # shingles that are counted at a time
 FAN = 64  # tasks whose counters are added up at a time
 BLOCK_ENTRIES = 200_000
-FLUSH = 1 << 18
-CHUNK = 256
+FLUSH = 1 << 17
+PAIRS = 1 << 18  # pairs of a block that are held before equal ones are added up
+RECENT = 1 << 17  # sets a task remembers, to pass over copies
+CHUNK = 2048  # members of a cluster's chunk at most
+CHUNK_SHINGLES = 1 << 19  # shingles of a chunk, about
+TILE = 256  # rows that are multiplied at a time
 
 _ENTRY = np.dtype([("column", "<u4"), ("node", "<i8"), ("size", "<u4")])
 
@@ -142,15 +146,13 @@ def _entries(shared, blocks: int):
 
     def emit(batches):
         hot = shared.value
-        held, size, seen = [], 0, set()
+        held, size, recent = [], 0, np.zeros(RECENT, np.int64)
         for batch in batches:
             for _, found in sets(batch.column(0)):
                 node = set_hash(found)
-                if node in seen:
+                if recent[node % RECENT] == node:
                     continue
-                if len(seen) >= 1 << 20:
-                    seen.clear()
-                seen.add(node)
+                recent[node % RECENT] = node
                 above = hot[found & np.uint64(COUNTERS - 1)]
                 if above.any():
                     found = found[np.argsort(above, kind="stable")]
@@ -187,75 +189,116 @@ def _columns(raw: list[bytes]):
     return rows, starts, np.diff(np.append(starts, len(rows)))
 
 
+_PAIR = np.dtype([("a", "<i8"), ("b", "<i8"), ("short", "<i8"), ("pivot", "<i8"), ("need", "<i8")])
+
+
+def _added(rows: np.ndarray) -> np.ndarray:
+    """Pairs with the counts of equal ones added up, in order."""
+    if not len(rows):
+        return rows
+    rows = rows[np.lexsort((rows["b"], rows["a"]))]
+    at = np.flatnonzero(np.concatenate(([True], (rows["a"][1:] != rows["a"][:-1]) | (rows["b"][1:] != rows["b"][:-1]))))
+    out = rows[at].copy()
+    for name in ("short", "pivot"):
+        out[name] = np.add.reduceat(rows[name], at)
+    return out
+
+
+class _Pairs:
+    """Pairs of a block's entries, added up whenever PAIRS of them are held."""
+
+    def __init__(self, rows: np.ndarray):
+        self.rows, self.total, self.held, self.size = rows, np.zeros(0, _PAIR), [], 0
+
+    def add(self, left: np.ndarray, right: np.ndarray, kind: str) -> None:
+        rows = self.rows
+        ok = (rows["node"][left] != rows["node"][right]) & fits(rows["size"][left], rows["size"][right])
+        left, right = left[ok], right[ok]
+        found = np.zeros(len(left), _PAIR)
+        a, b = rows["node"][left], rows["node"][right]
+        found["a"], found["b"], found[kind] = np.minimum(a, b), np.maximum(a, b), 1
+        found["need"] = np.minimum(extra(rows["size"][left]), extra(rows["size"][right]))
+        self.held.append(found)
+        self.size += len(found)
+        if self.size > PAIRS:
+            self.sums()
+
+    def sums(self) -> np.ndarray:
+        self.total, self.held, self.size = _added(np.concatenate([self.total, *self.held])), [], 0
+        return self.total
+
+
 def _candidates(group: pa.Table) -> pa.Table:
     """Pairs of a block's short columns and of its long columns' pivots, and the long columns' entries."""
     rows, starts, sizes = _columns(group.column("entries").to_pylist())
-    left, right = [], []
+    pairs = _Pairs(rows)
     for n in np.unique(sizes[(sizes > 1) & (sizes <= SHORT)]):
-        at = starts[sizes == n]
+        every = starts[sizes == n]
         for i in range(n):
             for j in range(i + 1, n):
-                left.append(at + i)
-                right.append(at + j)
-    longer = np.flatnonzero(sizes > SHORT)
-    column, node, size = [], [], []
-    for k in longer:
+                pairs.add(every + i, every + j, "short")
+    block = int(group.column("block")[0].as_py())
+    column, node, size = ([np.zeros(0, np.int64)] for _ in range(3))
+    for k in np.flatnonzero(sizes > SHORT):
         own = np.arange(starts[k], starts[k] + sizes[k])
         pivot = own[mix(rows["node"][own].astype(np.uint64)).argmin()]
-        left.append(np.full(len(own), pivot))
-        right.append(own)
-        column.append(np.full(len(own), (int(group.column("block")[0].as_py()) << 32) | int(rows["column"][starts[k]]), np.int64))
+        pairs.add(np.full(len(own), pivot), own, "pivot")
+        column.append(np.full(len(own), (block << 32) | int(rows["column"][starts[k]]), np.int64))
         node.append(rows["node"][own])
-        size.append(rows["size"][own])
-    join = lambda x: np.concatenate(x) if x else np.zeros(0, np.int64)
-    pivots = np.concatenate([np.zeros(sum(map(len, left[: len(left) - len(longer)])), np.int64), np.ones(sum(map(len, left[len(left) - len(longer) :])), np.int64)])
-    left, right = join(left), join(right)
-    ok = (rows["node"][left] != rows["node"][right]) & fits(rows["size"][left], rows["size"][right])
-    left, right, pivots = left[ok], right[ok], pivots[ok]
-    a, b = rows["node"][left], rows["node"][right]
-    need = np.minimum(extra(rows["size"][left]), extra(rows["size"][right]))
-    ends = np.empty(len(a), [("a", "<i8"), ("b", "<i8")])
-    ends["a"], ends["b"] = np.minimum(a, b), np.maximum(a, b)
-    _, first, where = np.unique(ends, return_index=True, return_inverse=True)
-    pairs, need = ends[first], need[first]
-    by_pivot = np.bincount(where, pivots, len(first)).astype(np.int64)
-    short = np.bincount(where, minlength=len(first)).astype(np.int64) - by_pivot
-    column, node, size = join(column), join(node), join(size).astype(np.int64)
-    none, zero = np.zeros(len(pairs), np.int64), np.zeros(len(node), np.int64)
+        size.append(rows["size"][own].astype(np.int64))
+    found = pairs.sums()
+    column, node, size = (np.concatenate(x) for x in (column, node, size))
+    none, zero = np.zeros(len(found), np.int64), np.zeros(len(node), np.int64)
     both = lambda x, y: np.concatenate([x, y])
-    return pa.table({"a": both(pairs["a"], node), "b": both(pairs["b"], zero), "size": both(none, size), "column": pa.array(both(none, column), mask=np.arange(len(pairs) + len(node)) < len(pairs)), "short": both(short, zero), "pivot": both(by_pivot, zero), "need": both(need, zero)})
+    return pa.table({"a": both(found["a"], node), "b": both(found["b"], zero), "size": both(none, size), "column": pa.array(both(none, column), mask=np.arange(len(found) + len(node)) < len(found)), "short": both(found["short"], zero), "pivot": both(found["pivot"], zero), "need": both(found["need"], zero)})
 
 
 def _pick(shared):
-    """(node, found) of the documents that may be wanted: those whose id's bit is set."""
+    """(node, found) of the documents that may be wanted: those whose id's bit is set; a slice of texts at a time."""
 
     def pick(batches):
         bits = shared.value
         for batch in batches:
             ids = batch.column(0).fill_null(-1).to_numpy().astype(np.int64).view(np.uint64)
             keep = _has_bit(bits, ids)
-            out = [(set_hash(found), found.tobytes()) for _, found in sets(batch.column(1), keep)]
-            yield pa.record_batch([pa.array([n for n, _ in out], pa.int64()), pa.array([f for _, f in out], pa.binary())], names=["node", "found"])
+            nodes, raw, size = [], [], 0
+            for _, found in sets(batch.column(1), keep):
+                nodes.append(set_hash(found))
+                raw.append(found.tobytes())
+                size += len(raw[-1])
+                if size > SLICE:
+                    yield pa.record_batch([pa.array(nodes, pa.int64()), pa.array(raw, pa.binary())], names=["node", "found"])
+                    nodes, raw, size = [], [], 0
+            yield pa.record_batch([pa.array(nodes, pa.int64()), pa.array(raw, pa.binary())], names=["node", "found"])
 
     return pick
 
 
-BITS = 24
+MOST_BITS = 28  # places of the bitmap of wanted ids, as a power of 2: 32 MB; beyond some 2**25 ids it lets most rows pass, and the join drops them
+
+
+def _bits_for(n: int) -> int:
+    """Power of 2 of the places for ``n`` ids: sixteen each."""
+    return min(MOST_BITS, max(16, (16 * n).bit_length()))
 
 
 def _has_bit(bits: np.ndarray, ids: np.ndarray) -> np.ndarray:
-    at = mix(ids) & np.uint64((1 << BITS) - 1)
+    at = mix(ids) & np.uint64(64 * len(bits) - 1)
     return (bits[at >> np.uint64(6)] >> (at & np.uint64(63))) & np.uint64(1) > 0
 
 
-def _bits(batches):
+def _bits(power: int):
     """The wanted ids' places in the bitmap: (word, bits), summed up within a batch."""
-    for batch in batches:
-        at = mix(batch.column(0).to_numpy().astype(np.int64).view(np.uint64)) & np.uint64((1 << BITS) - 1)
-        words, where = np.unique(at >> np.uint64(6), return_inverse=True)
-        value = np.zeros(len(words), np.uint64)
-        np.bitwise_or.at(value, where, np.uint64(1) << (at & np.uint64(63)))
-        yield pa.record_batch([words.astype(np.int64), value.view(np.int64)], names=["word", "bits"])
+
+    def places(batches):
+        for batch in batches:
+            at = mix(batch.column(0).to_numpy().astype(np.int64).view(np.uint64)) & np.uint64((1 << power) - 1)
+            words, where = np.unique(at >> np.uint64(6), return_inverse=True)
+            value = np.zeros(len(words), np.uint64)
+            np.bitwise_or.at(value, where, np.uint64(1) << (at & np.uint64(63)))
+            yield pa.record_batch([words.astype(np.int64), value.view(np.int64)], names=["word", "bits"])
+
+    return places
 
 
 def _verify(batches):
@@ -289,24 +332,32 @@ class Join:
             counts[r.slice] = np.frombuffer(zlib.decompress(r.counts), np.int64)
         self.hot = common(counts.ravel())
 
-    def entries(self) -> DataFrame:
+    def entries(self, shared) -> DataFrame:
         total = self.rows.agg(F.sum("n_shingles")).first()[0] or 0
         blocks = min(1 << 30, max(128, math.ceil(total * (1 - PART / WHOLE + EXTRA) / BLOCK_ENTRIES)))
-        shared = self.spark.sparkContext.broadcast(self.hot)
         return self.docs.select("text").mapInArrow(_entries(shared, blocks), "block int, entries binary")
 
     def wanted(self, nodes: DataFrame) -> DataFrame:
         """(node, found): the whole sets of the given nodes, read again from their first documents."""
-        first = self.rows.join(nodes, "node", "left_semi").groupBy("node").agg(F.min(F.coalesce("doc_id", F.lit(-1).cast("long"))).alias("doc_id"))
-        words = first.select("doc_id").mapInArrow(_bits, "word long, bits long").groupBy("word").agg(F.bit_or("bits").alias("bits")).collect()  # at most 2**BITS / 64 rows
-        bits = np.zeros(1 << (BITS - 6), np.uint64)
-        bits[[r.word for r in words]] = np.array([r.bits for r in words], np.int64).view(np.uint64)
-        picked = self.docs.mapInArrow(_pick(self.spark.sparkContext.broadcast(bits)), "node long, found binary")
-        return cut(picked.join(nodes, "node", "left_semi").groupBy("node").agg(F.first("found").alias("found")))
+        first = cut(self.rows.join(nodes, "node", "left_semi").groupBy("node").agg(F.min(F.coalesce("doc_id", F.lit(-1).cast("long"))).alias("doc_id")))
+        power = _bits_for(first.count())
+        words = first.select("doc_id").mapInArrow(_bits(power), "word long, bits long").groupBy("word").agg(F.bit_or("bits").alias("bits")).toArrow()  # at most 2**MOST_BITS / 64 rows
+        bits = np.zeros(1 << (power - 6), np.uint64)
+        bits[words.column("word").to_numpy()] = words.column("bits").to_numpy().view(np.uint64)
+        shared = self.spark.sparkContext.broadcast(bits)
+        try:
+            picked = self.docs.mapInArrow(_pick(shared), "node long, found binary")
+            return cut(picked.join(nodes, "node", "left_semi").groupBy("node").agg(F.first("found").alias("found")))
+        finally:
+            shared.destroy()
 
     def links(self) -> DataFrame:
         """Verified links (a, b) between nodes; all that components need."""
-        found = cut(self.entries().groupBy("block").applyInArrow(_candidates, "a long, b long, size long, column long, short long, pivot long, need long"))
+        shared = self.spark.sparkContext.broadcast(self.hot)
+        try:
+            found = cut(self.entries(shared).groupBy("block").applyInArrow(_candidates, "a long, b long, size long, column long, short long, pivot long, need long"))
+        finally:
+            shared.destroy()
         counted = found.where("column IS NULL").groupBy("a", "b").agg(F.sum("short").alias("short"), F.sum("pivot").alias("pivot"), F.max("need").alias("need"))
         pairs = cut(counted)
         strong = pairs.where("short + pivot >= need").select("a", "b")
@@ -369,26 +420,33 @@ def overlaps(x: list[np.ndarray], y: list[np.ndarray]) -> np.ndarray:
 def _multiplied(members: DataFrame, found: DataFrame) -> DataFrame:
     """(a, b): links between members (cluster, node, component) of one cluster and different components.
 
-    Clusters are cut into chunks, and a task multiplies two chunks, so what it holds does
-    not follow the cluster's size.
+    Clusters are cut into chunks of bounded shingles, and a task multiplies two chunks a
+    tile at a time, so what it holds does not follow the cluster's size. Each member's set
+    goes to as many tasks as its cluster has chunks.
     """
-    sizes = members.groupBy("cluster").agg(F.ceil(F.count(F.lit(1)) / CHUNK).alias("chunks"))
+    weighed = members.join(found.select(F.col("node").alias("_node"), (F.octet_length("found") / 8).alias("n")), F.col("node") == F.col("_node")).drop("_node")
+    sizes = weighed.groupBy("cluster").agg(F.greatest(F.ceil(F.count(F.lit(1)) / CHUNK), F.ceil(F.sum("n") / CHUNK_SHINGLES)).alias("chunks"))
     spread = members.join(cut(sizes), "cluster").withColumn("i", F.pmod(F.xxhash64("node"), F.col("chunks"))).withColumn("j", F.explode(F.sequence(F.lit(0).cast("long"), F.col("chunks") - 1)))
     keyed = spread.join(found.withColumnRenamed("node", "_node"), F.col("node") == F.col("_node"))
     keyed = keyed.select(F.concat_ws(":", "cluster", F.least("i", "j"), F.greatest("i", "j")).alias("g"), (F.col("i") > F.col("j")).cast("int").alias("side"), "node", "component", "found")
 
     def multiply(group: pa.Table) -> pa.Table:
         side, node, comp = (group.column(k).to_numpy() for k in ("side", "node", "component"))
-        sets_ = [np.frombuffer(v.as_buffer(), np.uint64) for v in group.column("found")]
         x, y = np.flatnonzero(side == 0), np.flatnonzero(side == 1)
-        y = y if len(y) else x
-        a, b = np.zeros(0, np.int64), np.zeros(0, np.int64)
+        same = not len(y)
+        y = x if same else y
+        near = [(np.zeros(0, np.int64),) * 2]
         if len(x) and len(np.unique(comp)) > 1:
+            sets_ = [np.frombuffer(v.as_buffer(), np.uint64) for v in group.column("found")]
             size = np.array([len(v) for v in sets_])
-            both = overlaps([sets_[k] for k in x], [sets_[k] for k in y])
-            near = (WHOLE * both >= PART * (size[x][:, None] + size[y][None, :] - both)) & (comp[x][:, None] != comp[y][None, :])
-            p, q = np.nonzero(near)
-            a, b = roots(node[x[p]], node[y[q]])
+            for lo in range(0, len(x), TILE):
+                own = x[lo : lo + TILE]
+                for at in range(lo if same else 0, len(y), TILE):
+                    other = y[at : at + TILE]
+                    both = overlaps([sets_[k] for k in own], [sets_[k] for k in other])
+                    p, q = np.nonzero((WHOLE * both >= PART * (size[own][:, None] + size[other][None, :] - both)) & (comp[own][:, None] != comp[other][None, :]))
+                    near.append(roots(node[own[p]], node[other[q]]))
+        a, b = roots(*(np.concatenate(v) for v in zip(*near)))
         return pa.table({"a": a[a != b], "b": b[a != b]})
 
     return keyed.groupBy("g").applyInArrow(multiply, "a long, b long")

@@ -20,12 +20,46 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint()
 
 
-def if_small(df: DataFrame, rows: int = 200_000) -> DataFrame:
-    """``df`` with a broadcast hint if it has at most ``rows`` rows (narrow ones); else as it is.
+def if_small(df: DataFrame, rows: int = 200_000, wide: str | None = None, most: int = 32 << 20) -> DataFrame:
+    """``df`` with a broadcast hint if it has at most ``rows`` rows; else as it is.
 
-    Counts ``df``, so it should be cheap to compute: a table or what cut() gave.
+    Columns are to be narrow, but for ``wide`` (text or binary), of which at most ``most``
+    bytes are broadcast. Counts ``df``, so it should be cheap to compute: a table or what
+    cut() gave.
     """
-    return F.broadcast(df) if df.limit(rows + 1).count() <= rows else df
+    few = df.limit(rows + 1)
+    if wide is None:
+        return F.broadcast(df) if few.count() <= rows else df
+    found = few.agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.sum(F.octet_length(wide)), F.lit(0)).alias("size")).first()
+    return F.broadcast(df) if found["n"] <= rows and found["size"] <= most else df
+
+
+def free(columns, *names: str) -> list[str]:
+    """``names``, each with as many underscores behind it as tell it from ``columns`` (without case)."""
+    taken, out = {c.lower() for c in columns}, []
+    for name in names:
+        while name.lower() in taken:
+            name += "_"
+        taken.add(name.lower())
+        out.append(name)
+    return out
+
+
+def running(df: DataFrame, order: list, **values) -> DataFrame:
+    """``df`` with, for each name of ``values``, the column's sum over the rows before a row in ``order``.
+
+    Rows are sorted in ranges and summed within them; the ranges' totals, one row each, are
+    added. No task sees all rows. ``order`` should leave no ties, the names be free.
+    """
+    keyed = df.withColumns({f"_by{k}": c for k, c in enumerate(order)} | {f"_of_{name}": c for name, c in values.items()})
+    by = [f"_by{k}" for k in range(len(order))]
+    parts = cut(keyed.repartitionByRange(*by).withColumn("_part", F.spark_partition_id()))
+    sums = parts.groupBy("_part").agg(*(F.sum(f"_of_{name}").alias(f"_all_{name}") for name in values))
+    up = Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)
+    offsets = sums.select("_part", *(F.coalesce(F.sum(f"_all_{name}").over(up), F.lit(0)).alias(f"_from_{name}") for name in values))
+    own = Window.partitionBy("_part").orderBy(*by).rowsBetween(Window.unboundedPreceding, -1)
+    joined = parts.join(F.broadcast(offsets), "_part")  # a row for each range
+    return joined.select(*df.columns, *((F.col(f"_from_{name}") + F.coalesce(F.sum(f"_of_{name}").over(own), F.lit(0))).alias(name) for name in values))
 
 
 def remainder(column, modulus: int):

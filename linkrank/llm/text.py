@@ -2,8 +2,9 @@
 
 A kernel reads a batch's text column as one byte array with row offsets and
 walks it in slices of about ``SLICE`` bytes, so that its working memory does not
-follow the batch size (one document longer than that is a slice by itself).
-Nulls read as empty text.
+follow the batch size. A document longer than that is a slice by itself, whose words
+are hashed in chunks of about ``SLICE`` bytes that end between words. Nulls read as
+empty text.
 """
 
 from __future__ import annotations
@@ -14,7 +15,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
-SLICE = 1 << 20
+SLICE = 1 << 19
 
 _ROOT = 0x9E3779B97F4A7C15 | 1
 
@@ -28,7 +29,7 @@ class Powers:
     @classmethod
     def upto(cls, n: int) -> tuple[np.ndarray, np.ndarray]:
         if len(cls.up) < n:
-            size = 1 << (n - 1).bit_length()
+            size = -(-n // 65536) * 65536
             inverse = pow(_ROOT, -1, 1 << 64)
             for name, base in (("up", _ROOT), ("down", inverse)):
                 steps = np.full(size, base, np.uint64)
@@ -85,6 +86,22 @@ def slices(offsets: np.ndarray, most: int = SLICE) -> Iterator[tuple[int, int]]:
         lo = hi
 
 
+def chunks(data: np.ndarray, gap: np.ndarray, most: int = SLICE) -> Iterator[tuple[int, int]]:
+    """Ranges of about ``most`` bytes that end before a byte of ``gap``, so that no word is cut."""
+    lo, n = 0, len(data)
+    while lo < n:
+        hi = lo + most
+        while hi < n:
+            ends = np.flatnonzero(gap[data[hi : hi + 4096]])
+            if len(ends):
+                hi += int(ends[0])
+                break
+            hi += 4096
+        hi = min(hi, n)
+        yield lo, hi
+        lo = hi
+
+
 def fold(data: np.ndarray) -> np.ndarray:
     """Lower case of ASCII and of the two-byte letters from U+00C0 to U+00DE."""
     out = LOWER[data]
@@ -138,8 +155,12 @@ def window_hashes(sums: np.ndarray, size: int) -> np.ndarray:
 
 def word_hashes(data: np.ndarray, offsets: np.ndarray, gap: np.ndarray = BLANK):
     """Hash of each word, and for each row the range of its words."""
-    starts, ends, bounds = tokens(data, offsets, gap)
-    return span_hashes(prefix_sums(data), starts, ends), bounds
+    found, bounds = [np.zeros(0, np.uint64)], np.zeros(len(offsets), np.int64)
+    for lo, hi in chunks(data, gap):
+        starts, ends, own = tokens(data[lo:hi], np.clip(offsets, lo, hi) - lo, gap)
+        found.append(span_hashes(prefix_sums(data[lo:hi]), starts, ends))
+        bounds += own
+    return found[1] if len(found) == 2 else np.concatenate(found), bounds
 
 
 def shingles(words: np.ndarray, n: int) -> np.ndarray:
