@@ -38,7 +38,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from linkrank.llm.components import components, roots
-from linkrank.llm.tables import cut, if_small, table
+from linkrank.llm.tables import cut, free, if_small, table
 from linkrank.llm.text import LOWER, SLICE, mix, shingles, slices, utf8, word_hashes
 
 QUERY = "op5_jaccard"
@@ -339,7 +339,8 @@ class Join:
 
     def wanted(self, nodes: DataFrame) -> DataFrame:
         """(node, found): the whole sets of the given nodes, read again from their first documents."""
-        first = cut(self.rows.join(nodes, "node", "left_semi").groupBy("node").agg(F.min(F.coalesce("doc_id", F.lit(-1).cast("long"))).alias("doc_id")))
+        least = self.rows.groupBy("node").agg(F.min(F.coalesce("doc_id", F.lit(-1).cast("long"))).alias("doc_id"))  # before anything is joined: a set may have any number of copies
+        first = cut(least.join(nodes, "node", "left_semi"))
         power = _bits_for(first.count())
         words = first.select("doc_id").mapInArrow(_bits(power), "word long, bits long").groupBy("word").agg(F.bit_or("bits").alias("bits")).toArrow()  # at most 2**MOST_BITS / 64 rows
         bits = np.zeros(1 << (power - 6), np.uint64)
@@ -456,7 +457,7 @@ def _rooted(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
     """(doc_id, n_shingles, node, root) of the rows with shingles, and the others' (doc_id, n_shingles)."""
     join = Join(docs)
     known = cut(components(join.links()).withColumnRenamed("node", "_node"))
-    some = join.rows.where("n_shingles > 0").join(known, F.col("node") == F.col("_node"), "left").select("doc_id", "n_shingles", "node", F.coalesce("component", "node").alias("root"))
+    some = join.rows.where("n_shingles > 0").join(if_small(known), F.col("node") == F.col("_node"), "left").select("doc_id", "n_shingles", "node", F.coalesce("component", "node").alias("root"))
     return cut(some), join.rows.where("n_shingles = 0").select("doc_id", "n_shingles")
 
 
@@ -483,18 +484,19 @@ def first_of_each(docs: DataFrame) -> DataFrame:
     """
     some, none = _rooted(docs)
     some = some.where("doc_id IS NOT NULL")
-    first = cut(some.groupBy("root").agg(F.min(F.struct("doc_id", "node")).alias("k")).select("root", F.col("k.doc_id").alias("_first"), F.col("k.node").alias("_set")))
-    twice = cut(some.select("doc_id").unionByName(none.select("doc_id").where("doc_id IS NOT NULL")).groupBy("doc_id").count().where("count > 1").select(F.col("doc_id").alias("_twice")))
-    later = some.join(first, "root").where("doc_id <> _first").select(F.col("doc_id").alias("_later")).distinct()
-    later = cut(later.join(if_small(twice), F.col("_later") == F.col("_twice"), "left_anti"))
+    later_, twice_, first_, set_, id_, node_ = free(docs.columns, "_later", "_twice", "_first", "_set", "_id", "_node")
+    first = cut(some.groupBy("root").agg(F.min(F.struct("doc_id", "node")).alias("k")).select("root", F.col("k.doc_id").alias(first_), F.col("k.node").alias(set_)))
+    twice = cut(some.select("doc_id").unionByName(none.select("doc_id").where("doc_id IS NOT NULL")).groupBy("doc_id").count().where("count > 1").select(F.col("doc_id").alias(twice_)))
+    later = some.join(if_small(first), "root").where(F.col("doc_id") != F.col(first_)).select(F.col("doc_id").alias(later_)).distinct()
+    later = cut(later.join(if_small(twice), F.col(later_) == F.col(twice_), "left_anti"))
     own = docs["doc_id"].cast("long")
-    kept = docs.join(if_small(later), own == F.col("_later"), "left_anti")
+    kept = docs.join(if_small(later), own == F.col(later_), "left_anti")
     if twice.limit(1).count() == 0:
         return kept
-    shared = kept.join(if_small(twice), own == F.col("_twice"), "left_semi")
-    shared = shared.withColumn("_id", F.col("doc_id").cast("long")).withColumn("_node", F.arrow_udf(_nodes, "long")(F.col("text").cast("string")))
-    some = shared.where("_node IS NOT NULL").dropDuplicates(["_id", "_node"]).join(if_small(first.select("_first", "_set")), (F.col("_id") == F.col("_first")) & (F.col("_node") == F.col("_set")), "left_semi")
-    return kept.join(if_small(twice), own == F.col("_twice"), "left_anti").unionByName(some.unionByName(shared.where("_node IS NULL")).drop("_id", "_node"))
+    shared = kept.join(if_small(twice), own == F.col(twice_), "left_semi")
+    shared = shared.withColumn(id_, F.col("doc_id").cast("long")).withColumn(node_, F.arrow_udf(_nodes, "long")(F.col("text").cast("string")))
+    some = shared.where(F.col(node_).isNotNull()).dropDuplicates([id_, node_]).join(if_small(first.select(first_, set_)), (F.col(id_) == F.col(first_)) & (F.col(node_) == F.col(set_)), "left_semi")
+    return kept.join(if_small(twice), own == F.col(twice_), "left_anti").unionByName(some.unionByName(shared.where(F.col(node_).isNull())).drop(id_, node_))
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -73,7 +73,7 @@ def test_edges(spark):
     bench = spark.createDataFrame([(7, passage, 0), (8, None, 0), (9, "a b", 0), (9, "", 0)], "item_id long, text string, doc_id int")
     got = {(r.doc_id, r.item_id, r.n_equal, r.n_words) for r in dec.find_leaks(docs, bench).collect()}
     assert got == {(1, 7, 15, 15), (None, 7, 15, 15)}
-    assert sorted(r.doc_id for r in dec.drop_leaks(docs, bench).collect()) == [2, 3]
+    assert sorted((r.doc_id, r.item_id) for r in dec.drop_leaks(docs, bench).collect()) == [(1, 1), (2, 4), (3, 5)]  # a null text holds nothing, whatever other rows of its id hold
     assert dec.find_leaks(docs.limit(0), bench).count() == 0 and dec.find_leaks(docs, bench.limit(0)).count() == 0
 
 
@@ -109,3 +109,26 @@ def test_stretches_with_changed_words(spark):
     docs = [(k, " ".join([f"a{j}" for j in range(30)] + ["changed" if j in out else item[j] for j in range(n)] + [f"b{j}" for j in range(30)])) for k, (n, out) in changed.items()]
     got = dec.find_leaks(spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame([(7, " ".join(item))], "item_id long, text string")).collect()
     assert {(r.doc_id, r.start, r.n_words, r.n_equal) for r in got} == {(1, 30, 16, 15), (2, 30, 13, 12), (3, 30, 23, 19)}
+
+
+def test_rows_are_dropped_by_their_own_text(spark):
+    passage = " ".join(f"p{k}" for k in range(20))
+    rows = [(1, f"x {passage}", 1), (1, "a clean text", 2), (None, f"{passage} y", 3), (None, "another clean text", 4), (None, None, 5), (2, "a clean text", 6), (2, f"x {passage}", 7)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, own int")
+    bench = spark.createDataFrame([(1, passage, 1)], "item_id long, text string, seed int")
+    kept = dec.drop_leaks(docs, bench)
+    assert kept.columns == docs.columns and sorted(r.own for r in kept.collect()) == [2, 4, 5, 6]
+
+
+def test_items_of_few_words_match_texts_of_just_these(spark):
+    docs = spark.createDataFrame([(1, "Forty two!"), (2, "it is forty two"), (3, "Paris"), (4, "one two three four"), (5, "one two three four five"), (6, "forty")], "doc_id long, text string")
+    bench = spark.createDataFrame([(1, "forty two"), (2, "paris."), (3, "one two three four"), (4, "  "), (2, "paris.")], "item_id long, text string")
+    assert {(r.doc_id, r.item_id, r.start, r.n_words) for r in dec.find_leaks(docs, bench).collect()} == {(1, 1, 0, 2), (3, 2, 0, 1), (4, 3, 0, 4)}
+
+
+def test_a_seed_of_many_documents_in_shares(spark, monkeypatch):
+    passage = " ".join(f"p{k}" for k in range(14))
+    docs = spark.createDataFrame([(k, f"{passage} {k}") for k in range(300)], "doc_id long, text string")
+    bench = spark.createDataFrame([(1, passage), (2, passage + " end")], "item_id long, text string")
+    monkeypatch.setattr(dec, "if_small", lambda df, *_: df)
+    assert {(r.doc_id, r.item_id) for r in dec.find_leaks(docs, bench).collect()} == {(k, i) for k in range(300) for i in (1, 2)}
