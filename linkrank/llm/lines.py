@@ -4,12 +4,17 @@ A line is known by the hash of its text without outer blanks. A HyperLogLog sket
 the sites (sources) is merged for each line by aggregation, so a line's state stays
 small however common it is. Lines whose estimate lies clearly above or below the
 threshold are settled; the few near it get an exact distinct count. Lines of at least
-``MIN_SITES`` sites are boilerplate and are taken out of every document.
+``MIN_SITES`` sites are boilerplate and are taken out of every document. A sketch of
+2**SKETCH_BITS registers holds its first 24 values one by one, so around the threshold
+of 10 an estimate is off only where 26-bit hashes of sites collide, far less than ``NEAR``;
+with another threshold its standard error is 6.5 %, and NEAR some 4.6 of that.
 
 Blank lines are never removed. Rows without source add no site. Null texts stay null
 and have no lines. A document keeps its place, also if all its lines go (its text is
 then empty); rows come back one for one with all their columns, also for null or
-repeated ids. DataFrame functions only.
+repeated ids. The counts are in n_lines and n_removed; a column that the input has under
+such a name stays as it is, and the count gets an underscore behind its own.
+DataFrame functions only.
 """
 
 from __future__ import annotations
@@ -17,7 +22,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from linkrank.llm.tables import cut, if_small, table
+from linkrank.llm.tables import cut, free, if_small, table
 
 QUERY = "op2_lines"
 
@@ -60,19 +65,31 @@ def boilerplate(docs: DataFrame, min_sites: int = MIN_SITES, near: float = NEAR)
     return sure.unionByName(exact)
 
 
+def _mask(places: Column) -> Column:
+    """A byte for each line up to the last of ``places``, which are sorted: 1 for those among them."""
+    gap = lambda p, k: F.concat(F.repeat(F.lit("0"), p - F.when(k > 0, F.get(places, k - 1)).otherwise(-1) - 1), F.lit("1"))
+    return F.array_join(F.transform(places, gap), "").cast("binary")
+
+
 def remove_boilerplate(docs: DataFrame, min_sites: int = MIN_SITES) -> DataFrame:
-    """The documents with n_lines and n_removed added and the boilerplate out of their text."""
+    """The documents with the boilerplate out of their text, and n_lines and n_removed added.
+
+    A document that holds boilerplate gets a mask of its lines, which meets it by id and
+    hash of the text; masks are broadcast if they are few and small, else joined.
+    """
     text = F.col("text").cast("string")
-    lines = if_small(cut(boilerplate(docs, min_sites)))
-    own = [F.col("doc_id").alias("_id"), F.xxhash64(text).alias("_hash")]
-    gone = cut(_exploded(docs, *own).join(lines, "_key").groupBy("_id", "_hash").agg(F.collect_set("_pos").alias("_gone")))
-    marked = docs.withColumn("_own", F.xxhash64(text))
-    joined = marked.join(if_small(gone), marked["doc_id"].eqNullSafe(gone["_id"]) & (marked["_own"] == gone["_hash"]), "left")
-    parts = F.filter(_lines(F.col("text").cast("string")), lambda _, at: ~F.array_contains(F.col("_gone"), at))
-    kept = F.when(F.col("_gone").isNull(), F.col("text").cast("string")).otherwise(F.array_join(parts, "\n"))
-    size = F.when(F.col("text").isNull(), 0).otherwise(F.size(_lines(F.col("text").cast("string"))))
-    names = [c for c in docs.columns if c not in ("text", "n_lines", "n_removed")]
-    return joined.select(*(marked[c] for c in names), kept.alias("text"), size.cast("long").alias("n_lines"), F.when(F.col("_gone").isNull(), 0).otherwise(F.size("_gone")).cast("long").alias("n_removed"))
+    id_, hash_, mask, many = free(docs.columns, "_id", "_hash", "_mask", "_many")
+    n_lines, n_removed = free(docs.columns, "n_lines", "n_removed")
+    keys = if_small(cut(boilerplate(docs, min_sites)))
+    own = [F.col("doc_id").alias(id_), F.xxhash64(text).alias(hash_)]
+    places = _exploded(docs, *own).join(keys, "_key").groupBy(id_, hash_).agg(F.sort_array(F.collect_set("_pos")).alias("_at"))
+    gone = cut(places.select(id_, hash_, _mask(F.col("_at")).alias(mask), F.size("_at").alias(many)))
+    joined = docs.join(if_small(gone, wide=mask), docs["doc_id"].eqNullSafe(gone[id_]) & (F.xxhash64(text) == gone[hash_]), "left")
+    parts = F.filter(_lines(text), lambda _, at: F.substring(F.col(mask), at + 1, F.lit(1)) != F.lit(b"1"))
+    kept = F.when(F.col(mask).isNull(), text).otherwise(F.array_join(parts, "\n"))
+    size = F.when(docs["text"].isNull(), 0).otherwise(F.size(_lines(text)))
+    columns = [kept.alias(c) if c == "text" else docs[c] for c in docs.columns]
+    return joined.select(*columns, size.cast("long").alias(n_lines), F.coalesce(many, F.lit(0)).cast("long").alias(n_removed))
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
