@@ -14,8 +14,10 @@ partial pass if the middle of it lies within what is left, so that a source miss
 its target by half a document at most.
 
 Null texts have no words. Rows come back one for one; equal keys are ordered by
-doc_id, then text, so reruns agree; null ids have the hash of a null and sort first.
-Empty input gives no rows. DataFrame functions only.
+doc_id, then text, so reruns agree; null ids draw their key by their text and sort
+first among equal keys. A column of the input that has the name of a result's stays in
+``mixed``, and the result's gets an underscore behind it. Empty input gives no rows.
+DataFrame functions only.
 """
 
 from __future__ import annotations
@@ -23,7 +25,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from linkrank.llm.tables import cut, if_small, table
+from linkrank.llm.tables import cut, free, if_small, running, table
 
 QUERY = "op8_mixing"
 
@@ -40,7 +42,7 @@ def words(text: Column) -> Column:
 
 def uniform(key: Column, salt: str) -> Column:
     """A number in (0, 1) from the key's text: 52 bits of its MD5."""
-    bits = F.conv(F.substring(F.md5(F.concat(F.lit(salt), F.coalesce(key.cast("string"), F.lit("")))), 1, 13), 16, 10)
+    bits = F.conv(F.substring(F.md5(F.concat(F.lit(salt), key)), 1, 13), 16, 10)
     return (bits.cast("double") + 0.5) / float(1 << 52)
 
 
@@ -49,27 +51,29 @@ def targets(sizes: DataFrame, weights: tuple[float, ...] = WEIGHTS, share: float
 
     With sources ordered by limit over weight, those up to some place are held at
     their limit and the rest share what remains; the place is the first at which the
-    level of the rest stays within the next limit. One row per source: the sources'
-    table is small, and its windows run over it alone.
+    level of the rest stays within the next limit. Places and sums over sources come from
+    sorted ranges, so no task sees all of them, however many there are.
     """
-    every = Window.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
-    turn = F.pmod(F.row_number().over(Window.orderBy(F.col("source").isNull(), F.col("source"))) - 1, F.lit(len(weights)))
-    with_weight = sizes.withColumn("_w", F.element_at(F.array(*map(F.lit, weights)), (turn + 1).cast("int")))
-    limited = with_weight.withColumn("_limit", most * F.col("source_size")).withColumn("_ratio", F.col("_limit") / F.col("_w"))
-    order = Window.orderBy("_ratio", F.col("source").isNull(), "source")
-    before = order.rowsBetween(Window.unboundedPreceding, -1)
-    after = order.rowsBetween(0, Window.unboundedFollowing)
-    level = (share * F.sum("source_size").over(every) - F.coalesce(F.sum("_limit").over(before), F.lit(0.0))) / F.sum("_w").over(after)
-    leveled = limited.withColumn("_level", level)
-    best = F.max(F.when(F.col("_level") <= F.col("_ratio"), F.col("_level"))).over(every)
-    return leveled.withColumn("target", F.coalesce(F.least("_limit", F.col("_w") * best), F.col("_limit"))).select("source", "source_size", "source_rows", "target")
+    numbered = running(sizes.select("source", "source_size", "source_rows"), [F.col("source").isNull(), F.col("source")], _turn=F.lit(1))
+    weight = F.element_at(F.array(*map(F.lit, weights)), (F.pmod(F.col("_turn"), F.lit(len(weights))) + 1).cast("int"))
+    limited = numbered.withColumn("_w", weight).withColumn("_limit", most * F.col("source_size")).withColumn("_ratio", F.col("_limit") / F.col("_w")).drop("_turn")
+    leveled = cut(running(limited, [F.col("_ratio"), F.col("source").isNull(), F.col("source")], _held=F.col("_limit"), _light=F.col("_w")))
+    total, heavy = leveled.agg(F.coalesce(F.sum("source_size"), F.lit(0)), F.coalesce(F.sum("_w"), F.lit(0.0))).first()
+    leveled = leveled.withColumn("_level", (share * F.lit(total) - F.col("_held")) / (F.lit(heavy) - F.col("_light")))
+    best = leveled.agg(F.max(F.when(F.col("_level") <= F.col("_ratio"), F.col("_level")))).first()[0]
+    least = F.col("_limit") if best is None else F.least("_limit", F.col("_w") * F.lit(best))
+    return leveled.withColumn("target", least.cast("double")).select("source", "source_size", "source_rows", "target")
+
+
+def _key(docs: DataFrame, weight: Column | None, salt: str) -> Column:
+    drawn = uniform(F.coalesce(F.col("doc_id").cast("string"), F.md5(F.coalesce(F.col("text"), F.lit("")))), salt)
+    return -F.log(drawn) / (weight if weight is not None else quality_weight(F.col("text")))
 
 
 def sizes(docs: DataFrame, weight: Column | None = None, salt: str = "mix") -> DataFrame:
     """(doc_id, source, size, key): a row for each document, without its text."""
-    key = -F.log(uniform(F.col("doc_id"), salt)) / (weight if weight is not None else quality_weight(F.col("text")))
     return docs.select(
-        F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), words(F.col("text")).alias("size"), key.alias("_key"), F.md5(F.coalesce(F.col("text"), F.lit(""))).alias("_tie")
+        F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), words(F.col("text")).alias("size"), _key(docs, weight, salt).alias("_key"), F.md5(F.coalesce(F.col("text"), F.lit(""))).alias("_tie")
     )
 
 
@@ -86,7 +90,7 @@ def mix(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, share: float = SH
     sources = rows.groupBy("source").agg(F.sum("size").alias("source_size"), F.count(F.lit(1)).alias("source_rows"))
     aims = cut(targets(sources, weights, share, most))
     same = F.col("a.source").eqNullSafe(F.col("r.source"))
-    joined = rows.alias("r").join(aims.alias("a"), same).select("r.*", "a.source_size", "a.source_rows", "a.target")
+    joined = rows.alias("r").join(if_small(aims).alias("a"), same).select("r.*", "a.source_size", "a.source_rows", "a.target")
     bins = F.ceil(F.col("source_rows") / BIN_ROWS)
     placed = joined.withColumn("_bin", F.least(bins - 1, F.floor((1 - F.exp(-1.5 * F.col("_key"))) * bins)))
     full = F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(0)
@@ -109,17 +113,16 @@ def mixed(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, share: float =
     A source takes a prefix of its documents in key order, so one row per source, with
     the last key taken, decides about every document where it stands.
     """
-    own = [c for c in docs.columns if c not in ("passes", "taken")]
+    passes, taken, source, full, end, size, here = free(docs.columns, "passes", "taken", "_source", "_full", "_end", "_size", "_here")
     plan = mix(docs, weights, share, most, weight, salt)
     place = F.struct("_key", "doc_id", "_tie")
     ends = plan.withColumn("_full", F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(0))
-    ends = cut(ends.groupBy(F.col("source").alias("_source")).agg(F.max("_full").alias("_full"), F.max(F.when(F.col("passes") > F.col("_full"), place)).alias("_end")))
-    key = -F.log(uniform(F.col("doc_id"), salt)) / (weight if weight is not None else quality_weight(F.col("text")))
-    here = F.struct(key.alias("_key"), F.col("doc_id").cast("long").alias("doc_id"), F.md5(F.coalesce(F.col("text"), F.lit(""))).alias("_tie"))
-    marked = docs.withColumns({"_size": words(F.col("text")), "_here": here})
-    joined = marked.join(if_small(ends), marked["source"].cast("string").eqNullSafe(F.col("_source")))
-    passes = (F.col("_full") + F.when((F.col("_size") > 0) & (F.col("_here") <= F.col("_end")), 1).otherwise(0)).cast("long")
-    return joined.withColumn("passes", passes).where("passes > 0").withColumn("taken", F.col("passes") * F.col("_size")).select(*own, "passes", "taken")
+    ends = cut(ends.groupBy(F.col("source").alias(source)).agg(F.max("_full").alias(full), F.max(F.when(F.col("passes") > F.col("_full"), place)).alias(end)))
+    own = F.struct(_key(docs, weight, salt).alias("_key"), F.col("doc_id").cast("long").alias("doc_id"), F.md5(F.coalesce(F.col("text"), F.lit(""))).alias("_tie"))
+    marked = docs.withColumns({size: words(F.col("text")), here: own})
+    joined = marked.join(if_small(ends), marked["source"].cast("string").eqNullSafe(F.col(source)))
+    times = (F.col(full) + F.when((F.col(size) > 0) & (F.col(here) <= F.col(end)), 1).otherwise(0)).cast("long")
+    return joined.withColumn(passes, times).where(F.col(passes) > 0).withColumn(taken, F.col(passes) * F.col(size)).select(*docs.columns, passes, taken)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -129,7 +132,7 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
 ORACLE = r"""
 WITH d AS (
   SELECT doc_id, source, CAST(len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')) AS BIGINT) AS size, md5(coalesce(text, '')) AS tie,
-         -ln((CAST(('0x' || substr(md5('mix' || coalesce(CAST(doc_id AS VARCHAR), '')), 1, 13)) AS BIGINT) + 0.5) / 4503599627370496.0)
+         -ln((CAST(('0x' || substr(md5('mix' || coalesce(CAST(doc_id AS VARCHAR), md5(coalesce(text, '')))), 1, 13)) AS BIGINT) + 0.5) / 4503599627370496.0)
            / (2.0 - coalesce((strlen(text) - strlen(translate(text, '0123456789#*$%&|<>{}[]\^~_=+@', ''))) / nullif(CAST(strlen(text) AS DOUBLE), 0), 1.0)) AS k
   FROM documents
 ), s AS (

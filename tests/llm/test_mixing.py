@@ -51,3 +51,13 @@ def test_edges(spark):
     assert mixing.mix(docs.limit(0)).count() == 0
     none = mixing.mix(docs.where("doc_id = 3")).collect()
     assert [(r.size, r.taken) for r in none] == [(0, 0)]
+
+
+def test_clashing_names_stay_and_null_ids_spread(spark):
+    rows = [(None if k % 2 else k, f"text {k} " * (1 + k % 5), "s", k, -1, "own") for k in range(60)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string, passes int, _size int, _here string")
+    got = mixing.mixed(docs).collect()
+    assert got[0].__fields__ == [*docs.columns, "passes_", "taken"]
+    assert all(r._size == -1 and r._here == "own" and r.passes in range(60) and r.taken == r.passes_ * (r.text.count(" ")) for r in got)
+    keys = [r._key for r in mixing.sizes(docs).where("doc_id IS NULL").collect()]
+    assert len(set(keys)) == 30

@@ -52,3 +52,26 @@ def test_edges(spark):
             frame = stage(spark, frame, "/root/testdata/sf0.001")
             frame.count()
     assert frame.columns == [*docs.columns, "passes", "taken"]
+
+
+def test_repeated_ids_clashing_names_and_long_texts(spark, tmp_path):
+    """Every stage keeps the unrelated rows of an id, and columns whose names it uses itself."""
+    passage = next(r.text for r in spark.read.parquet("/root/testdata/sf0.001/benchmark.parquet").collect() if len(tokens(r.text)) > 20)
+    clean = [" ".join(f"{c}{j}" for j in range(60)) for c in "abcdef"]
+    rows = [(1, clean[0]), (1, clean[1]), (1, f"x {passage} y"), (None, clean[2]), (None, f"{passage} z"), (2, clean[0].upper() + "\nfoot"), (2, clean[3]), (3, "long " * 300000), (None, None), (4, None)]
+    names = ["n_removed", "passes", "_own", "_hash", "_leak", "_later", "_size"]
+    schema = "doc_id long, text string, lang string, source string, n_chars long, " + ", ".join(f"{n} int" for n in names)
+    docs = spark.createDataFrame([(i, t, "en", "s", len(t or ""), *(k for _ in names)) for k, (i, t) in enumerate(rows)], schema)
+    for k, (name, stage) in enumerate(pipeline.STAGES):
+        if name == "quality":
+            continue
+        out = stage(spark, docs, "/root/testdata/sf0.001")
+        assert out.columns[: len(docs.columns)] == docs.columns
+        out.write.parquet(f"{tmp_path}/{k}")
+        docs = spark.read.parquet(f"{tmp_path}/{k}")
+        got = docs.collect()
+        assert all(r[n] == got[j].n_removed for j, r in enumerate(got) for n in names)
+        if name == "near_copies":
+            assert sorted(r.n_removed for r in got) == [0, 1, 2, 3, 4, 6, 7, 8, 9]
+        if name == "decontamination":
+            assert sorted(r.n_removed for r in got) == [0, 1, 3, 6, 7, 8, 9]
