@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from linkrank.llm import decontaminate, jaccard, lines, mixing, quality
-from linkrank.llm.tables import cut, table
+from linkrank.llm.tables import cut, free, table
 
 ORACLE_SQL = None  # the classifier has no SQL form; tests compare the stages with brute force
 
@@ -22,8 +22,9 @@ def good_text(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def without_boilerplate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Takes lines of many sites out of every text."""
+    removed = free([*docs.columns, "n_lines"], "n_removed")[0]
     cleaned = lines.remove_boilerplate(docs)
-    return cleaned.withColumn("n_chars", F.when(cleaned["n_removed"] > 0, F.char_length("text").cast("long")).otherwise(F.col("n_chars"))).select(*docs.columns)
+    return cleaned.withColumn("n_chars", F.when(F.col(removed) > 0, F.char_length("text").cast("long")).otherwise(F.col("n_chars"))).select(*docs.columns)
 
 
 def without_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
