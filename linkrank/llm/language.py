@@ -6,9 +6,12 @@ phrase ends: a text parses into few, long phrases over its own language and into
 many short ones over others. The language with the smallest cost wins; the cost of a
 language is its number of phrases times the bits of a position in its training text.
 
-Training takes up to ``TRAIN_BYTES`` of every labelled language, from at most ``TRAIN_ROWS`` rows of each, chosen by a hash of the id. Texts
-are parsed whole, in lanes of ``LANE`` letters that a kernel advances side by side.
-Text that is null or has no letter is ``und`` with score 0, as is all text if no
+Training takes up to ``TRAIN_BYTES`` of every labelled language, in pieces from anywhere
+in the texts of about ``TRAIN_ROWS`` rows of each, chosen by a hash of the id. Texts are
+parsed whole, in lanes of ``LANE`` letters that a kernel advances side by side. A lane
+starts ``AHEAD`` letters early to guess the state it is entered in; where the guess is not
+the state in which the lane before ends, it is parsed again from that one, until all
+agree, so phrases are those of the whole text. Text that is null or has no letter is ``und`` with score 0, as is all text if no
 language was learned. Equal costs go to the first code. Rows come back one for one,
 also for null or repeated ids.
 """
@@ -22,15 +25,17 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from linkrank.llm.tables import bounded_sample, remainder, table
+from linkrank.llm.tables import bounded_pieces, bounded_sample, remainder, table
 from linkrank.llm.text import fold, slices, utf8
 
 QUERY = "op4_language"
 
 TRAIN_BYTES = 16_384
-TRAIN_ROWS = 48
+TRAIN_ROWS = 128
+SHARE = 384  # characters of a text that are learned from together
 GROUP = 100  # languages parsed at a time
 LANE = 512
+AHEAD = 64
 UNDETERMINED = "und"
 _NONE = 0xFFFF
 
@@ -110,37 +115,57 @@ def build(texts: dict[str, bytes]) -> Model:
     return Model(names, codes, np.concatenate(tables) if tables else np.zeros((0, 1), np.uint16), np.array(bases, np.int64), np.log2([len(texts[k]) + 1 for k in names]))
 
 
+class _Parser:
+    """Advances many places of a text side by side over the automata of a model's languages."""
+
+    def __init__(self, data: np.ndarray, model: Model):
+        self.symbols = model.codes[data]
+        self.width = model.moves.shape[1]
+        self.flat = model.moves.ravel()
+        self.base = (model.bases * self.width)[:, None]
+        roots = model.moves[model.bases]
+        stuck = np.diff(np.append(model.bases, len(model.moves)))[:, None] - 1
+        self.roots = np.where(roots == _NONE, stuck, roots.astype(np.int64))
+
+    def advance(self, first: np.ndarray, size: np.ndarray, state: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """States (languages, lanes) after ``size`` letters from ``first`` on, and phrases ended; state 0 has none to end."""
+        order = np.argsort(-size, kind="stable")
+        at, size, state = first[order], size[order], state[:, order]
+        active = len(size) - np.searchsorted(size[::-1], np.arange(int(size.max(initial=0))), "right")
+        count = np.zeros(state.shape, np.int64)
+        for t, k in enumerate(active.tolist()):
+            c = self.symbols[at[:k] + t]
+            was = state[:, :k]
+            to = self.flat[self.base + was * self.width + c].astype(np.int64)
+            ends = to == _NONE
+            count[:, :k] += ends & (was > 0)
+            state[:, :k] = np.where(ends, self.roots[:, c], to)
+        back = np.argsort(order, kind="stable")
+        return state[:, back], count[:, back]
+
+
 def phrases(data: np.ndarray, offsets: np.ndarray, model: Model) -> np.ndarray:
     """Phrases of each row's letters over each language: an array (rows, languages)."""
     rows, langs = len(offsets) - 1, len(model.languages)
-    symbols = model.codes[data]
     sizes = np.diff(offsets)
+    out = np.repeat((sizes > 0).astype(float)[:, None], langs, axis=1)  # the phrase that the text's end cuts
+    if not langs or not len(data):
+        return out
     lanes = -(-sizes // LANE)
     row = np.repeat(np.arange(rows), lanes)
-    start = offsets[row] + LANE * (np.arange(len(row)) - np.repeat(np.cumsum(lanes) - lanes, lanes))
+    place = np.arange(len(row)) - np.repeat(np.cumsum(lanes) - lanes, lanes)
+    start = offsets[row] + LANE * place
     size = np.minimum(LANE, offsets[row + 1] - start)
-    order = np.argsort(-size, kind="stable")
-    row, start, size = row[order], start[order], size[order]
-    active = len(size) - np.searchsorted(size[::-1], np.arange(LANE), "right")
-    width = model.moves.shape[1]
-    flat = model.moves.ravel()
-    base = (model.bases * width)[:, None]
-    roots = model.moves[model.bases] if langs else np.zeros((0, width), np.uint16)
-    stuck = np.diff(np.append(model.bases, len(model.moves)))[:, None] - 1
-    roots = np.where(roots == _NONE, stuck, roots.astype(np.int64))
-    state = np.zeros((langs, len(row)), np.int64)
-    count = np.ones((langs, len(row)), np.int64)
-    for t in range(LANE):
-        k = int(active[t])
-        if not k:
+    parser = _Parser(data, model)
+    ahead = np.where(place > 0, min(AHEAD, LANE), 0)
+    entered, _ = parser.advance(start - ahead, ahead, np.zeros((langs, len(row)), np.int64))
+    left, count = parser.advance(start, size, entered)
+    while True:
+        wrong = np.flatnonzero((place[1:] > 0) & (entered[:, 1:] != left[:, :-1]).any(axis=0)) + 1
+        if not len(wrong):
             break
-        c = symbols[start[:k] + t]
-        to = flat[base + state[:, :k] * width + c].astype(np.int64)
-        ends = to == _NONE
-        if t:
-            count[:, :k] += ends
-        state[:, :k] = np.where(ends, roots[:, c], to)
-    out = np.zeros((rows, langs))
+        entered[:, wrong] = left[:, wrong - 1]
+        left[:, wrong], count[:, wrong] = parser.advance(start[wrong], size[wrong], entered[:, wrong])
     np.add.at(out, row, count.T)
     return out
 
@@ -185,28 +210,23 @@ def _predictor(shared):
 
 
 def training_text(rows: list[tuple[str, str]]) -> dict[str, bytes]:
-    """Up to TRAIN_BYTES of normalised text for each language, an even share of each row."""
+    """Normalised text of each language: its pieces in order, as many as fit in TRAIN_BYTES."""
     by: dict[str, list[bytes]] = {}
     for lang, text in rows:
         raw = np.frombuffer((text or "").encode(), np.uint8)
-        by.setdefault(lang, []).append(letters(raw, np.array([0, len(raw)]))[0].tobytes())
-    out = {}
-    for lang, parts in by.items():
-        share = TRAIN_BYTES // len(parts)
-        while share < TRAIN_BYTES and sum(min(len(p), share + 256) for p in parts) <= TRAIN_BYTES:
-            share += 256
-        out[lang] = b" ".join(p[:share] for p in parts)[:TRAIN_BYTES]
-    return out
+        piece = letters(raw, np.array([0, len(raw)]))[0].tobytes()
+        own = by.setdefault(lang, [])
+        if sum(map(len, own)) + len(own) + len(piece) <= TRAIN_BYTES:
+            own.append(piece)
+    return {lang: b" ".join(parts) for lang, parts in by.items()}
 
 
 def train(docs: DataFrame, where) -> Model:
     """A model from the rows of ``docs`` (doc_id, text, lang) that ``where`` allows."""
-    ids = docs.where(F.col("lang").isNotNull() & where).select(F.col("doc_id").cast("long").alias("doc_id"), F.col("lang").cast("string").alias("lang"))
-    common = dict(ids.groupBy("lang").count().collect())
-    sample = bounded_sample(ids, "lang", TRAIN_ROWS, common)
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    rows = texts.join(F.broadcast(sample), "doc_id").orderBy("lang", F.xxhash64("doc_id"), "doc_id").select("lang", "text").collect()
-    return build(training_text([(r.lang, r.text) for r in rows]))
+    known = docs.where(F.col("lang").isNotNull() & where).select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), F.col("lang").cast("string").alias("lang"))
+    count = dict(known.groupBy("lang").count().collect())
+    pieces = bounded_pieces(bounded_sample(known, "lang", TRAIN_ROWS, count), "lang", SHARE, 4 * TRAIN_BYTES // SHARE)
+    return build(training_text([(r.lang, r.piece) for r in pieces.orderBy("lang", "n").collect()]))
 
 
 def predict_language(docs: DataFrame, model: Model) -> DataFrame:

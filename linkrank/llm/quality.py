@@ -1,16 +1,16 @@
 """Text quality by compression with two dictionaries.
 
 Two zstandard dictionaries hold pieces of good and of bad labelled texts. A text is
-cut in pieces, each piece is compressed with either dictionary, and the sizes'
-difference over their sum says which class the text resembles. A logistic function
-fitted on other labelled texts, of that difference and of how well the text
-compresses at all, turns it into a probability.
-
-Training reads at most ``TRAIN_ROWS`` labelled rows of each class, chosen by a hash
-of the id: a part of them fills the dictionaries, the rest calibrates; the classes'
-true shares enter the calibration. Texts are processed whole. Null and empty texts
-have no difference and get the score of that. Rows come back one for one, also for
-null or repeated ids.
+cut in pieces, each piece is compressed with either dictionary, and the difference of
+the sizes, in bytes per byte of text, says which class the text resembles. A logistic
+function of that difference alone, fitted on other labelled texts, turns it into a
+probability.
+
+Training reads about ``TRAIN_ROWS`` labelled rows of each class, chosen by a hash
+of the id: a third of them fills the dictionaries, with at most ``DICTIONARY_BYTES`` in
+pieces from anywhere in the texts, the rest calibrates; the classes' true shares enter
+the calibration. Texts are processed whole. Null and empty texts have a difference of 0
+and get the score of that. Rows come back one for one, also for null or repeated ids.
 """
 
 from __future__ import annotations
@@ -24,23 +24,23 @@ import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from linkrank.llm.fit import logistic_plane, sigmoid
-from linkrank.llm.tables import remainder, table, training_rows
+from linkrank.llm.fit import logistic, sigmoid
+from linkrank.llm.tables import bounded_pieces, remainder, table, training_rows
 
 QUERY = "op6_quality"
 
 TRAIN_ROWS = 3_000
-DICTIONARY_ROWS = 600  # of each class
-DICTIONARY_BYTES = 110_000
+DICTIONARY_BYTES = 440_000  # of each class
+SHARE = 512  # characters of a text that enter a dictionary together
 PIECE = 1_024
-LEVEL = 3
+LEVEL = 9
 
 
 @dataclass(frozen=True)
 class Model:
     good: bytes
     bad: bytes
-    weights: tuple[float, ...]  # of the features, and a constant
+    weights: tuple[float, ...]  # of the difference, and a constant
 
     def coders(self):
         return [zstandard.ZstdCompressor(level=LEVEL, dict_data=_dictionary(x), write_content_size=False, write_checksum=False, write_dict_id=False) for x in (self.good, self.bad)]
@@ -50,23 +50,19 @@ def _dictionary(content: bytes) -> zstandard.ZstdCompressionDict:
     return zstandard.ZstdCompressionDict(content, dict_type=zstandard.DICT_TYPE_RAWCONTENT)
 
 
-def dictionary(texts: list[str]) -> bytes:
-    """Dictionary content: an even share of each text, whole texts where they are short."""
-    raw = [t.encode() for t in texts if t]
-    if not raw:
-        return b"\n" * 8
-    share = DICTIONARY_BYTES // len(raw)
-    while (spare := DICTIONARY_BYTES - sum(min(len(x), share) for x in raw)) > len(raw) and any(len(x) > share for x in raw):
-        share += max(1, spare // len(raw))
-    out = b""
-    for x in raw:
-        at = (len(x) - share) // 2 if len(x) > share else 0
-        out += x[at : at + share]
-    return (out[:DICTIONARY_BYTES] or b"\n").ljust(8, b"\n")
+def dictionary(pieces: list[str]) -> bytes:
+    """Dictionary content: whole pieces, as many as fit."""
+    out, size = [], 0
+    for x in pieces:
+        raw = x.encode()
+        if size + len(raw) <= DICTIONARY_BYTES:
+            out.append(raw)
+            size += len(raw)
+    return b"".join(out).ljust(8, b"\n")
 
 
 def features(text: str | None, coders) -> tuple[float, float, float]:
-    """Normalised size difference (positive: more like good text), density, and log length."""
+    """The size difference by length (positive: more like good text), which is the score's; density and log length beside it."""
     raw = (text or "").encode()
     if not raw:
         return 0.0, 0.0, 0.0
@@ -75,13 +71,12 @@ def features(text: str | None, coders) -> tuple[float, float, float]:
         piece = raw[at : at + PIECE]
         good += len(coders[0].compress(piece))
         bad += len(coders[1].compress(piece))
-    return (bad - good) / (good + bad), min(good, bad) / len(raw), float(np.log1p(len(raw)))
+    return (bad - good) / len(raw), min(good, bad) / len(raw), float(np.log1p(len(raw)))
 
 
 def _table(x: np.ndarray) -> np.ndarray:
-    """Features of the logistic function, with the products that let it bend."""
-    d, p, n = x[:, 0], x[:, 1], x[:, 2]
-    return np.stack([d * 10, p, n / 10, d * n, p * p, np.abs(d) * 10], axis=1)
+    """What the logistic function sees: the difference."""
+    return x[:, :1]
 
 
 def _scorer(model: Model):
@@ -97,30 +92,21 @@ def _scorer(model: Model):
 
 def fit(labelled: DataFrame, odds: float | None = None) -> Model:
     """A model from rows of (doc_id, text, quality), which are to be bounded in number."""
-    rows = labelled.select("doc_id", "text", F.col("quality").cast("int").alias("quality"))
-    turn = F.row_number().over(_by_hash("quality"))
-    ranked = rows.withColumn("_turn", turn).persist()
-    fills = (F.col("_turn") % 2 == 0) & (F.col("_turn") <= 2 * DICTIONARY_ROWS)
-    kept = ranked.where(fills).select("_turn", "text", "quality").orderBy("quality", "_turn").collect()
-    content = [dictionary([r.text for r in kept if r.quality == c]) for c in (1, 0)]
+    rows = labelled.select("doc_id", F.col("text").cast("string").alias("text"), F.col("quality").cast("int").alias("quality")).persist()
+    fills = F.pmod(F.xxhash64("doc_id", F.lit(7)), F.lit(3)) == 0
+    pieces = bounded_pieces(rows.where(fills), "quality", SHARE, DICTIONARY_BYTES // SHARE).orderBy("quality", "n").collect()
+    content = [dictionary([r.piece for r in pieces if r.quality == str(c)]) for c in (1, 0)]
     raw = Model(*content, ())
 
     def measure(batches):
         coders = raw.coders()
         for batch in batches:
-            x = np.array([features(t.as_py(), coders) for t in batch.column(0)], float).reshape(-1, 3)
-            yield pa.record_batch([*(pa.array(x[:, k]) for k in range(3)), batch.column(1).cast(pa.int64())], names=["d", "p", "n", "y"])
-
-    seen = ranked.where(~fills).select("text", "quality").mapInArrow(measure, "d double, p double, n double, y long").collect()
-    ranked.unpersist()
-    x, y = np.array([r[:3] for r in seen], float).reshape(-1, 3), np.array([r.y for r in seen], float)
-    return Model(*content, tuple(logistic_plane(_table(x), y, odds)))
-
-
-def _by_hash(label: str):
-    from pyspark.sql import Window
+            d = np.array([features(t.as_py(), coders)[0] for t in batch.column(0)], float)
+            yield pa.record_batch([pa.array(d), batch.column(1).cast(pa.int64())], names=["d", "y"])
 
-    return Window.partitionBy(label).orderBy(F.xxhash64("doc_id", F.lit(7)), "doc_id")
+    seen = rows.where(~fills).select("text", "quality").mapInArrow(measure, "d double, y long").collect()
+    rows.unpersist()
+    return Model(*content, logistic(np.array([r.d for r in seen], float), np.array([r.y for r in seen], float), odds))
 
 
 def score_quality(docs: DataFrame, model: Model) -> DataFrame:

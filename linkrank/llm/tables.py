@@ -4,9 +4,12 @@ from __future__ import annotations
 
 import math
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from linkrank.llm.text import mix
 from linkrank.plans.lineage import shared_folder
 
 
@@ -68,32 +71,55 @@ def remainder(column, modulus: int):
 
 
 def bounded_sample(rows: DataFrame, by: str, most: int, counts: dict, order: str = "doc_id") -> DataFrame:
-    """At most ``most`` rows of each value of ``by`` that ``counts`` lists, the same on each run.
+    """About ``most`` rows of each value of ``by`` that ``counts`` lists, the same on each run.
 
-    Taken are the rows with the smallest hashes of ``order``. The number of rows of a
-    value says below which hash they lie all but surely, so only about twice ``most``
-    rows of each value are sorted, however many it has.
+    Taken are the rows whose hash of ``order`` lies in the share that gives ``most`` of the
+    value's rows, so nothing is sorted and no value's rows meet in one task.
     """
     if not counts:
         return rows.limit(0)
     parts = 1 << 30
-    place = F.pmod(F.xxhash64(F.col(order), F.lit(1)), F.lit(parts))
-    below = F.create_map(*(F.lit(x) for value, n in counts.items() for x in (value, math.ceil(parts * min(1.0, (2 * most + 100) / max(n, 1))))))
-    near = rows.where(F.col(by).isin(list(counts)) & (place < below[F.col(by)]))
-    ranked = near.withColumn("_at", F.row_number().over(Window.partitionBy(by).orderBy(place, order)))
-    return ranked.where(F.col("_at") <= most).drop("_at")
+    below = F.create_map(*(F.lit(x) for value, n in counts.items() for x in (value, math.ceil(parts * min(1.0, most / max(n, 1))))))
+    return rows.where(F.col(by).isin(list(counts)) & (F.pmod(F.xxhash64(F.col(order), F.lit(1)), F.lit(parts)) < below[F.col(by)]))
+
+
+def bounded_pieces(rows: DataFrame, by: str, size: int, most: int) -> DataFrame:
+    """(by, piece): at most ``most`` pieces of ``size`` characters of each value's texts, in a hash's order.
+
+    Each row (doc_id, text, by) gives all pieces of its whole text; a row's second one comes
+    after the first ones of all rows. A task hands on no more of a value than ``most``.
+    """
+
+    def pick(batches):
+        kept: dict = {}
+        for batch in batches:
+            for value, text, key in zip(*(c.to_pylist() for c in batch.columns)):
+                places = mix(np.arange(-(-len(text or "") // size), dtype=np.uint64) + np.uint64(key & (1 << 62) - 1)) >> np.uint64(1)
+                for turn, at in enumerate(np.argsort(places, kind="stable")[:most].tolist()):
+                    kept.setdefault(value, []).append((turn, int(places[at]), text[at * size : (at + 1) * size]))
+            for value in kept:
+                kept[value] = sorted(kept[value])[:most]
+        flat = [(value, *piece) for value in kept for piece in kept[value]]
+        columns = list(zip(*flat)) or [()] * 4
+        yield pa.record_batch([pa.array(columns[0], pa.string()), pa.array(columns[1], pa.int64()), pa.array(columns[2], pa.int64()), pa.array(columns[3], pa.string())], names=["by", "turn", "place", "piece"])
+
+    found = rows.select(F.col(by).cast("string"), F.col("text").cast("string"), F.xxhash64("doc_id", F.lit(3))).mapInArrow(pick, "by string, turn long, place long, piece string")
+    ranked = found.withColumn("n", F.row_number().over(Window.partitionBy("by").orderBy("turn", "place", "piece")))
+    return ranked.where(F.col("n") <= most).select(F.col("by").alias(by), "n", "piece")
 
 
 def training_rows(docs: DataFrame, labels: DataFrame, label: str, most: int, where) -> tuple[DataFrame, float]:
-    """(doc_id, text, label) of at most ``most`` rows of each class, and the log-odds of class 1.
+    """(doc_id, text, label) of about ``most`` rows of each class, and the log-odds of class 1.
 
     ``where`` says which ids of ``labels`` may be learned from; labels other than 0
     and 1 are passed over, and an id with several labels counts once, with the
-    largest. The log-odds are those of all labels learned from, not of the sample.
-    The sample's ids are bounded, so they are broadcast to the documents.
+    largest; of several texts of an id the first in order counts. The log-odds are those
+    of all labels learned from, not of the sample. The sample's ids are bounded, so they
+    are broadcast to the documents.
     """
     ids = labels.where(F.col(label).isin(0, 1) & where).groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.max(label).cast("int").alias(label))
     n = dict(ids.groupBy(label).count().collect())
     sample = bounded_sample(ids, label, most, n)
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    return texts.join(F.broadcast(sample), "doc_id"), math.log((n.get(1, 0) + 1) / (n.get(0, 0) + 1))
+    rows = texts.join(F.broadcast(sample), "doc_id").groupBy("doc_id", label).agg(F.min("text").alias("text"))
+    return rows.select("doc_id", "text", label), math.log((n.get(1, 0) + 1) / (n.get(0, 0) + 1))
