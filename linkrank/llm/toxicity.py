@@ -8,19 +8,19 @@ log-odds are not significant cost a small drift instead, so scores fall outside
 passages. One linear scan per text finds all maximal-scoring
 segments. A segment's score becomes an expected count by the extreme-value law of
 such scores under the clean word distribution, and a text's score is a logistic
-function, fitted on training rows, of how rare its best segments are together.
+function, fitted on training rows, of how rare its best segments are together, however many.
 
-Training reads at most ``TRAIN_ROWS`` labelled rows of each class, chosen by a hash
-of the id (the classes' true shares enter the calibration); words and stems that occur fewer than ``MIN_COUNT`` times have no score of their
-own, and at most ``VOCABULARY`` forms are kept. Null and empty texts get the score
+Training reads about ``TRAIN_ROWS`` labelled rows of each class, chosen by a hash
+of the id (the classes' true shares enter the calibration), which bounds the model: words
+and stems that occur fewer than ``MIN_COUNT`` times have no score of their own, and
+those that tell nothing are kept if at least ``KNOWN`` rows hold them. Null and empty texts get the score
 of a text without any positive word. Rows come back one for one, also for null or
 repeated ids.
 """
 
 from __future__ import annotations
 
-from dataclasses import dataclass
-from math import lgamma
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
@@ -29,14 +29,13 @@ from pyspark.sql import functions as F
 
 from linkrank.llm.fit import logistic, sigmoid
 from linkrank.llm.tables import remainder, table, training_rows
-from linkrank.llm.text import NOT_WORD, fold, prefix_sums, slices, span_hashes, tokens, utf8
+from linkrank.llm.text import NOT_WORD, chunks, fold, prefix_sums, slices, span_hashes, tokens, utf8
 
 QUERY = "op10_toxicity"
 
 TRAIN_ROWS = 4_000
 MIN_COUNT = 3
 KNOWN = 20  # documents from which on a form without significance counts as known
-VOCABULARY = 200_000
 PRIOR = 0.1  # weight of the prior, as a share of the training words
 SIGNIFICANT = 5.0
 SHRINK = 2.0
@@ -133,8 +132,8 @@ def word_scores(texts: DataFrame):
         scored = counted.where(F.col("y1") + F.col("y0") >= MIN_COUNT).select("word", (F.col("y1") + F.col("y0")).alias("n"), (odds("y1", n1) - odds("y0", n0)).alias("s"), F.sqrt(1 / (F.col("y1") + prior) + 1 / (F.col("y0") + prior)).alias("sd"))
         scored = scored.withColumn("z", F.col("s") / F.col("sd")).withColumn("tells", (F.abs("z") >= SIGNIFICANT) & (F.abs("s") >= LEAST))
         score = F.when(F.col("tells"), F.greatest(F.lit(FLOOR), F.col("s") * (1 - SHRINK / F.abs("z")))).otherwise(0.0)  # towards 0 by SHRINK standard deviations
-        known = scored.where(F.col("tells") | (F.col("n") >= KNOWN)).select("word", score.alias("score"), "tells", "n", F.abs("z").alias("z"))
-        rows = known.orderBy(F.desc("tells"), F.desc("z"), F.desc("n"), "word").limit(VOCABULARY).select("word", "score").collect()
+        known = scored.where(F.col("tells") | (F.col("n") >= KNOWN)).select("word", score.alias("score"))
+        rows = known.select("word", "score").collect()
     counted.unpersist()
     words, scores = np.array([r.word for r in rows], np.int64), np.array([r.score for r in rows], float)
     at = np.argsort(words.view(np.uint64))
@@ -156,21 +155,26 @@ def _decay(rates: np.ndarray, values: np.ndarray) -> float:
 
 
 def _scored(column, model: Model):
-    """For each slice: its rows' word ranges, and a score for each word."""
+    """For each slice: its rows' word ranges, and a score for each word; long texts are hashed in chunks."""
     data, offsets = utf8(column)
     coarse = np.zeros(1 << 20, bool)
     coarse[model.words & np.uint64(len(coarse) - 1)] = True
     for lo, hi in slices(offsets):
-        bounds, forms = _forms(data[offsets[lo] : offsets[hi]], offsets[lo : hi + 1] - offsets[lo])
-        scores, decided = np.full(bounds[-1], -DRIFT), np.zeros(bounds[-1], bool)
-        for words, which in forms if len(model.words) else ():
-            maybe = np.flatnonzero(coarse[words & np.uint64(len(coarse) - 1)] & ~decided[which])
-            at = np.minimum(np.searchsorted(model.words, words[maybe]), len(model.words) - 1)
-            known = model.words[at] == words[maybe]
-            at, which = at[known], which[maybe[known]]
-            scores[which] += model.scores[at]
-            decided[which] = True
-        yield bounds, scores
+        part, own = data[offsets[lo] : offsets[hi]], offsets[lo : hi + 1] - offsets[lo]
+        every, total = [np.zeros(0)], np.zeros(len(own), np.int64)
+        for a, b in chunks(part, NOT_WORD):
+            bounds, forms = _forms(part[a:b], np.clip(own, a, b) - a)
+            scores, decided = np.full(bounds[-1], -DRIFT), np.zeros(bounds[-1], bool)
+            for words, which in forms if len(model.words) else ():
+                maybe = np.flatnonzero(coarse[words & np.uint64(len(coarse) - 1)] & ~decided[which])
+                at = np.minimum(np.searchsorted(model.words, words[maybe]), len(model.words) - 1)
+                known = model.words[at] == words[maybe]
+                at, which = at[known], which[maybe[known]]
+                scores[which] += model.scores[at]
+                decided[which] = True
+            every.append(scores)
+            total += bounds
+        yield total, np.concatenate(every)
 
 
 def _segments(column, model: Model):
@@ -186,21 +190,22 @@ def _evidence(n: int, best: float, model: Model) -> float:
     return model.decay * best - float(np.log(model.space * max(n, 1))) if best > 0 else -float(np.log(model.space * max(n, 1))) - 1
 
 
-MOST_SUMMED = 30
-_FACTORIALS = np.array([lgamma(r + 1) + lgamma(r) for r in range(1, MOST_SUMMED + 1)])
-
-
 def _joint_evidence(n: int, found: list[float], model: Model) -> float:
-    """The best of the r-segment evidences: r segments that are each weak may be strong together.
+    """The strongest evidence of the best r segments, for any r: several weak ones may be strong together.
 
-    The sum of the r best normalised scores follows the extreme-value law's sum statistic.
+    By the extreme-value law a clean text has a Poisson number, one on average, of segments
+    whose normalised score is above 0, and these scores are exponential. This is minus the
+    log of the probability of r such segments with as large a sum, by its leading term.
     """
-    if not found:
-        return _evidence(n, 0.0, model)
-    best = np.sort(np.array(found))[::-1][:MOST_SUMMED]
-    r = np.arange(1, len(best) + 1)
-    sums = model.decay * np.cumsum(best) - r * np.log(model.space * max(n, 1))
-    return float((sums - (r - 1) * np.log(np.maximum(sums, 1)) + _FACTORIALS[: len(best)]).max())
+    x = model.decay * np.sort(np.array(found, float))[::-1] - np.log(model.space * max(n, 1))
+    x = x[x > 0]
+    if not len(x):
+        return _evidence(n, max(found, default=0.0), model)
+    r = np.arange(1, len(x) + 1)
+    factorial = np.cumsum(np.log(r))
+    total = np.cumsum(x)
+    tail = total - (r - 1) * np.log(np.maximum(total, 1)) + factorial - np.log(r)
+    return float((factorial + np.where(total > r - 1, np.maximum(tail, 0), 0)).max())
 
 
 def _scorer(model: Model):
@@ -225,8 +230,16 @@ def fit(labelled: DataFrame, odds: float | None = None) -> Model:
     rows have another share of it.
     """
     texts = labelled.select("text", F.col("toxic").cast("int").alias("toxic")).persist()
-    words, scores = word_scores(texts)
-    raw = Model(words, scores, 1.0, 1.0, 1.0, 0.0)
+    model = _uncalibrated(texts)
+    seen = texts.mapInArrow(_evidences(model), "x double, y long").collect()
+    texts.unpersist()
+    slope, shift = logistic(np.array([r.x for r in seen], float), np.array([r.y for r in seen], float), odds)
+    return replace(model, slope=slope, shift=shift)
+
+
+def _uncalibrated(texts: DataFrame) -> Model:
+    """Word scores, and the law of segments in clean texts under them."""
+    raw = Model(*word_scores(texts), 1.0, 1.0, 1.0, 0.0)
 
     def clean_scores(batches):
         for batch in batches:
@@ -239,17 +252,16 @@ def fit(labelled: DataFrame, odds: float | None = None) -> Model:
     rates /= max(rates.sum(), 1)
     decay = _decay(rates, values)
     space = max(1e-4, decay * float((rates * np.abs(values) * np.exp(np.minimum(50, decay * values))).sum()))
-    raw = Model(words, scores, decay, space, 1.0, 0.0)
+    return replace(raw, decay=decay, space=space)
+
 
+def _evidences(model: Model):
     def features(batches):
         for batch in batches:
-            x = [_joint_evidence(n, [s for *_, s in found], raw) for n, found in _segments(batch.column(0), raw)]
+            x = [_joint_evidence(n, [s for *_, s in found], model) for n, found in _segments(batch.column(0), model)]
             yield pa.record_batch([pa.array(np.array(x, float)), batch.column(1).cast(pa.int64())], names=["x", "y"])
 
-    rows = texts.mapInArrow(features, "x double, y long").collect()
-    texts.unpersist()
-    slope, shift = logistic(np.array([r.x for r in rows], float), np.array([r.y for r in rows], float), odds)
-    return Model(words, scores, decay, space, slope, shift)
+    return features
 
 
 def score_toxicity(docs: DataFrame, model: Model) -> DataFrame:

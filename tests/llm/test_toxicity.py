@@ -1,4 +1,6 @@
 import random
+import re
+import zlib
 
 import numpy as np
 import pytest
@@ -85,3 +87,69 @@ def test_held_out_accuracy(spark):
     got = tox.query(spark, sf).join(spark.read.parquet(f"{sf}/labels.parquet"), "doc_id").where("held_out").select("predicted", "toxic").collect()
     assert np.mean([r.predicted == r.toxic for r in got]) > 0.94
     assert np.mean([r.predicted for r in got if r.toxic]) > 0.7
+
+
+def test_query_equals_brute_force(spark, tmp_path):
+    """Word scores, segments, law, calibration and scores of the whole query again, from the definitions."""
+    rng = random.Random(9)
+    words = [f"w{k}" for k in range(80)]
+    docs = []
+    for k in range(400):
+        text = [rng.choice(words) for _ in range(rng.randrange(5, 60))]
+        if k % 4 == 0:
+            text[2:2] = [rng.choice(["Vilest", "vileness", "nasty"]) for _ in range(rng.randrange(1, 5))]
+        docs.append((k, " ".join(text)))
+    docs += [(400, None), (401, "vilest " * 3000)]
+    spark.createDataFrame([(*d, "en", "s", 0) for d in docs], "doc_id long, text string, lang string, source string, n_chars long").write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame([(k, 0, int(k % 4 == 0)) for k in range(350)], "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    got = {r.doc_id: r for r in tox.query(spark, str(tmp_path)).collect()}
+
+    held = {k: zlib.crc32(str(k).encode()) % 5 == 0 for k, _ in docs}
+    train = [(re.findall(r"[a-z0-9]+", t.lower()), k % 4 == 0) for k, t in docs[:350] if not held[k]]
+    forms = lambda w: [(w, 0)] + [(w[:n], n) for n in tox.STEMS if len(w) > n]
+    counts, n = {}, [0.0, 0.0]
+    for text, toxic in train:
+        for f in {f for w in text for f in forms(w)}:
+            counts.setdefault(f, [0, 0])[toxic] += 1
+    whole = {f for f in counts if f[1] == 0}
+    n = [float(sum(counts[f][c] for f in whole)) for c in (0, 1)]
+    score = {}
+    for f, y in counts.items():
+        if sum(y) >= tox.MIN_COUNT:
+            prior = sum(y) * tox.PRIOR
+            odds = [np.log((y[c] + prior) / max(n[c] + tox.PRIOR * sum(n) - y[c] - prior, 0.5)) for c in (0, 1)]
+            s, sd = odds[1] - odds[0], np.sqrt(1 / (y[1] + prior) + 1 / (y[0] + prior))
+            if abs(s / sd) >= tox.SIGNIFICANT and abs(s) >= tox.LEAST:
+                score[f] = max(tox.FLOOR, s * (1 - tox.SHRINK / abs(s / sd)))
+            elif sum(y) >= tox.KNOWN:
+                score[f] = 0.0
+    of_word = lambda w: next((score[f] - tox.DRIFT for f in forms(w) if f in score), -tox.DRIFT)
+    seen = [round(of_word(w), 1) for text, toxic in train if not toxic for w in text]
+    values, rates = np.unique(seen, return_counts=True)
+    rates = rates / rates.sum()
+    decay = tox._decay(rates, values)
+    space = max(1e-4, decay * (rates * abs(values) * np.exp(decay * values)).sum())
+
+    def evidence(text):
+        found = sorted((s for *_, s in brute([of_word(w) for w in text])), reverse=True) if len(text) < 100 else [sum(of_word(w) for w in text)]
+        x = [decay * s - np.log(space * max(len(text), 1)) for s in found]
+        best, total, factorial = None, 0.0, 0.0
+        for r, v in enumerate((v for v in x if v > 0), 1):
+            total, factorial = total + v, factorial + np.log(r)
+            tail = max(0.0, total - (r - 1) * np.log(max(total, 1)) + factorial - np.log(r)) if total > r - 1 else 0.0
+            best = max(factorial + tail, -1e9 if best is None else best)
+        return best if best is not None else x[0] if x else -np.log(space * max(len(text), 1)) - 1
+
+    y = np.array([float(t) for _, t in train])
+    slope, shift = logistic(np.array([evidence(t) for t, _ in train]), y, np.log((y.sum() + 1) / ((1 - y).sum() + 1)))
+    for k, text in docs:
+        want = 1 / (1 + np.exp(-np.clip(slope * evidence(re.findall(r"[a-z0-9]+", (text or "").lower())) + shift, -700, 700)))
+        assert got[k].held_out == held[k] and abs(got[k].score - want) < 1e-6 and got[k].predicted == (want >= 0.5), k
+    assert {got[k].predicted for k, _ in docs} == {0, 1} and got[401].predicted == 1
+
+
+def test_many_segments_count_together():
+    model = tox.Model(np.zeros(0, np.uint64), np.zeros(0), 1.0, 0.1, 1.0, 0.0)
+    weak = [tox._joint_evidence(1000, [7.0] * r, model) for r in (1, 2, 5, 50, 500)]
+    assert weak == sorted(weak) and weak[-1] > weak[0] + 100
+    assert tox._joint_evidence(1000, [1.0] * 500, model) == tox._evidence(1000, 1.0, model) < 0
