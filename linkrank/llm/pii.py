@@ -2,7 +2,7 @@
 
 An Aho-Corasick automaton walks each text once and stops at the characters and
 words that personal data cannot do without: at-signs, schemes, digits, plus signs
-and identifier cues. A small parser for each kind then expands the place to the
+and cues of identifiers, keys and passwords. A small parser for each kind then expands the place to the
 left and right and validates what it finds. Positions are code points, ends are
 exclusive, and spans of one kind do not overlap.
 
@@ -27,18 +27,22 @@ QUERY = "op9_pii"
 
 # fixed values: the kinds in output order, and the forms of the first four
 BASE = ("email", "ip", "card", "phone")
-EXTRA = ("url", "account")
+EXTRA = ("url", "account", "secret")
 DOMAIN = r"[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+"
 LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
 CARD = r"[0-9](?:[\x20-]?[0-9])+"
 PHONE = r"\+[0-9][\x20().0-9-]+[0-9]"
 CUES = ("iban", "account", "passport", "ssn", "social security", "licence no", "license no")
+SECRETS = ("token", "secret", "api key", "api_key", "apikey", "access key", "access_key", "private key", "private_key", "bearer")
+PASSWORDS = ("password", "passwd", "passphrase")
 
 _domain, _card, _phone = map(re.compile, (DOMAIN, CARD, PHONE))
 _dotted, _spaced, _digits = re.compile(r"[0-9.]+"), re.compile(r"[0-9\x20-]+"), re.compile(r"[0-9]+")
 _scheme = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+.-")
 _rest_of_url = re.compile(r"[A-Za-z0-9\[][^\s<>\"'`{}|\\^]*")
 _identifier = re.compile(r"(?i:[\x20\x09]*(?:number|no\.?|nr\.?|#|:|=|is))*[\x20\x09]*([A-Z0-9]+(?:[\x20-]?[A-Z0-9]+)*)")
+_secret = re.compile(r"""["']?[\x20\x09]*(?:[:=][\x20\x09]*)?["']?([A-Za-z0-9+/_.~-]{16,}={0,2})""")
+_password = re.compile(r"""["']?[\x20\x09]*[:=][\x20\x09]*["']?([^\s"'<>,;]{6,})""")
 
 
 def luhn(digits: str) -> bool:
@@ -73,9 +77,10 @@ def automaton() -> ahocorasick.Automaton:
     found.add_word("@", ("at", 1))
     found.add_word("+", ("plus", 1))
     found.add_word("://", ("scheme", 3))
-    for cue in CUES:
-        for form in {cue, cue.upper(), cue.title(), cue.capitalize()}:
-            found.add_word(form, ("cue", len(form)))
+    for what, cues in (("cue", CUES), ("secret", SECRETS), ("password", PASSWORDS)):
+        for cue in cues:
+            for form in {cue, cue.upper(), cue.title(), cue.capitalize()}:
+                found.add_word(form, (what, len(form)))
     found.make_automaton()
     return found
 
@@ -83,7 +88,7 @@ def automaton() -> ahocorasick.Automaton:
 def spans(text: str, anchors: ahocorasick.Automaton) -> list[tuple[str, int, int]]:
     """(kind, start, end) of all personal data, by kind in output order, then start."""
     out: dict[str, list[tuple[int, int]]] = {k: [] for k in BASE + EXTRA}
-    dotted = spaced = mailed = linked = named = 0
+    dotted = spaced = mailed = linked = named = hidden = 0
     for last, (what, width) in anchors.iter(text):
         at = last - width + 1
         if what == "digit":
@@ -116,6 +121,11 @@ def spans(text: str, anchors: ahocorasick.Automaton) -> list[tuple[str, int, int
                 linked = m.start() + len(m[0].rstrip(".,;:!?)]"))
                 if linked > m.start():
                     out["url"].append((start, linked))
+        elif what in ("secret", "password"):
+            m = (_secret if what == "secret" else _password).match(text, last + 1) if at >= hidden and not (at and text[at - 1].isalnum()) else None
+            if m and (what == "password" or any(c.isdigit() for c in m[1])):
+                hidden = m.end()
+                out["secret"].append(m.span(1))
         elif at >= named and not (at and text[at - 1].isalnum()):
             m = _identifier.match(text, last + 1)
             if m and 6 <= sum(c.isalnum() for c in m[1]) <= 34 and sum(c.isdigit() for c in m[1]) >= 4:
@@ -137,18 +147,18 @@ def _find(batches):
             for text in batch.column(1).slice(lo, hi - lo).to_pylist():
                 found = spans(text, anchors) if text else []
                 base = [x for x in found if x[0] in BASE]
-                rows.append([sum(x[0] == kind for x in base) for kind in BASE] + [hashlib.sha256(_joined(base).encode()).hexdigest(), _joined(found)])
+                rows.append([sum(x[0] == kind for x in base) for kind in BASE] + [hashlib.sha256(_joined(base).encode()).hexdigest(), _joined(found), len(found)])
             columns = list(zip(*rows))
             yield pa.record_batch(
-                [batch.column(0).slice(lo, hi - lo), *(pa.array(c, pa.int64()) for c in columns[:4]), *(pa.array(c, pa.string()) for c in columns[4:])],
-                names=["doc_id", *(f"n_{k}" for k in BASE), "base_sha256", "spans"],
+                [batch.column(0).slice(lo, hi - lo), *(pa.array(c, pa.int64()) for c in columns[:4]), *(pa.array(c, pa.string()) for c in columns[4:6]), pa.array(columns[6], pa.int64())],
+                names=["doc_id", *(f"n_{k}" for k in BASE), "base_sha256", "spans", "n_spans"],
             )
 
 
 def find_pii(docs: DataFrame) -> DataFrame:
-    """doc_id, a count for each base kind, the digest of the base spans, and all spans."""
+    """doc_id, a count for each base kind, the digest of the base spans, all spans, and their number."""
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(
-        _find, "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string"
+        _find, "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string, n_spans long"
     )
 
 
