@@ -38,16 +38,21 @@ def test_equals_brute_force(spark, monkeypatch, block):
     assert got == want and sum(n for n, _ in want.values()) > 1000
 
 
-def test_check_tables_recall(spark):
-    """All links of a label of the given tables that hold near copies."""
-    df = spark.read.parquet("/root/testdata/check_s/embeddings.parquet").where("label = 1")
-    rows = df.collect()
-    x = np.array([r.embedding for r in rows], float)
+@pytest.mark.parametrize("worth", [1000, 1])
+def test_recall_of_groups_of_near_copies(spark, monkeypatch, worth):
+    """All links of a label whose vectors lie in groups of one to hundreds of near copies."""
+    monkeypatch.setattr(vec, "WORTH", worth)
+    rng = np.random.default_rng(12)
+    rows = []
+    for size in [1] * 1500 + [2] * 200 + [5] * 60 + [40] * 8 + [300]:
+        centre = rng.standard_normal(64)
+        rows += [centre + (0.08 if size > 1 else 0) * rng.standard_normal(64) for _ in range(size)]
+    x = np.array(rows, np.float32).astype(float)
+    df = spark.createDataFrame([(k, v, 1) for k, v in enumerate(x.tolist())], "vec_id long, embedding array<float>, label int")
     x /= np.linalg.norm(x, axis=1, keepdims=True)
-    near = x @ x.T >= vec.COSINE
-    want = dict(zip((r.vec_id for r in rows), near.sum(1) - 1))
+    want = (x @ x.T >= vec.COSINE).sum(1) - 1
     got = {r.vec_id: r.n_links for r in vec.near_copies(df).collect()}
-    assert sum(want.values()) > 1000 and sum(got[k] == want[k] for k in want) >= 0.999 * len(want)
+    assert want.sum() > 1000 and sum(got[k] == n for k, n in enumerate(want)) >= 0.999 * len(want)
 
 
 def test_edges(spark):
