@@ -39,7 +39,7 @@ LENGTH = 50
 GRAM = 14
 REACH = LENGTH - GRAM + 1  # grams of a window
 SIDE = (LENGTH - GRAM) // 2  # of the bytes around its anchor a window holds as many on one side
-SEGMENT = 1 << 22  # bytes of one document that are handled at a time
+SEGMENT = 1 << 20  # bytes of one document that are handled at a time
 FLUSH = 1 << 19
 BLOCK_PIECES = 400_000
 SHARD_BYTES = 3 << 19
@@ -396,7 +396,7 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
     total = raw.agg(F.sum(F.octet_length("raw"))).first()[0] or 0
     parts = max(128, math.ceil(total / PART_BYTES))
     found = found_windows(raw, parts, total)
-    keyed = raw.withColumn("part", F.coalesce(_part(parts), F.lit(0)))
+    keyed = raw.withColumn("part", F.coalesce(_part(parts), F.pmod(F.xxhash64("raw"), F.lit(parts))))
     return keyed.groupBy("part").cogroup(found.groupBy("key")).applyInArrow(_remove, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary")
 
 
