@@ -38,7 +38,8 @@ SHORTEST = 5
 LEAST = 12
 IDENTITY = 0.8
 PAD = 64  # words kept on either side of a seed for the comparison
-MOST_BITS = 28  # places of a bitmap, as a power of 2: 32 MB; beyond some 2**24 seeds more pass it, and the join drops them
+PLACES = 1024  # of a bitmap for each seed: of other seeds one in a million passes both
+MOST_BITS = 28  # places of a bitmap, as a power of 2: 32 MB; beyond 2**18 seeds (some 2,000 items) more pass, and the join drops them
 SALTS = 16
 
 
@@ -89,8 +90,8 @@ def _item_seeds(batches):
 
 
 def _bitmaps(found: DataFrame, n: int) -> list[np.ndarray]:
-    """Two bitmaps of sixteen places a seed, by the seeds' low and high bits, of 2**MOST_BITS places at most."""
-    power = min(MOST_BITS, max(16, (16 * n).bit_length()))
+    """Two bitmaps of PLACES places a seed, by the seeds' low and high bits, of 2**MOST_BITS places at most."""
+    power = min(MOST_BITS, max(16, (PLACES * n).bit_length()))
     out = []
     for place in (F.col("seed").bitwiseAND((1 << power) - 1), F.shiftrightunsigned("seed", 64 - power)):
         bit = F.expr("shiftleft(1L, int(place & 63))")

@@ -274,12 +274,12 @@ def _pick(shared):
     return pick
 
 
-MOST_BITS = 28  # places of the bitmap of wanted ids, as a power of 2: 32 MB; beyond some 2**25 ids it lets most rows pass, and the join drops them
+MOST_BITS = 28  # places of the bitmap of wanted ids, as a power of 2: 32 MB; beyond some 2**24 ids it lets most rows pass, and the join drops them
 
 
 def _bits_for(n: int) -> int:
-    """Power of 2 of the places for ``n`` ids: sixteen each."""
-    return min(MOST_BITS, max(16, (16 * n).bit_length()))
+    """Power of 2 of the places for ``n`` ids: 64 each or more."""
+    return min(MOST_BITS, max(16, (64 * n).bit_length()))
 
 
 def _has_bit(bits: np.ndarray, ids: np.ndarray) -> np.ndarray:
