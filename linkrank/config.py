@@ -57,6 +57,13 @@ class RankConfig:
     partitions: int | None = None
     max_edges: int = 5_000_000
 
+    def only(self, method: str, **possible) -> None:
+        """Refuses options that a method has no meaning for: each name's value must be among those given."""
+        for name, values in possible.items():
+            value = getattr(self, name)
+            if not any(value is v or (isinstance(value, (str, int, float)) and value == v) for v in values):
+                raise ValueError(f"{method}: {name}={value!r} is not possible")
+
     def bound(self, n: int) -> float:
         """The change at which a run over n vertices stops."""
         return self.tol / max(n, 1) if self.tol_mode == "uniform_relative" else self.tol

@@ -106,6 +106,12 @@ def compare(graph: Graph, name: str, methods: dict[str, Callable[[Graph], RankRe
 
 
 def progress(method: str) -> str:
-    """Which workers must finish when others stall: blocking, lock-free or wait-free."""
-    head = method.split(":")[0]
-    return {"sync_helped": "wait-free", "async_pull": "lock-free", "async_edge": "lock-free"}.get(head, "blocking")
+    """Which workers must finish when others stall: blocking, lock-free or wait-free.
+
+    Of the barrier-free methods (name:schedule) only the free schedule lets other blocks go
+    on; a round, the default, waits for all its tasks, and the replays are one task.
+    """
+    name, _, schedule = method.partition(":")
+    if name == "sync_helped":
+        return "wait-free"
+    return "lock-free" if name in ("async_pull", "async_edge") and schedule == "free" else "blocking"

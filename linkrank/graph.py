@@ -104,7 +104,8 @@ def csr_blocks(graph: Graph, block_of: DataFrame) -> DataFrame:
         ids = np.sort(dst[~edge])
         order = np.lexsort((src, dst[edge]))
         pointer = np.append(np.searchsorted(dst[edge][order], ids), len(order))
-        return pa.table({"block": pa.array([table.column("block")[0].as_py()], pa.int32()), **{k: pa.array([v.tolist()], kind) for k, v, kind in (("ids", ids, pa.list_(pa.int64())), ("in_ptr", pointer, pa.list_(pa.int64())), ("in_src", src[order], pa.list_(pa.int64())), ("in_coef", coef[order], pa.list_(pa.float64())))}})
+        one = lambda values, kind: pa.ListArray.from_arrays(pa.array([0, len(values)], pa.int32()), pa.array(values, kind))
+        return pa.table({"block": pa.array([table.column("block")[0].as_py()], pa.int32()), "ids": one(ids, pa.int64()), "in_ptr": one(pointer, pa.int64()), "in_src": one(src[order], pa.int64()), "in_coef": one(coef[order], pa.float64())})
 
     return rows.groupBy("block").applyInArrow(pack, "block int, ids array<long>, in_ptr array<long>, in_src array<long>, in_coef array<double>")
 

@@ -29,7 +29,7 @@ from linkrank.graph import Graph, assign_blocks, csr_blocks, mirrors
 from linkrank.operators.kernel import Block, sweep, sweep_shares
 from linkrank.operators.sequential import replayed
 from linkrank.operators.synchronous import initial_ranks
-from linkrank.operators.twins import collapse, expand, twin_classes
+from linkrank.operators.twins import on_classes
 from linkrank.plans.lineage import cut, loop_settings
 
 STATE = "block int, id long, rank double, frozen boolean, delta double"
@@ -48,9 +48,9 @@ def async_edge(graph: Graph, cfg: RankConfig = RankConfig(), schedule: str = "ro
     return _run(graph, cfg, schedule, True, seed, faults)
 
 
-def block_kernel(cfg: RankConfig, n: int, edge_form: bool):
-    """Sweeps one block: its arrays on the left, the ranks it reads on the right."""
-    base, limit = (1 - cfg.damping) / max(n, 1), cfg.freeze_factor * cfg.bound(n)
+def block_kernel(cfg: RankConfig, n: int, edge_form: bool, lost: float = 0.0):
+    """Sweeps one block: its arrays on the left, the ranks it reads on the right; ``lost`` is the rank without out-links to spread."""
+    base, limit = (1 - cfg.damping) / max(n, 1) + cfg.damping * lost / max(n, 1), cfg.freeze_factor * cfg.bound(n)
     work = sweep_shares if edge_form else sweep
 
     def run(left: pa.Table, right: pa.Table) -> pa.Table:
@@ -86,9 +86,7 @@ class _Layout:
         own = self.block_of.select(F.col("id").alias("src"), F.col("block").alias("dst_block"))
         self.reads = cut(seen.unionByName(own).distinct())
         feeds = self.reads.join(self.block_of.select(F.col("id").alias("src"), F.col("block").alias("src_block")), "src").select("src_block", "dst_block").distinct()
-        self.feeds: dict[int, set[int]] = {}
-        for r in feeds.collect():  # at most blocks ** 2 rows
-            self.feeds.setdefault(r.dst_block, set()).add(r.src_block)
+        self.feeds = cut(feeds)  # up to blocks ** 2 rows: never collected by the rounds
         self.size = {r["block"]: r["count"] for r in self.block_of.groupBy("block").count().collect()}
         self.edges = {r["block"]: r["m"] for r in self.csr.select("block", F.size("in_src").alias("m")).collect()}
 
@@ -96,35 +94,58 @@ class _Layout:
         ranks = initial_ranks(self.graph, self.cfg, self.n)
         return cut(ranks.join(self.block_of, "id").select("block", "id", "rank", F.lit(False).alias("frozen"), F.lit(0.0).alias("delta")))
 
-    def swept(self, state: DataFrame, blocks, edge_form: bool) -> DataFrame:
-        """The new state of the given blocks."""
-        wanted = F.col("dst_block").isin(list(blocks))
+    def of_blocks(self, frame: DataFrame, key: str, blocks, how: str = "left_semi") -> DataFrame:
+        """The rows of some blocks; ``blocks`` None: all."""
+        if blocks is None:
+            return frame if how == "left_semi" else frame.limit(0)
+        own = self.graph.spark.createDataFrame([(b,) for b in sorted(blocks)], "_block int")
+        return frame.join(F.broadcast(own), F.col(key) == F.col("_block"), how)  # at most a row for each block
+
+    def swept(self, state: DataFrame, blocks, edge_form: bool, lost: float = 0.0) -> DataFrame:
+        """The new state of the given blocks; of all if None."""
         values = state.select(F.col("id").alias("read_id"), F.col("rank").alias("read_rank"), F.col("frozen").alias("read_frozen"))
-        inputs = self.reads.where(wanted).join(values, F.col("src") == F.col("read_id")).select("dst_block", "read_id", "read_rank", "read_frozen")
-        arrays = self.csr.where(F.col("block").isin(list(blocks)))
-        return arrays.groupBy("block").cogroup(inputs.groupBy("dst_block")).applyInArrow(block_kernel(self.cfg, self.n, edge_form), STATE)
+        inputs = self.of_blocks(self.reads, "dst_block", blocks).join(values, F.col("src") == F.col("read_id")).select("dst_block", "read_id", "read_rank", "read_frozen")
+        arrays = self.of_blocks(self.csr, "block", blocks)
+        return arrays.groupBy("block").cogroup(inputs.groupBy("dst_block")).applyInArrow(block_kernel(self.cfg, self.n, edge_form, lost), STATE)
+
+    def lost(self, state: DataFrame) -> float:
+        """The rank of vertices without out-links, where it is to be spread."""
+        if self.cfg.dangling == "leak":
+            return 0.0
+        without = self.graph.vertices.where("out_degree = 0").select("id")
+        return state.join(without, "id", "left_semi").agg(F.sum("rank")).first()[0] or 0.0
+
+    def fed_by(self, loud: set[int]) -> set[int]:
+        """The blocks that read one of the given blocks, these included."""
+        if not loud or len(loud) == len(self.size):
+            return loud
+        return loud | {r[0] for r in self.of_blocks(self.feeds, "src_block", loud).select("dst_block").distinct().collect()}  # at most a row for each block
+
+    def read_by(self) -> dict[int, set[int]]:
+        """Of each block those it reads; for schedules with a driver thread for each block."""
+        found: dict[int, set[int]] = {}
+        for r in self.feeds.collect():
+            found.setdefault(r.dst_block, set()).add(r.src_block)
+        return found
 
 
 def _run(graph: Graph, cfg: RankConfig, schedule: str, edge_form: bool, seed: str, faults) -> RankResult:
+    if schedule not in ("rounds", "free", "sweep", "adversarial"):
+        raise ValueError(schedule)
+    spread = ["leak"] if schedule == "free" else ["leak", "redistribute"]  # no two blocks of a free run see one sum of all
+    cfg.only(f"async:{schedule}", sum_mode=["double", "ordered"], freeze_guard=["paper"], dangling=spread, staleness=[cfg.staleness if schedule == "adversarial" else 0])
     if cfg.twins:
-        classes = cut(twin_classes(graph))
-        found = _run(collapse(graph, classes), replace(cfg, twins=False), schedule, edge_form, seed, faults)
-        found.ranks = expand(found.ranks, classes)
-        return found
+        return on_classes(graph, cfg, lambda g, c: _run(g, c, schedule, edge_form, seed, faults))
+    if edge_form and seed == "zero":
+        # what a block that reads nothing but zeros writes first
+        cfg = replace(cfg, init=graph.vertices.select("id", F.lit((1 - cfg.damping) / max(graph.count(), 1)).alias("rank")))
     if schedule in ("sweep", "adversarial"):
         return replayed(graph, cfg, schedule, edge_form)
     name = f"async_{'edge' if edge_form else 'pull'}:{schedule}"
-    if schedule not in ("rounds", "free"):
-        raise ValueError(schedule)
     with loop_settings(graph.spark, cfg.partitions):
         layout = _Layout(graph, cfg)
         if not layout.n:
             return RankResult(graph.vertices.select("id", F.lit(0.0).alias("rank")), name, 0, True, "empty")
-        if edge_form and seed == "zero":
-            # what a block that reads nothing but zeros writes first
-            graph = replace(graph)
-            cfg = replace(cfg, init=graph.vertices.select("id", F.lit((1 - cfg.damping) / layout.n).alias("rank")))
-            layout.cfg = cfg
         run = _rounds if schedule == "rounds" else _free
         return run(layout, cfg, edge_form, name, faults)
 
@@ -137,12 +158,13 @@ def _rounds(layout: _Layout, cfg: RankConfig, edge_form: bool, name: str, faults
         began = time.time()
         if faults:
             faults.sleep_all(at + 1)
-        fresh = layout.swept(state, active, edge_form)
         idle = set(layout.size) - active
+        some = active if idle else None
+        fresh = layout.swept(state, some, edge_form, layout.lost(state))
         if idle:
-            fresh = fresh.unionByName(state.where(F.col("block").isin(list(idle))))
+            fresh = fresh.unionByName(layout.of_blocks(state, "block", active, "left_anti"))
         state = cut(fresh)
-        seen = state.where(F.col("block").isin(list(active))).groupBy("block").agg(F.max("delta").alias("m"), F.sum("delta").alias("s"), F.count_if(~F.col("frozen")).alias("a")).collect()  # a row for each block
+        seen = layout.of_blocks(state, "block", some).groupBy("block").agg(F.max("delta").alias("m"), F.sum("delta").alias("s"), F.count_if(~F.col("frozen")).alias("a")).collect()  # a row for each block
         at += 1
         for r in seen:
             errors[r.block] = r.m
@@ -150,7 +172,7 @@ def _rounds(layout: _Layout, cfg: RankConfig, edge_form: bool, name: str, faults
             history.append({"iteration": at, "block": r.block, "max_delta": r.m, "l1_delta": r.s, "active": r.a, "edges_touched": layout.edges.get(r.block, 0), "seconds": time.time() - began})
         for b in idle:
             errors[b] = 0.0
-        active = {b for b in layout.size if errors[b] > bound or any(errors[c] > bound for c in layout.feeds.get(b, ()))}
+        active = layout.fed_by({b for b in layout.size if errors[b] > bound})
         if not active:
             reason = "converged"
             break
@@ -164,7 +186,7 @@ def _free(layout: _Layout, cfg: RankConfig, edge_form: bool, name: str, faults)
     errors = {b: float("inf") for b in layout.size}
     stamp = {b: 0 for b in layout.size}
     own, history, failed = {b: 0 for b in layout.size}, [], []
-    bound = cfg.bound(layout.n)
+    bound, reads = cfg.bound(layout.n), layout.read_by()
 
     def worker(b: int) -> None:
         try:
@@ -174,7 +196,7 @@ def _free(layout: _Layout, cfg: RankConfig, edge_form: bool, name: str, faults)
                 if faults:
                     faults.before(own[b] + 1, b)
                 with lock:
-                    newest = {c: stamp[c] for c in layout.feeds.get(b, {b}) | {b}}
+                    newest = {c: stamp[c] for c in reads.get(b, {b}) | {b}}
                     state = None
                     for c in sorted(newest):
                         state = versions[c] if state is None else state.unionByName(versions[c])

@@ -21,6 +21,7 @@ from linkrank.config import RankConfig, RankResult
 from linkrank.graph import Graph
 from linkrank.operators.asynchronous import STATE, _Layout
 from linkrank.operators.faults import FaultPlan, WorkerFailed
+from linkrank.operators.twins import on_classes
 from linkrank.plans.lineage import cut, loop_settings
 
 
@@ -83,6 +84,9 @@ def sync_helped(graph: Graph, cfg: RankConfig = RankConfig(), workers: int = 4,
     ``help_others=False``: each worker does its own blocks only and waits for the rest,
     as with a barrier; then a dead worker blocks the run, which the timeout reports.
     """
+    cfg.only("sync_helped", inner_sweeps=[1], staleness=[0], sum_mode=["double", "ordered"], freeze_guard=["paper"], dangling=["leak", "redistribute"])
+    if cfg.twins:
+        return on_classes(graph, cfg, lambda g, c: sync_helped(g, c, workers, faults, help_others))
     faults = faults or FaultPlan()
     with loop_settings(graph.spark, cfg.partitions):
         layout = _Layout(graph, cfg)
@@ -95,8 +99,8 @@ def sync_helped(graph: Graph, cfg: RankConfig = RankConfig(), workers: int = 4,
         seconds: list[float] = [time.time()]
 
         def compute(block: int) -> tuple[DataFrame, float]:
-            seen = Observation()
-            result = cut(layout.swept(ledger.previous, [block], True).observe(seen, F.max("delta").alias("m")))
+            seen, before = Observation(), ledger.previous
+            result = cut(layout.swept(before, [block], True, layout.lost(before)).observe(seen, F.max("delta").alias("m")))
             return result, float(seen.get["m"] or 0.0)
 
         def worker(w: int) -> None:

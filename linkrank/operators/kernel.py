@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
 import numpy as np
 
+DEEP = 8  # vertices a level on average, below which a sweep goes vertex by vertex
+
 
 @dataclass
 class Block:
@@ -21,6 +23,7 @@ class Block:
     coef: np.ndarray
     inputs: np.ndarray
     own: np.ndarray
+    _levels: list | None = field(default=None, repr=False)
 
     @staticmethod
     def of(ids: np.ndarray, pointer: np.ndarray, src: np.ndarray, coef: np.ndarray) -> Block:
@@ -33,21 +36,61 @@ class Block:
         order = np.lexsort((src, dst))
         return Block.of(ids, np.searchsorted(dst[order], np.append(ids, np.iinfo(np.int64).max)), src[order], coef[order])
 
+    def levels(self) -> list[np.ndarray]:
+        """The vertices in groups whose in-place values do not depend on each other: each reads new values of earlier groups only."""
+        if self._levels is None:
+            n = len(self.ids)
+            at = np.full(len(self.inputs), -1)
+            at[self.own] = np.arange(n)
+            src, dst = at[self.source], np.repeat(np.arange(n), np.diff(self.pointer))
+            early = (src >= 0) & (src < dst)
+            src, dst = src[early], dst[early]
+            waits = np.bincount(dst, minlength=n)
+            order = np.argsort(src, kind="stable")
+            first, readers = np.searchsorted(src[order], np.arange(n + 1)), dst[order]
+            self._levels, group = [], np.flatnonzero(waits == 0)
+            while len(group):
+                self._levels.append(group)
+                freed = readers[_ranges(first[group], first[group + 1])]
+                np.subtract.at(waits, freed, 1)
+                freed = np.unique(freed)
+                group = freed[waits[freed] == 0]
+        return self._levels
+
     def sums(self, rank: np.ndarray) -> np.ndarray:
         """Of each vertex: the shares that its in-neighbours' ranks give."""
         at = np.repeat(np.arange(len(self.ids)), np.diff(self.pointer))
         return np.bincount(at, rank[self.source] * self.coef, len(self.ids))
 
 
+def _ranges(starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """The numbers from each start up to its end, one range after the other."""
+    sizes = ends - starts
+    return np.arange(int(sizes.sum())) - np.repeat(np.cumsum(sizes) - sizes - starts, sizes)
+
+
 def sweep(block: Block, rank: np.ndarray, base: float, damping: float, active: np.ndarray | None = None) -> np.ndarray:
-    """One in-place pass in id order: each vertex reads what those before it have just written. Returns the changes."""
+    """One in-place pass in id order: each vertex reads what those before it have just written. Returns the changes.
+
+    Vertices that do not wait for each other are computed together.
+    """
     change = np.zeros(len(block.ids))
     pointer, source, coef, own = block.pointer, block.source, block.coef, block.own
-    for k in range(len(block.ids)) if active is None else np.flatnonzero(active):
-        a, b = pointer[k], pointer[k + 1]
-        new = base + damping * float(rank[source[a:b]] @ coef[a:b]) if b > a else base
-        change[k] = abs(new - rank[own[k]])
-        rank[own[k]] = new
+    levels = block.levels()
+    if len(levels) * DEEP > len(block.ids):
+        for k in range(len(block.ids)) if active is None else np.flatnonzero(active):
+            a, b = pointer[k], pointer[k + 1]
+            new = base + damping * float(rank[source[a:b]] @ coef[a:b]) if b > a else base
+            change[k] = abs(new - rank[own[k]])
+            rank[own[k]] = new
+        return change
+    for group in levels:
+        group = group if active is None else group[active[group]]
+        sizes = pointer[group + 1] - pointer[group]
+        edges = _ranges(pointer[group], pointer[group + 1])
+        new = base + damping * np.bincount(np.repeat(np.arange(len(group)), sizes), rank[source[edges]] * coef[edges], len(group))
+        change[group] = np.abs(new - rank[own[group]])
+        rank[own[group]] = new
     return change
 
 

@@ -10,14 +10,13 @@ driver.
 from __future__ import annotations
 
 import time
-from dataclasses import replace
 
 from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from linkrank.config import RankConfig, RankResult
 from linkrank.graph import Graph
-from linkrank.operators.twins import collapse, expand, twin_classes
+from linkrank.operators.twins import on_classes
 from linkrank.plans.lineage import cut, loop_settings
 
 
@@ -131,8 +130,9 @@ class _Loop:
 
 
 def _run(graph: Graph, cfg: RankConfig, method: str) -> RankResult:
+    cfg.only(method, inner_sweeps=[1], staleness=[0], dangling=["leak", "redistribute"], freeze_guard=["paper", "safe"], sum_mode=["double", "ordered", "decimal"])
     if cfg.twins:
-        return _collapsed(graph, cfg, method)
+        return on_classes(graph, cfg, lambda g, c: _run(g, c, method))
     with loop_settings(graph.spark, cfg.partitions):
         loop = _Loop(graph, cfg, method)
         state, history, reason, at = loop.start, [], "max_iter", 0
@@ -173,16 +173,6 @@ def _run(graph: Graph, cfg: RankConfig, method: str) -> RankResult:
         return RankResult(state.select("id", "rank"), method, at, reason == "converged", reason, history)
 
 
-def _collapsed(graph: Graph, cfg: RankConfig, method: str) -> RankResult:
-    """A run over classes of vertices with equal in-neighbours, spread over the vertices again."""
-    if cfg.dangling != "leak" or not isinstance(cfg.init, str):
-        raise ValueError("twins need the uniform start and dangling='leak'")
-    classes = cut(twin_classes(graph))
-    found = _run(collapse(graph, classes), replace(cfg, twins=False), method)
-    found.ranks = expand(found.ranks, classes)
-    return found
-
-
 def block_errors(before: DataFrame, after: DataFrame, block_of: DataFrame) -> DataFrame:
     """(block, max_delta): each block's largest change between two rank frames."""
     joined = after.select("id", F.col("rank").alias("_new")).join(before.select("id", F.col("rank").alias("_old")), "id").join(block_of, "id")

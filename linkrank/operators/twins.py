@@ -7,9 +7,13 @@ in-neighbour sets; within a fingerprint the sets themselves are compared.
 
 from __future__ import annotations
 
+from collections.abc import Callable
+from dataclasses import replace
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from linkrank.config import RankConfig, RankResult
 from linkrank.graph import Graph
 from linkrank.plans.lineage import cut
 
@@ -51,3 +55,13 @@ def collapse(graph: Graph, classes: DataFrame) -> Graph:
 def expand(ranks: DataFrame, classes: DataFrame) -> DataFrame:
     """(id, rank) of all vertices from the classes' ranks."""
     return classes.join(ranks.withColumnRenamed("id", "class"), "class").select("id", "rank")
+
+
+def on_classes(graph: Graph, cfg: RankConfig, run: Callable[[Graph, RankConfig], RankResult]) -> RankResult:
+    """A run over classes of vertices with equal in-neighbours, spread over the vertices again."""
+    if cfg.dangling != "leak" or not isinstance(cfg.init, str):
+        raise ValueError("twins need the uniform start and dangling='leak'")
+    classes = cut(twin_classes(graph))
+    found = run(collapse(graph, classes), replace(cfg, twins=False))
+    found.ranks = expand(found.ranks, classes)
+    return found

@@ -57,28 +57,40 @@ def nation_trade(spark, sf_dir):
     return joined.select(F.col("c_nationkey").cast("long").alias("src"), F.col("s_nationkey").cast("long").alias("dst")).distinct().where("src <> dst")
 
 
+def _next_in_time(events: DataFrame, key: list[str], value: str) -> DataFrame:
+    """Events with ``following``: the value of the next one of the same key by (ts, event_id).
+
+    Days are sorted each by itself, and a day's last event is followed by the first of the
+    key's next day that has one, so a key with any share of the events is not one task.
+    """
+    dated = events.withColumn("_day", F.to_date("ts"))
+    firsts = dated.groupBy(*key, "_day").agg(F.min_by(value, F.struct("ts", "event_id")).alias("_first"))
+    later = firsts.select(*key, "_day", F.lead("_first").over((Window.partitionBy(*key) if key else Window).orderBy("_day")).alias("_later"))  # a row for each key and day
+    own = F.lead(value).over(Window.partitionBy(*key, "_day").orderBy("ts", "event_id"))
+    return dated.withColumn("_own", own).join(later, [*key, "_day"]).withColumn("following", F.coalesce("_own", "_later")).drop("_day", "_own", "_later")
+
+
 def user_succession(spark, sf_dir):
-    order = Window.partitionBy("event_type").orderBy("ts", "event_id")
-    return table(spark, sf_dir, "events").select(F.col("user_id").alias("src"), F.lead("user_id").over(order).alias("dst")).where("dst IS NOT NULL AND src <> dst")
+    events = _next_in_time(table(spark, sf_dir, "events").select("event_type", "ts", "event_id", "user_id").where("event_type IS NOT NULL"), ["event_type"], "user_id")
+    return events.select(F.col("user_id").alias("src"), F.col("following").alias("dst")).where("dst IS NOT NULL AND src <> dst")
 
 
 def event_lattice(spark, sf_dir):
     """Consecutive events of a user both ways; each 20th event and the next of all both ways."""
     events = table(spark, sf_dir, "events").select("event_id", "user_id", "ts")
     own = events.select(F.col("event_id").alias("a"), F.lead("event_id").over(Window.partitionBy("user_id").orderBy("ts", "event_id")).alias("b"))
-    # the next event of all, without one task for all events: the next within the day, or the first of the next day that has one
-    day = F.to_date("ts")
-    dated = events.withColumn("day", day)
-    firsts = dated.groupBy("day").agg(F.min_by("event_id", F.struct("ts", "event_id")).alias("first"))
-    follow = firsts.select("day", F.lead("first").over(Window.orderBy("day")).alias("following"))
-    next_ = dated.withColumn("b", F.lead("event_id").over(Window.partitionBy("day").orderBy("ts", "event_id"))).join(follow, "day").select(F.col("event_id").alias("a"), F.coalesce("b", "following").alias("b")).where("a % 20 = 0")
+    next_ = _next_in_time(events, [], "event_id").select(F.col("event_id").alias("a"), F.col("following").alias("b")).where("a % 20 = 0")
     both = own.unionByName(next_).where("b IS NOT NULL AND a <> b")
     return both.select(F.explode(F.array(F.struct(F.col("a").alias("src"), F.col("b").alias("dst")), F.struct(F.col("b").alias("src"), F.col("a").alias("dst")))).alias("e")).select("e.*")
 
 
+TURNS = 1 << 20  # ids of a conversation's turns
+
+
 def turn_chain(spark, sf_dir):
-    turns = table(spark, sf_dir, "conversations").select((F.col("conv_id") * 1000 + F.col("turn")).alias("id")).distinct()
-    return turns.alias("a").join(turns.alias("b"), F.col("b.id") == F.col("a.id") + 1).select(F.col("a.id").alias("src"), F.col("b.id").alias("dst")).where("dst % 1000 > 0")
+    turns = table(spark, sf_dir, "conversations").select("conv_id", "turn").distinct()
+    id_ = F.col("conv_id") * TURNS + F.col("turn")
+    return turns.alias("a").join(turns.select("conv_id", (F.col("turn") - 1).alias("turn")), ["conv_id", "turn"]).select(id_.alias("src"), (id_ + 1).alias("dst"))
 
 
 def page_links(spark, sf_dir):
@@ -108,15 +120,23 @@ def similarity_knn(spark, sf_dir, k: int = 3):
     return ranked.where(F.col("r") <= k).select("src", "dst")
 
 
+HEAD = 16
+
+
 def passage_links(spark, sf_dir):
     """Documents (even ids) and the benchmark items (odd ids) whose text they contain.
 
-    Pairs are looked up by the first 16 characters of an item, cut at each place of a document.
+    Pairs are looked up by the first HEAD characters of an item, or all of a shorter one, cut
+    at each place of a document; stretches of 1,000 characters are cut first, as a place in
+    a long text is found only by walking to it.
     """
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
-    items = table(spark, sf_dir, "benchmark").select("item_id", F.col("text").alias("passage"), F.substring("text", 1, 16).alias("head")).where("length(passage) >= 16")
-    places = docs.select("doc_id", "text", F.explode(F.expr("array_distinct(transform(sequence(1, greatest(length(text) - 15, 1)), k -> substring(text, k, 16)))")).alias("head"))
-    found = places.join(items, "head").where(F.col("text").contains(F.col("passage")))
+    items = table(spark, sf_dir, "benchmark").select("item_id", F.col("text").alias("passage"), F.substring("text", 1, HEAD).alias("head")).where("length(passage) > 0")
+    sizes = [r[0] for r in items.select(F.length("head")).distinct().collect()]  # HEAD numbers at most
+    parts = docs.select("doc_id", F.explode(F.expr(f"transform(sequence(1, greatest(length(text), 1), 1000), k -> substring(text, k, {1000 + HEAD - 1}))")).alias("part"))
+    cuts = [F.expr(f"transform(sequence(1, greatest(least(1000, length(part) - {n - 1}), 1)), k -> substring(part, k, {n}))") for n in sizes]
+    places = parts.select("doc_id", F.explode(F.array_distinct(F.concat(*cuts) if cuts else F.array().cast("array<string>"))).alias("head")).join(items, "head").select("doc_id", "item_id", "passage").distinct()
+    found = places.join(docs, "doc_id").where(F.col("text").contains(F.col("passage")))
     return found.select((F.col("doc_id") * 2).alias("src"), (F.col("item_id") * 2 + 1).alias("dst")).distinct()
 
 
@@ -143,14 +163,14 @@ SQL: dict[str, str] = {
     "part_suppliers": "SELECT l_partkey * 2 AS src, l_suppkey * 2 + 1 AS dst FROM lineitem",
     "trade_mutual": f"WITH p AS (SELECT DISTINCT o_custkey * 2 AS a, l_suppkey * 2 + 1 AS b FROM orders JOIN lineitem ON o_orderkey = l_orderkey) {_BOTH}",
     "nation_trade": "SELECT CAST(c_nationkey AS BIGINT) AS src, CAST(s_nationkey AS BIGINT) AS dst FROM orders JOIN lineitem ON o_orderkey = l_orderkey JOIN customer ON o_custkey = c_custkey JOIN supplier ON l_suppkey = s_suppkey",
-    "user_succession": "SELECT src, dst FROM (SELECT user_id AS src, lead(user_id) OVER (PARTITION BY event_type ORDER BY ts, event_id) AS dst FROM events)",
+    "user_succession": "SELECT src, dst FROM (SELECT user_id AS src, lead(user_id) OVER (PARTITION BY event_type ORDER BY ts, event_id) AS dst FROM events WHERE event_type IS NOT NULL)",
     "event_lattice": f"""WITH p AS (
         SELECT event_id AS a, lead(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS b FROM events
         UNION ALL SELECT a, b FROM (SELECT event_id AS a, lead(event_id) OVER (ORDER BY ts, event_id) AS b FROM events) WHERE a % 20 = 0) {_BOTH}""",
-    "turn_chain": "SELECT x.conv_id * 1000 + x.turn AS src, y.conv_id * 1000 + y.turn AS dst FROM conversations x JOIN conversations y ON x.conv_id = y.conv_id AND y.turn = x.turn + 1",
+    "turn_chain": f"SELECT x.conv_id * {TURNS} + x.turn AS src, y.conv_id * {TURNS} + y.turn AS dst FROM conversations x JOIN conversations y ON x.conv_id = y.conv_id AND y.turn = x.turn + 1",
     "page_links": """SELECT url AS src, unnest(regexp_extract_all(html, 'href="([^"]*)"', 1)) AS dst FROM pages""",
     "host_links": """SELECT regexp_extract(url, '^[a-z]+://([^/]*)', 1) AS src, unnest(regexp_extract_all(html, 'href="([^"]*)"', 1)) AS dst FROM pages""",
     "similarity_knn": """SELECT src, dst FROM (SELECT a.vec_id AS src, b.vec_id AS dst, row_number() OVER (PARTITION BY a.vec_id ORDER BY round(list_cosine_similarity(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])), 9) DESC, b.vec_id) AS r
         FROM embeddings a JOIN embeddings b ON a.label = b.label AND a.vec_id <> b.vec_id) WHERE r <= 3""",
-    "passage_links": "SELECT doc_id * 2 AS src, item_id * 2 + 1 AS dst FROM documents d JOIN benchmark b ON contains(d.text, b.text) WHERE length(b.text) >= 16",
+    "passage_links": "SELECT doc_id * 2 AS src, item_id * 2 + 1 AS dst FROM documents d JOIN benchmark b ON contains(d.text, b.text) WHERE length(b.text) > 0",
 }
