@@ -105,6 +105,30 @@ def compare(graph: Graph, name: str, methods: dict[str, Callable[[Graph], RankRe
     return runs_frame(graph.spark, rows)
 
 
+ARRAYS = {"sync_pull": 2, "sync_edge": 2, "sync_helped": 2, "sequential": 2, "async_pull": 1, "async_edge": 1}
+
+
+def rank_bytes(method: str, n: int) -> int:
+    """Bytes of the ranks that a method keeps between steps: two arrays with barriers, one without."""
+    return 8 * n * ARRAYS[method.partition(":")[0]]
+
+
+def shuffle_bytes(spark: SparkSession, run: Callable[[], RankResult]) -> tuple[RankResult, int]:
+    """A run and the bytes its stages wrote to shuffles, by the session's own record of stages."""
+    store = spark.sparkContext._jsc.sc().statusStore()
+
+    def total() -> int:
+        spark.sparkContext._jsc.sc().listenerBus().waitUntilEmpty()
+        none = spark.sparkContext._jvm.java.util.ArrayList()
+        stages = store.stageList(none, False, False, spark.sparkContext._gateway.new_array(spark.sparkContext._jvm.double, 0), none)
+        return sum(stages.apply(k).shuffleWriteBytes() for k in range(stages.size()))
+
+    before = total()
+    result = run()
+    result.ranks.agg(F.sum("rank")).first()
+    return result, total() - before
+
+
 def progress(method: str) -> str:
     """Which workers must finish when others stall: blocking, lock-free or wait-free.
 

@@ -52,6 +52,7 @@ def block_kernel(cfg: RankConfig, n: int, edge_form: bool, lost: float = 0.0):
     """Sweeps one block: its arrays on the left, the ranks it reads on the right; ``lost`` is the rank without out-links to spread."""
     base, limit = (1 - cfg.damping) / max(n, 1) + cfg.damping * lost / max(n, 1), cfg.freeze_factor * cfg.bound(n)
     work = sweep_shares if edge_form else sweep
+    cfg = replace(cfg, init="uniform")  # a frame to start from stays with the driver
 
     def run(left: pa.Table, right: pa.Table) -> pa.Table:
         if not left.num_rows:
@@ -206,12 +207,12 @@ def _free(layout: _Layout, cfg: RankConfig, edge_form: bool, name: str, faults)
                             return
                     time.sleep(0.05)  # nothing new to read
                     continue
-                read = newest | {b: newest[b] + 1}
                 seen = Observation()
                 fresh = cut(layout.swept(state, [b], edge_form).observe(seen, F.max("delta").alias("m")))
                 with lock:
                     versions[b], errors[b] = fresh, float(seen.get["m"] or 0.0)
-                    stamp[b] += 1
+                    stamp[b] += errors[b] > bound  # smaller changes are published, but wake no reader
+                    read = newest | {b: stamp[b]}
                     own[b] += 1
                     history.append({"iteration": own[b], "block": b, "max_delta": errors[b], "active": layout.size[b], "edges_touched": layout.edges.get(b, 0), "seconds": time.time() - began})
         except Exception as error:  # noqa: BLE001  a dead worker must be reported, not hang the others

@@ -23,7 +23,7 @@ class Block:
     coef: np.ndarray
     inputs: np.ndarray
     own: np.ndarray
-    _levels: list | None = field(default=None, repr=False)
+    _levels: tuple | None = field(default=None, repr=False)
 
     @staticmethod
     def of(ids: np.ndarray, pointer: np.ndarray, src: np.ndarray, coef: np.ndarray) -> Block:
@@ -36,25 +36,27 @@ class Block:
         order = np.lexsort((src, dst))
         return Block.of(ids, np.searchsorted(dst[order], np.append(ids, np.iinfo(np.int64).max)), src[order], coef[order])
 
-    def levels(self) -> list[np.ndarray]:
-        """The vertices in groups whose in-place values do not depend on each other: each reads new values of earlier groups only."""
+    def levels(self) -> tuple[list[np.ndarray], np.ndarray]:
+        """The vertices in groups, each reading new values of earlier groups only, and which edges read what a pass has not written yet."""
         if self._levels is None:
             n = len(self.ids)
             at = np.full(len(self.inputs), -1)
             at[self.own] = np.arange(n)
             src, dst = at[self.source], np.repeat(np.arange(n), np.diff(self.pointer))
-            early = (src >= 0) & (src < dst)
+            late = src >= dst
+            early = (src >= 0) & ~late
             src, dst = src[early], dst[early]
             waits = np.bincount(dst, minlength=n)
             order = np.argsort(src, kind="stable")
             first, readers = np.searchsorted(src[order], np.arange(n + 1)), dst[order]
-            self._levels, group = [], np.flatnonzero(waits == 0)
+            groups, group = [], np.flatnonzero(waits == 0)
             while len(group):
-                self._levels.append(group)
+                groups.append(group)
                 freed = readers[_ranges(first[group], first[group + 1])]
                 np.subtract.at(waits, freed, 1)
                 freed = np.unique(freed)
                 group = freed[waits[freed] == 0]
+            self._levels = groups, late
         return self._levels
 
     def sums(self, rank: np.ndarray) -> np.ndarray:
@@ -76,7 +78,7 @@ def sweep(block: Block, rank: np.ndarray, base: float, damping: float, active: n
     """
     change = np.zeros(len(block.ids))
     pointer, source, coef, own = block.pointer, block.source, block.coef, block.own
-    levels = block.levels()
+    levels, late = block.levels()
     if len(levels) * DEEP > len(block.ids):
         for k in range(len(block.ids)) if active is None else np.flatnonzero(active):
             a, b = pointer[k], pointer[k + 1]
@@ -84,11 +86,12 @@ def sweep(block: Block, rank: np.ndarray, base: float, damping: float, active: n
             change[k] = abs(new - rank[own[k]])
             rank[own[k]] = new
         return change
+    before = rank.copy()
     for group in levels:
         group = group if active is None else group[active[group]]
         sizes = pointer[group + 1] - pointer[group]
         edges = _ranges(pointer[group], pointer[group + 1])
-        new = base + damping * np.bincount(np.repeat(np.arange(len(group)), sizes), rank[source[edges]] * coef[edges], len(group))
+        new = base + damping * np.bincount(np.repeat(np.arange(len(group)), sizes), np.where(late[edges], before[source[edges]], rank[source[edges]]) * coef[edges], len(group))
         change[group] = np.abs(new - rank[own[group]])
         rank[own[group]] = new
     return change

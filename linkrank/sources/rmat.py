@@ -38,11 +38,11 @@ def rmat_edges(spark: SparkSession, edges: int, scale: int | None = None, seed:
     return walked.select("e.src", "e.dst")
 
 
-def rmat_sql(edges: int, scale: int | None = None, seed: int = 1, shares: tuple[float, ...] = SHARES) -> str:
-    """The same edges in SQL."""
+def rmat_sql(edges: int, scale: int | None = None, seed: int = 1, shares: tuple[float, ...] = SHARES, rows: str | None = None) -> str:
+    """The same edges in SQL; ``rows``: a source of the numbers ``range`` from 0 on, else those up to ``edges``."""
     scale = scale or scale_for(edges)
     limits = [math.floor(PRIME * sum(shares[: k + 1])) for k in range(3)]
-    sql = f"SELECT (range * 2 + 1 + {seed * 7919}) % {PRIME} AS s, CAST(0 AS BIGINT) AS src, CAST(0 AS BIGINT) AS dst FROM range({edges})"
+    sql = f"SELECT (range * 2 + 1 + {seed * 7919}) % {PRIME} AS s, CAST(0 AS BIGINT) AS src, CAST(0 AS BIGINT) AS dst FROM {rows or f'range({edges})'}"
     for _ in range(3):
         sql = f"SELECT s * {FACTOR} % {PRIME} AS s, src, dst FROM ({sql})"
     for _ in range(scale):
