@@ -44,3 +44,26 @@ def save_bucketed(frame: DataFrame, name: str, key: str, buckets: int) -> DataFr
     """A table bucketed and sorted by ``key``: later joins on it move nothing, run-time re-planning on or off."""
     frame.write.mode("overwrite").bucketBy(buckets, key).sortBy(key).saveAsTable(name)
     return frame.sparkSession.table(name)
+
+
+def write_blocks(csr: DataFrame, path: str) -> None:
+    """Block arrays (block, ids, in_ptr, in_src, in_coef) to Parquet, a folder for each block, so that a task reads its own only."""
+    csr.write.mode("overwrite").partitionBy("block").parquet(path)
+
+
+def read_blocks(spark: SparkSession, path: str) -> DataFrame:
+    return spark.read.parquet(path)
+
+
+def append_history(result, path: str) -> None:
+    """A run's course, appended to those of others (method, iteration, block, changes, work, seconds)."""
+    result.history_frame().coalesce(1).write.mode("append").parquet(path)
+
+
+LEDGER = "iteration int, block int, worker int, max_delta double, won boolean"
+
+
+def append_ledger(result, path: str) -> None:
+    """What each worker of a helped run handed in for each block and step, and whether it was taken."""
+    rows = [(r["iteration"], r["block"], r["worker"], float(r["max_delta"]), r["won"]) for r in result.ledger]
+    result.ranks.sparkSession.createDataFrame(rows, LEDGER).coalesce(1).write.mode("append").parquet(path)

@@ -81,3 +81,8 @@ class RankKeeper:
         start = "uniform" if self.result is None else self.result.ranks
         self.result = sync_pull(graph, replace(self.cfg, init=start))
         self.steps.append(self.result.iterations)
+
+
+def late_rows(query) -> int:
+    """Rows that a stream's stateful operators dropped because they were older than the watermark."""
+    return sum(int(op["numRowsDroppedByWatermark"]) for p in query.recentProgress for op in p["stateOperators"])
