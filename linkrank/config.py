@@ -34,6 +34,8 @@ class RankConfig:
     staleness, schedule_seed: bound and seed of the delays of an adversarial schedule.
     inner_sweeps: sweeps over a block's own edges between two exchanges.
     check_every: steps between two looks at the change, and between two stored states.
+    partitions: of a step's frames. max_edges: that a method in one task takes.
+    hub_degree: out-links above which a vertex's edges do not lie in one partition.
     """
 
     damping: float = 0.85
@@ -56,6 +58,7 @@ class RankConfig:
     check_every: int = 1
     partitions: int | None = None
     max_edges: int = 5_000_000
+    hub_degree: int = 1_000_000
 
     def only(self, method: str, **possible) -> None:
         """Refuses options that a method has no meaning for: each name's value must be among those given."""

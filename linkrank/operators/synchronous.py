@@ -2,7 +2,9 @@
 
 A step joins the ranks to the edges where both lie by source, adds up the shares by
 target after adding up within tasks (the step's only exchange), and joins the sums to
-the vertices where they lie. The change, its maximum and the work are observed while
+the vertices where they lie. The out-links of hubs lie by target instead, in all
+partitions, and meet the hubs' ranks in a broadcast: hubs are few, as each has more than
+``hub_degree`` of the edges. The change, its maximum and the work are observed while
 the state is stored, so they cost no second job. Nothing but numbers reaches the
 driver.
 """
@@ -63,7 +65,14 @@ class _Loop:
         self.n = graph.count()
         self.frozen = 0
         self.parts = cfg.partitions or max(1, int(graph.spark.conf.get("spark.sql.shuffle.partitions")))
-        self.edges = cut(graph.edges.select("src", "dst", "coef", F.col("mult").cast("double").alias("mult")).repartition(self.parts, "src").sortWithinPartitions("src"))
+        edges = graph.edges.select("src", "dst", "coef", F.col("mult").cast("double").alias("mult"))
+        hubs = cut(graph.vertices.where(F.col("out_degree") > cfg.hub_degree).select(F.col("id").alias("hub")))
+        self.hubs = hubs if 0 < hubs.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS else None
+        if self.hubs is not None:
+            is_hub = F.col("src") == F.col("hub")
+            self.hub_edges = cut(edges.join(F.broadcast(hubs), is_hub, "left_semi").repartition(self.parts, "dst"))
+            edges = edges.join(F.broadcast(hubs), is_hub, "left_anti")
+        self.edges = cut(edges.repartition(self.parts, "src").sortWithinPartitions("src"))
         base = initial_ranks(graph, cfg, self.n)
         ins = graph.in_degrees()
         self.fixed = cut(base.join(ins, "id").repartition(self.parts, "id").sortWithinPartitions("id").select("id", F.col("out_degree").cast("double").alias("out_degree"), "in_degree", "rank"))
@@ -72,24 +81,35 @@ class _Loop:
 
     def sums(self, state: DataFrame) -> DataFrame:
         """(dst, total): the shares that reach each vertex."""
-        cfg, edges = self.cfg, self.edges
+        cfg = self.cfg
+        slots = self.slots(self.edges, state)
+        if self.hubs is not None:
+            of_hubs = F.broadcast(state.join(F.broadcast(self.hubs), F.col("id") == F.col("hub"), "left_semi"))
+            slots = slots.unionByName(self.slots(self.hub_edges, of_hubs, state))
+        if self.method == "sync_edge" and not cfg.fused:
+            slots = cut(slots)
+        aggregates = [_total(cfg, F.col("value"), F.col("src")).alias("total")]
+        if cfg.freeze:
+            aggregates.append(F.max("moved").alias("stirred"))
+        return slots.groupBy("dst").agg(*aggregates)
+
+    def slots(self, edges: DataFrame, state: DataFrame, every: DataFrame | None = None) -> DataFrame:
+        """(src, dst, value): the share on each of the edges whose sources are in ``state``; ``every`` is the state of all."""
+        cfg = self.cfg
+        more = ["moved"] if cfg.freeze else []
         if 0 < self.frozen <= BROADCAST_ROWS and cfg.freeze_guard == "paper":
             # settled vertices need no sum: their in-edges are left out before anything is moved;
             # beyond the bound the sums are taken and not used, as the edges lie by source
-            edges = edges.join(F.broadcast(state.where("frozen").select(F.col("id").alias("dst"))), "dst", "left_anti")
+            edges = edges.join(F.broadcast((state if every is None else every).where("frozen").select(F.col("id").alias("dst"))), "dst", "left_anti")
         if self.method == "sync_edge":
-            shares = state.where("out_degree > 0").select("id", (F.col("rank") / F.col("out_degree")).alias("share"), "moved") if cfg.freeze else state.where("out_degree > 0").select("id", (F.col("rank") / F.col("out_degree")).alias("share"))
-            links = edges.join(shares, F.col("src") == F.col("id"))
-            slots = links.select("src", "dst", (F.col("share") * F.col("mult")).alias("value"), *(["moved"] if cfg.freeze else []))
-            if not cfg.fused:
-                slots = cut(slots)
+            shares = state.where("out_degree > 0").select("id", (F.col("rank") / F.col("out_degree")).alias("share"), *more)
+            value = F.col("share") * F.col("mult")
         else:
-            links = edges.join(state.select("id", "rank", *(["moved"] if cfg.freeze else [])), F.col("src") == F.col("id"))
-            slots = links.select("src", "dst", (F.col("rank") * F.col("coef")).alias("value"), *(["moved"] if cfg.freeze else []))
-        aggregates = [_total(cfg, F.col("value"), F.col("src")).alias("total")]
-        if cfg.freeze:
-            aggregates.append(F.max("moved").alias("stirred"))
-        return slots.groupBy("dst").agg(*aggregates)
+            shares = state.select("id", "rank", *more)
+            value = F.col("rank") * F.col("coef")
+        if every is not None:
+            shares = F.broadcast(shares)  # hubs only
+        return edges.join(shares, F.col("src") == F.col("id")).select("src", "dst", value.alias("value"), *more)
 
     def blind_step(self, state: DataFrame, lost: float = 0.0) -> DataFrame:
         """The next state without a look at the change: it reads the state once, so such steps can be chained in a plan."""

@@ -5,6 +5,7 @@ from dataclasses import replace
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from linkrank.config import RankConfig
 from linkrank.functions import measures
@@ -117,3 +118,22 @@ def test_progress_memory_and_shuffles(spark):
     g = graph(spark, random_edges(random.Random(5), 30, 120))
     few, _ = measures.shuffle_bytes(spark, lambda: sync_pull(g, replace(CFG, max_iter=1, tol=0.0)))
     assert few.iterations == 1 and measures.shuffle_bytes(spark, lambda: sync_pull(g, replace(CFG, max_iter=4, tol=0.0, check_every=1)))[1] > _ > 0
+
+
+def test_hubs_lie_in_all_partitions(spark):
+    from linkrank.operators.synchronous import _Loop
+    from linkrank.plans.lineage import exchanges, loop_settings
+    from linkrank.sources.rmat import rmat_edges
+
+    from linkrank.graph import Graph
+
+    skewed = Graph.from_edges(rmat_edges(spark, 3000).unionByName(spark.range(1, 900).selectExpr("0L AS src", "id AS dst")))
+    want = ranks(sequential(skewed, RankConfig(max_iter=4, tol=0.0)))
+    for run in (sync_pull, sync_edge):
+        for extra in (dict(check_every=4), dict(freeze=True), dict(freeze=True, freeze_guard="safe")):
+            cfg = RankConfig(max_iter=4, tol=0.0, partitions=4, hub_degree=100, **extra)
+            assert close(ranks(run(skewed, cfg)), want, 1e-12)
+    with loop_settings(spark, 4):
+        loop = _Loop(skewed, RankConfig(partitions=4, hub_degree=100), "sync_pull")
+        sizes = [r["count"] for r in loop.edges.unionByName(loop.hub_edges).groupBy(F.spark_partition_id()).count().collect()]
+        assert loop.hub_edges.count() > 800 and max(sizes) < 900 and exchanges(loop.step(loop.start)) == 1
