@@ -55,8 +55,8 @@ BLOCK_ENTRIES = 200_000
 FLUSH = 1 << 17
 PAIRS = 1 << 18  # pairs of a block that are held before equal ones are added up
 RECENT = 1 << 17  # sets a task remembers, to pass over copies
-CHUNK = 2048  # members of a cluster's chunk at most
-CHUNK_SHINGLES = 1 << 19  # shingles of a chunk, about
+CHUNK = 1024  # members of a cluster's chunk at most
+CHUNK_SHINGLES = 1 << 18  # shingles of a chunk, about
 TILE = 256  # rows that are multiplied at a time
 
 _ENTRY = np.dtype([("column", "<u4"), ("node", "<i8"), ("size", "<u4")])

@@ -18,7 +18,6 @@ from __future__ import annotations
 from dataclasses import dataclass
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 import zstandard
 from pyspark.sql import DataFrame, SparkSession
@@ -118,12 +117,12 @@ def score_quality(docs: DataFrame, model: Model) -> DataFrame:
 def keep_good(docs: DataFrame, model: Model, least: float = 0.5) -> DataFrame:
     """The documents whose score is at least ``least``, with all their columns."""
 
-    @F.pandas_udf("double")
-    def score(texts: pd.Series) -> pd.Series:
+    def scored(texts: pa.Array) -> pa.Array:
         coders = model.coders()
-        x = np.array([features(t, coders) for t in texts], float).reshape(-1, 3)
-        return pd.Series(sigmoid(_table(x) @ np.array(model.weights[:-1]) + model.weights[-1]))
+        x = np.array([features(t.as_py(), coders) for t in texts], float).reshape(-1, 3)
+        return pa.array(sigmoid(_table(x) @ np.array(model.weights[:-1]) + model.weights[-1]))
 
+    score = F.arrow_udf(scored, "double")
     return docs.where(score(F.col("text").cast("string")) >= least)
 
 
