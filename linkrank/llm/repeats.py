@@ -86,7 +86,7 @@ def _all_pieces(batch):
     """Arrays of a batch's pieces by runs of rows: (rows, starts in the row, windows, anchors, other hashes, absolute starts, bytes)."""
     data, offsets = utf8(batch.column(1))
     known = batch.column(0).is_valid().to_numpy(zero_copy_only=False)
-    for lo, hi in slices(offsets):
+    for lo, hi in slices(offsets, SEGMENT):
         for a in range(offsets[lo], max(offsets[hi] - LENGTH + 1, offsets[lo] + 1), SEGMENT):
             b = min(offsets[hi], a + SEGMENT + LENGTH - 1) if hi == lo + 1 else offsets[hi]
             own = np.clip(offsets[lo : hi + 1], a, b) - a
