@@ -1,6 +1,7 @@
 """Compares a query with its SQL on the given tables, as the driver does."""
 
 import math
+import time
 
 import duckdb
 
@@ -22,3 +23,14 @@ def same(spark, query, sql, sf_dir):
     assert sorted(df.columns) == names
     want = [dict(zip(want.columns, r)) for r in want.fetchall()]
     assert rows([r.asDict() for r in df.collect()], names) == rows(want, names)
+
+
+def shuffled(spark, least=0, wait=20):
+    """Bytes of shuffle files on this machine; waits until they fall to ``least``, as Spark deletes them a little later."""
+    for _ in range(wait * 5):
+        files = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().getAllFiles()
+        sizes = [files.apply(k).length() for k in range(files.size()) if files.apply(k).getName().startswith("shuffle_")]
+        if sum(sizes) <= least:
+            break
+        time.sleep(0.2)
+    return sum(sizes)

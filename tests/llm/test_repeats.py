@@ -5,6 +5,8 @@ import numpy as np
 import pytest
 
 from linkrank.llm import repeats as rep
+from linkrank.llm.tables import release
+from tests.llm.oracle import shuffled
 
 L = rep.LENGTH
 
@@ -86,3 +88,14 @@ def test_edges(spark):
 def test_given_tables(spark):
     rows = [(r.doc_id, r.text) for r in spark.read.parquet("/root/testdata/sf0.001/documents.parquet").collect()]
     assert sorted(map(tuple, rep.query(spark, "/root/testdata/sf0.001").collect()), key=str) == brute(rows)
+
+
+def test_shuffles_go_before_whole_documents_are_moved(spark):
+    rng = random.Random(5)
+    rows = [(k, "".join(rng.choice("abcdefgh ") for _ in range(20_000))) for k in range(60)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").selectExpr("doc_id", "CAST(text AS BINARY) AS raw")
+    release(spark)
+    before = shuffled(spark, wait=1)
+    found = rep.found_windows(docs, 8, 1_200_000)
+    assert shuffled(spark, before + 50_000) <= before + 50_000  # the entries alone are some 800 kB
+    assert found.where("length(payload) > 0").count() == 0
