@@ -4,7 +4,8 @@ import re
 import pytest
 
 from linkrank.llm import jaccard as jac
-from tests.llm.oracle import same
+from linkrank.llm.tables import release
+from tests.llm.oracle import same, shuffled
 from tests.llm.test_components import brute as components
 
 
@@ -84,3 +85,15 @@ def test_repeated_ids_of_different_texts(spark):
     kept = sorted((r.doc_id, r.row) for r in jac.first_of_each(docs).collect())
     assert kept in ([(1, 1), (1, 2), (2, 4), (5, 8), (5, 9), (5, 10)], [(1, 2), (1, 7), (2, 4), (5, 8), (5, 9), (5, 10)])
     assert jac.first_of_each(docs).columns == docs.columns
+
+
+def test_shuffles_go_before_classes_are_made(spark):
+    rng = random.Random(5)
+    texts = [[f"w{rng.randrange(9999)}" for _ in range(600)] for _ in range(150)]
+    rows = [(2 * k + c, " ".join([*t[:300], f"c{c}", *t[300:]])) for k, t in enumerate(texts) for c in range(2)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    release(spark)
+    before = shuffled(spark, wait=1)
+    some, _ = jac._rooted(docs)
+    assert shuffled(spark, before + 100_000) <= before + 100_000  # the sets alone are some 1.4 MB
+    assert some.select("root").distinct().count() == 150
