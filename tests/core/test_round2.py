@@ -1,4 +1,5 @@
-from linkrank.config import RankConfig
+from linkrank import queries
+from linkrank.config import LEVELS, RankConfig
 from linkrank.graph import Graph
 from linkrank.operators.faults import FaultPlan
 from linkrank.operators.helped import sync_helped
@@ -8,3 +9,12 @@ def test_long_steps_are_no_waiting(spark):
     graph = Graph.from_edges(spark.range(300).selectExpr("id AS src", "(id * id + 1) % 300 AS dst"))
     found = sync_helped(graph, RankConfig(max_iter=6, tol=0.0, blocks=3), workers=3, faults=FaultPlan(fail={(1, 1)}, timeout=1.0))
     assert found.stop_reason == "max_iter" and found.iterations == 6  # ended as blocked after a second before
+
+
+def test_levels_are_those_of_runs_over_a_table(spark, sf_dir, monkeypatch):
+    read = []
+    table = queries.workloads.table
+    monkeypatch.setattr(queries.workloads, "table", lambda s, d, name: read.append(name) or table(s, d, name))
+    found = queries.queries()["levels_of_methods"](spark, sf_dir).collect()
+    assert "pages" in read
+    assert {(r.kind, r.freeze): tuple(r.levels.split("+")) for r in found} == LEVELS
