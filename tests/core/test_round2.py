@@ -3,6 +3,7 @@ from linkrank.config import LEVELS, RankConfig
 from linkrank.graph import Graph
 from linkrank.operators.faults import FaultPlan
 from linkrank.operators.helped import sync_helped
+from linkrank.plans.lineage import plan_text
 
 
 def test_long_steps_are_no_waiting(spark):
@@ -18,3 +19,14 @@ def test_levels_are_those_of_runs_over_a_table(spark, sf_dir, monkeypatch):
     found = queries.queries()["levels_of_methods"](spark, sf_dir).collect()
     assert "pages" in read
     assert {(r.kind, r.freeze): tuple(r.levels.split("+")) for r in found} == LEVELS
+
+
+def test_shared_targets_move_hashes(spark, sf_dir):
+    found = queries.queries()["shared_targets"](spark, sf_dir)
+    assert "ShuffledHashJoin" not in plan_text(found)  # pairs are stored as two numbers before addresses are joined
+    targets = {}
+    for r in queries.workloads.page_links(spark, sf_dir).distinct().collect():
+        targets.setdefault(r.src, set()).add(r.dst)
+    pages = sorted(targets)
+    want = {(a, b, len(targets[a] & targets[b])) for k, a in enumerate(pages) for b in pages[k + 1 :] if len(targets[a] & targets[b]) >= 2}
+    assert {(r.a, r.b, r.shared) for r in found.collect()} == want and want
