@@ -39,3 +39,12 @@ def test_equals_brute_force(spark, monkeypatch, block):
     assert "FlatMapGroupsInArrow" in plan_text(got)  # pairs were rows of a join before
     assert {(r.src, r.dst) for r in got.collect()} == brute(rows, 3)  # a zero vector ended the run before
     assert op.nearest(df.limit(0), 3).count() == 0
+
+
+def test_statistics_of_the_graph_take_no_join_of_pairs(spark, tmp_path):
+    from linkrank import queries
+
+    rows = [(k, 0, [float(k % 7), float(k % 5), 1.0]) for k in range(50)] + [(60, 0, [0.0] * 3)]
+    spark.createDataFrame(rows, SCHEMA).write.parquet(f"{tmp_path}/embeddings.parquet")
+    found = queries.queries()["graph_stats_similarity_knn"](spark, str(tmp_path)).first()  # a zero vector ended the run before
+    assert (found["vertices"], found["edges"]) == (51, 153)
