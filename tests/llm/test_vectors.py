@@ -91,3 +91,35 @@ def test_dense_label(spark, monkeypatch, worth, least):
     near = np.flatnonzero(want)
     assert len(near) >= 600 and len(got) == 8300 and all(got[k] <= want[k] for k in got)
     assert sum(got[k] == want[k] for k in near) >= least * len(near)
+
+
+@pytest.mark.parametrize("worth", [1000, 1])
+def test_no_link_is_lost_at_any_size(spark, monkeypatch, worth):
+    """Labels that were compared whole up to WORTH x 20 vectors, and beyond by passes that ended with some links unseen."""
+    monkeypatch.setattr(vec, "WORTH", worth)
+    x = dense(6000, 0.93, 3000)
+    got = {r.vec_id: r.n_links for r in vec.near_copies(spark.createDataFrame([(k, v, 1) for k, v in enumerate(x.tolist())], "vec_id long, embedding array<float>, label int")).collect()}
+    unit = x.astype(float) / np.linalg.norm(x.astype(float), axis=1, keepdims=True)
+    want = (unit @ unit.T >= vec.COSINE).sum(1) - 1
+    assert want.sum() >= 6000 and [got[k] for k in range(len(x))] == want.tolist()
+
+
+def test_runs_far_apart_are_left_out(spark, monkeypatch):
+    """Two crowds on opposite sides: no run of one is compared with one of the other."""
+    rng = np.random.default_rng(6)
+    side = np.repeat([1.0, -1.0], 600)[:, None] * np.eye(1, 16)
+    x = side + 0.02 * rng.standard_normal((1200, 16))
+    monkeypatch.setattr(vec, "WORTH", 1)
+    monkeypatch.setattr(vec, "BLOCK", 200)
+    moved = []
+    monkeypatch.setattr(vec, "_may_link", lambda cosine, f=vec._may_link: moved.append(f(cosine)) or f(cosine))
+    df = spark.createDataFrame([(k, v, 1) for k, v in enumerate(x.tolist())], "vec_id long, embedding array<double>, label int")
+    got = {r.vec_id: r.n_links for r in vec.near_copies(df).collect()}
+    unit = x / np.linalg.norm(x, axis=1, keepdims=True)
+    assert [got[k] for k in range(1200)] == ((unit @ unit.T >= vec.COSINE).sum(1) - 1).tolist() and moved
+    far, near = unit[:600].mean(0), unit[600:].mean(0)
+    import pyarrow as pa
+
+    columns = [pa.array(["x"] * 2), pa.array([16] * 2), pa.array([0, 0]), pa.array([0, 1]), pa.array([far.tobytes()] * 2), pa.array([0.2, 0.2]), pa.array([far.tobytes(), near.tobytes()]), pa.array([0.2, 0.2])]
+    batch = pa.record_batch(columns, names=["label", "size", "a", "b", "ca", "ra", "cb", "rb"])
+    assert next(moved[0]([batch])).column("b").to_pylist() == [0]
