@@ -1,7 +1,9 @@
 import hashlib
 import random
+import tracemalloc
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from linkrank.llm import repeats as rep
@@ -99,3 +101,20 @@ def test_shuffles_go_before_whole_documents_are_moved(spark):
     found = rep.found_windows(docs, 8, 1_200_000)
     assert shuffled(spark, before + 50_000) <= before + 50_000  # the entries alone are some 800 kB
     assert found.where("length(payload) > 0").count() == 0
+
+
+def test_a_task_copies_little_at_a_time():
+    class shared:
+        value = np.full((4, 1 << (rep.BITS - 6)), -1, np.int64).view(np.uint64)  # every piece is asked, as one of a wide anchor too
+
+    text = np.random.default_rng(1).integers(97, 123, 1 << 18).astype(np.uint8).tobytes()
+    batch = pa.record_batch({"doc_id": pa.array([7]), "raw": pa.array([text], pa.binary())})
+    tracemalloc.start()
+    sizes, windows = [], 0
+    for rows in rep._texts(shared, 8, 4)([batch]):
+        sizes.append(rows.nbytes)
+        windows += sum(len(t.as_py() or b"") - L + 1 for t in rows.column(3))
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert windows == 2 * (len(text) - L + 1)  # in pieces and one by one
+    assert max(sizes) < 2 * rep.TEXT_RUN and peak < 100 << 20, (max(sizes), peak)
