@@ -48,3 +48,26 @@ def test_statistics_of_the_graph_take_no_join_of_pairs(spark, tmp_path):
     spark.createDataFrame(rows, SCHEMA).write.parquet(f"{tmp_path}/embeddings.parquet")
     found = queries.queries()["graph_stats_similarity_knn"](spark, str(tmp_path)).first()  # a zero vector ended the run before
     assert (found["vertices"], found["edges"]) == (51, 153)
+
+
+def test_cosines_that_round_to_one_value_are_taken_by_id():
+    rng = np.random.default_rng(5)
+    x = rng.standard_normal((40, 8))
+    x = np.concatenate([x, x + rng.standard_normal(x.shape) * 1e-12, x, x[:3]])  # cosines that differ by less than a billionth, and equal ones
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    ids, size = rng.permutation(len(x)), np.full(len(x), 8)
+    got = sorted((int(a), int(b)) for p, q, _ in op._best(x, size, ids, x, size, ids, 4, True) for a, b in zip(p, q))
+    near = np.round(x @ x.T, 9)
+    want = sorted((int(i), int(j)) for i, row in zip(ids, near) for _, j in sorted((-c, j) for c, j in zip(row, ids) if j != i)[:4])
+    assert got == want
+
+
+def test_statistics_read_the_edges_once_and_store_no_graph(spark, tmp_path, monkeypatch):
+    from linkrank import queries
+    from linkrank.graph import Graph
+
+    rows = [(k, k % 2, [float(k % 7), float(k % 5), 1.0]) for k in range(50)] + [(60, 0, [0.0] * 3), (70, 9, [1.0] * 3)]
+    spark.createDataFrame(rows, SCHEMA).write.parquet(f"{tmp_path}/embeddings.parquet")
+    want = queries.graph_stats(queries.workloads.load(spark, str(tmp_path), "similarity_knn")).collect()
+    monkeypatch.setattr(Graph, "from_edges", lambda *a, **k: pytest.fail("a graph was stored"))
+    assert queries.queries()["graph_stats_similarity_knn"](spark, str(tmp_path)).collect() == want
