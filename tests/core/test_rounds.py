@@ -62,3 +62,29 @@ def test_a_block_of_its_own_stops_alone(spark):
     cfg = RankConfig(tol=1e-14, blocks=2, block_how="range")
     got = async_pull(graph, cfg)
     assert got.converged and l1_norm(got.ranks, sync_pull(graph, cfg).ranks) < 1e-12
+
+
+@pytest.mark.parametrize("edge_form,run", [(False, 1 << 16), (True, 1 << 16), (False, 7)])
+def test_edges_of_a_source_have_one_share_and_sweeps_end_at_rest(monkeypatch, edge_form, run):
+    monkeypatch.setattr(rounds, "SUM", run)
+    src, dst = edges(7)
+    ids = np.flatnonzero(np.random.default_rng(2).random(400) < 0.5)
+    own = np.isin(dst, ids)
+    coef = 1.0 / np.bincount(src, minlength=400)[src][own]
+    src, dst = src[own], dst[own]
+    plain = Block.of_edges(ids, src, dst, coef)
+    rank = np.random.default_rng(3).random(len(plain.inputs))
+    arrays, outside = rounds.packed(ids, src, dst, coef, edge_form)
+    assert not any(len(arrays[f"{k}_coef"]) for k in ("outer", "late", "early"))  # eight bytes an edge before
+    assert len(arrays["share"]) == len(ids) and len(arrays["outer_share"]) == len(outside)
+    outer, mine = rank[np.searchsorted(plain.inputs, outside)], rank[plain.own]
+    rest = mine.copy()
+    for _ in range(3):
+        (sweep_shares if edge_form else sweep)(plain, rank, 1e-3, 0.85)
+    rounds.passes(arrays, mine, outer, 1e-3, 0.85, 3)
+    assert np.allclose(mine, rank[plain.own], rtol=1e-12, atol=0)
+    if not edge_form:
+        rounds.passes(arrays, rest, outer, 1e-3, 0.85, 10**9)  # did not end before
+        again = rest.copy()
+        rounds.passes(arrays, again, outer, 1e-3, 0.85, 1)
+        assert np.array_equal(again, rest)
