@@ -97,3 +97,30 @@ def test_shuffles_go_before_classes_are_made(spark):
     some, _ = jac._rooted(docs)
     assert shuffled(spark, before + 100_000) <= before + 100_000  # the sets alone are some 1.4 MB
     assert some.select("root").distinct().count() == 150
+
+
+def test_passes_move_a_part_at_a_time(spark, monkeypatch):
+    rng = random.Random(6)
+    texts = [[f"w{rng.randrange(9999)}" for _ in range(600)] for _ in range(200)]
+    rows = [(2 * k + c, " ".join([*t[:300], f"c{c}", *t[300:]])) for k, t in enumerate(texts) for c in range(2)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    monkeypatch.setattr(jac, "PASS_SHINGLES", 1 << 16, raising=False)
+    release(spark)
+    before, most, cut = shuffled(spark, wait=1), [0], jac.cut
+
+    def seen(df):
+        out = cut(df)
+        most[0] = max(most[0], shuffled(spark, 1 << 60) - before)
+        return out
+
+    monkeypatch.setattr(jac, "cut", seen)
+    found = jac.jaccard_classes(docs).collect()
+    assert sorted((r.doc_id, r.component_id) for r in found) == [(k, k - k % 2) for k in range(400)]
+    assert most[0] < 2_800_000, most  # 3.6 MB in one pass
+
+
+def test_equals_brute_force_in_passes(spark, monkeypatch):
+    monkeypatch.setattr(jac, "PASS_SHINGLES", 1 << 10)
+    monkeypatch.setattr(jac, "SHORT", 4)
+    rows = made(4)
+    assert sorted(map(tuple, jac.jaccard_classes(spark.createDataFrame(rows, "doc_id long, text string")).collect())) == brute(rows)
