@@ -118,3 +118,25 @@ def test_a_task_copies_little_at_a_time():
     tracemalloc.stop()
     assert windows == 2 * (len(text) - L + 1)  # in pieces and one by one
     assert max(sizes) < 2 * rep.TEXT_RUN and peak < 100 << 20, (max(sizes), peak)
+
+
+def test_passes_move_a_part_at_a_time(spark, monkeypatch, tmp_path):
+    rng = random.Random(7)
+    texts = ["".join(rng.choice("abcdefgh ") for _ in range(20_000)) for _ in range(60)]
+    rows = [(k, t[:9_000] + texts[k // 2][9_000:]) for k, t in enumerate(texts)]
+    spark.createDataFrame(rows, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    monkeypatch.setattr(rep, "PASS_BYTES", 1 << 16, raising=False)
+    release(spark)
+    before, most, cut = shuffled(spark, wait=1), [0], rep.cut
+
+    def seen(df):
+        shuffled(spark, before + 50_000, wait=3)
+        out = cut(df)
+        most[0] = max(most[0], shuffled(spark, 1 << 60) - before)
+        return out
+
+    monkeypatch.setattr(rep, "cut", seen)
+    found = rep.query(spark, str(tmp_path)).collect()
+    most = max(most[0], shuffled(spark, 1 << 60) - before)
+    assert sorted(map(tuple, found), key=str) == brute(rows)
+    assert most < 900_000, most  # 1.1 MB in one pass
